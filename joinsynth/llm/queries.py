@@ -3,11 +3,17 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from .common import table
 from .decontamination import contamination_report
+from .embedding_dedup import embedding_near_duplicates
+from .line_dedup import dedup_lines
+from .minhash_dedup import near_duplicates
+from .oracles import ORACLES  # noqa: F401
 from .packing import pack
 from .sharding import shard_by_bytes
+from .substring_dedup import cut_repeats
 from .token_counts import count_tokens
 from .url_filters import Rule, judge_urls
 
@@ -24,14 +30,28 @@ def tokenizer_path(name: str) -> str:
     return public_tokenizers.path(name)
 
 
+def op1_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates(table(spark, sf_dir, "documents"))
+
+
 def op3_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contamination_report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), window=10)
 
 
+def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return cut_repeats(table(spark, sf_dir, "documents")).drop("kept")
+
+
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return count_tokens(table(spark, sf_dir, "documents"), tokenizer_path("word_bpe_49k.json"), limit=2048)
 
 
+def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    names = {"ld_lines": "n_lines", "ld_chunks": "n_chunks", "ld_removed": "n_removed_chunks", "ld_removed_lines": "n_removed_lines"}
+    return dedup_lines(docs).withColumn("kept_md5", F.md5("text")).drop("text").withColumnsRenamed(names)
+
+
 def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(table(spark, sf_dir, "documents"), tokenizer_path("byte_bpe_50k.json"), capacity=2048, close=1)
 
@@ -44,6 +64,16 @@ def op9_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return shard_by_bytes(table(spark, sf_dir, "documents"), shards=24)
 
 
-QUERIES = {f.__name__: f for f in (op3_benchmark_decontamination, op5_token_counts, op7_packing, op8_url_filters, op9_sharding)}
+def op10_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return embedding_near_duplicates(table(spark, sf_dir, "embeddings"), cosine=0.9)
+
+
+QUERIES = {
+    f.__name__: f
+    for f in (
+        op1_minhash_near_dedup, op3_benchmark_decontamination, op4_substring_dedup, op5_token_counts, op6_line_dedup,
+        op7_packing, op8_url_filters, op9_sharding, op10_embedding_near_dedup,
+    )
+}
+
 
-ORACLES: dict[str, str] = {}

@@ -193,9 +193,9 @@ def scan_shard(texts: list[str | None], block: Block, window: int) -> tuple[list
     return counts, [p - s for p, s in zip(by_doc, starts, strict=False)], items, longest, where
 
 
-def _shards(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+def _shards(batch: pa.RecordBatch, at: int = 1) -> Iterator[pa.RecordBatch]:
     """Slices of whole rows of about SHARD_BYTES of text."""
-    sizes = np.array([0 if t is None else len(t) for t in batch.column(1).to_pylist()], np.int64)
+    sizes = np.array([0 if t is None else len(t) for t in batch.column(at).to_pylist()], np.int64)
     cuts = np.cumsum(sizes) // SHARD_BYTES
     edges = [0, *(np.flatnonzero(np.diff(cuts)) + 1).tolist(), len(sizes)]
     for a, b in zip(edges, edges[1:], strict=False):
@@ -252,6 +252,28 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = 10, max_s
     return found.filter(F.size("hits") <= F.lit(max_share) * F.col("n_words")).select("doc_id", "text")
 
 
+def _clean(block_of: Callable[[], Block], window: int, at: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """Rows whose text (column ``at``) has no hit of one block."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        block = block_of()
+        for batch in batches:
+            for part in _shards(batch, at):
+                hits = scan_shard(part.column(at).to_pylist(), block, window)[1]
+                yield part.filter(pa.array([not len(h) for h in hits], pa.bool_()))
+
+    return run
+
+
+def clean_only(docs: DataFrame, benchmark: DataFrame, window: int = 10, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
+    """The documents, with all their columns, that hold no window of the benchmark."""
+    out = docs
+    for rows in benchmark_blocks(benchmark, item_col, item_text_col):
+        sent = docs.sparkSession.sparkContext.broadcast(make_block(rows))
+        out = out.mapInArrow(_clean(lambda sent=sent: sent.value, window, docs.columns.index(text_col)), docs.schema)
+    return out
+
+
 def contamination_report(docs: DataFrame, benchmark: DataFrame, window: int = 10, **names: str) -> DataFrame:
     """``doc_id, n_words, n_hit, n_items, items_sha256, contaminated``: one row per document, no shuffle."""
     found = find_hits(docs, benchmark, window, **names)

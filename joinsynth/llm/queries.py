@@ -12,6 +12,7 @@ from .line_dedup import dedup_lines
 from .minhash_dedup import near_duplicates
 from .oracles import ORACLES  # noqa: F401
 from .packing import pack
+from .quality_classifier import classify
 from .sharding import shard_by_bytes
 from .substring_dedup import cut_repeats
 from .token_counts import count_tokens
@@ -34,6 +35,10 @@ def op1_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return near_duplicates(table(spark, sf_dir, "documents"))
 
 
+def op2_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op3_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contamination_report(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"), window=10)
 
@@ -71,7 +76,7 @@ def op10_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     f.__name__: f
     for f in (
-        op1_minhash_near_dedup, op3_benchmark_decontamination, op4_substring_dedup, op5_token_counts, op6_line_dedup,
+        op1_minhash_near_dedup, op2_quality_classifier, op3_benchmark_decontamination, op4_substring_dedup, op5_token_counts, op6_line_dedup,
         op7_packing, op8_url_filters, op9_sharding, op10_embedding_near_dedup,
     )
 }

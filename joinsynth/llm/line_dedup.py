@@ -26,15 +26,19 @@ ENDS = "('0', '4', '8', 'c')"
 
 
 def _chunked(docs: DataFrame, text_col: str) -> DataFrame:
-    """Adds ``ld_chunks``: array of (first line, lines, lines not blank, body)."""
+    """Adds ``ld_chunks``: array of (first line, lines, lines not blank, body).
+
+    The one-element explosion is a fence: a filter on the chunks must not be pushed below it, where
+    its copy of these expressions would hash every line once for every line.
+    """
     return (
         docs.withColumn("ld_lines", F.split(F.col(text_col), "\n", -1))
         .withColumn("ld_hash", F.expr("transform(ld_lines, x -> md5(x))"))
         .withColumn("ld_ends", F.expr(f"filter(sequence(1, size(ld_lines)), i -> i = size(ld_lines) or substr(md5(concat(if(i > 1, ld_hash[i - 2], ''), ld_hash[i - 1])), 1, 1) in {ENDS})"))
         .withColumn("ld_starts", F.expr("concat(array(0), slice(ld_ends, 1, size(ld_ends) - 1))"))
-        .withColumn("ld_chunks", F.expr(
-            "zip_with(ld_starts, ld_ends, (s, e) -> named_struct('first', s, 'lines', e - s, 'full', size(filter(slice(ld_lines, s + 1, e - s), x -> trim(x) != '')), 'body', array_join(slice(ld_lines, s + 1, e - s), '\n')))"
-        ))
+        .select("*", F.expr(
+            "explode_outer(array(zip_with(ld_starts, ld_ends, (s, e) -> named_struct('first', s, 'lines', e - s, 'full', size(filter(slice(ld_lines, s + 1, e - s), x -> trim(x) != '')), 'body', array_join(slice(ld_lines, s + 1, e - s), '\n')))))"
+        ).alias("ld_chunks"))
         .drop("ld_lines", "ld_hash", "ld_ends", "ld_starts")
     )
 
@@ -46,13 +50,13 @@ def _keyed(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 def repeated_chunks(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", least_lines: int = 2) -> DataFrame:
     """``ld_key, ld_gone``: for every document that loses something, the numbers of its removed chunks."""
     rows = _keyed(docs.select(F.col(id_col).alias("ld_id"), F.col(text_col).cast("string").alias("ld_text")).filter("ld_text is not null"), "ld_id", "ld_text")
-    flat = _chunked(rows, "ld_text").select("ld_key", F.posexplode("ld_chunks").alias("at", "c")).filter(F.col("c.full") >= least_lines)
+    flat = _chunked(rows, "ld_text").select("ld_key", F.posexplode_outer("ld_chunks").alias("at", "c")).filter(F.col("c.full") >= least_lines)
     flat = flat.select("ld_key", "at", F.xxhash64("c.body").alias("h"))
     twice = cut(flat.groupBy("h").agg(F.count("*").alias("n")).filter("n > 1").select("h"))
     wanted = cut(flat.join(twice, "h").select("ld_key", "at").groupBy("ld_key").agg(F.collect_set("at").alias("maybe")))
     again = rows.join(wanted, "ld_key")
     bodies = (
-        _chunked(again, "ld_text").select("ld_id", "ld_key", "maybe", F.posexplode("ld_chunks").alias("at", "c"))
+        _chunked(again, "ld_text").select("ld_id", "ld_key", "maybe", F.posexplode_outer("ld_chunks").alias("at", "c"))
         .filter("array_contains(maybe, at)").select("ld_id", "ld_key", "at", F.col("c.body").alias("body"))
     )
     bodies = cut(bodies)

@@ -8,7 +8,9 @@ collections of bundles, and every pair (left bundle, right bundle) is the key of
 Copies (equal shingle sets) are one vertex from the start.  In every table cell each member is
 compared with the cell's least member only, a linear number of pairs, confirmed on full sets;
 components are taken; then only cells that still hold several components are compared pair by
-pair, in salted blocks, by sizes and signatures first and again confirmed on full sets.  So a
+pair.  Their members are grouped by left bundle, those outside a group's largest component meet
+all others in salted blocks, sizes and signatures come first, and full sets are brought only for
+members of pairs that are left; a task returns a spanning forest of the links that it finds.  So a
 link is lost only if its documents never meet, or if fewer than ``AGREE`` of 24 hashes agree
 (at similarity 0.75 with probability below 1e-4), and no cell however large meets in one task.
 
@@ -37,8 +39,8 @@ LEFT, LEFT_ROWS, RIGHT, RIGHT_ROWS = 9, 2, 6, 1
 HASHES = LEFT * LEFT_ROWS + RIGHT * RIGHT_ROWS
 #: Equal hashes of 24 from which a pair is confirmed on full sets.
 AGREE = 9
-#: Members of a cell that one block of the second round holds.
-BLOCK = 64
+#: Members of a group that one block of the second round holds.
+BLOCK = 128
 #: Most ids of documents under comparison that are broadcast rather than joined by a shuffle.
 BROADCAST_IDS = 400_000
 
@@ -93,100 +95,205 @@ def _close(n: str, m: str) -> str:
     return f"100 * least({n}, {m}) >= {PERCENT} * greatest({n}, {m})"
 
 
-def _cell_pairs(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Pairs of different components within sorted block pairs of cells, by sizes and signatures."""
-
-    def pairs_of(lo: np.ndarray, first: int, last: int, col: dict) -> tuple[np.ndarray, np.ndarray]:
-        n, sig, comp, block = (col[c][first:last] for c in ("n", "sig", "comp", "block"))
-        i, j = np.triu_indices(last - first, 1) if last - first <= 512 else np.nonzero(np.triu(np.ones((last - first,) * 2, bool), 1))
-        ok = comp[i] != comp[j]
-        if lo[first] != col["hi"][first]:
-            ok &= block[i] != block[j]
-        ok &= 100 * np.minimum(n[i], n[j]) >= PERCENT * np.maximum(n[i], n[j])
-        i, j = i[ok], j[ok]
-        ok = (sig[i] == sig[j]).sum(axis=1) >= AGREE
-        return i[ok] + first, j[ok] + first
-
+def _right_meets(sig: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """Does any right bundle of the pair agree?"""
+    at = LEFT * LEFT_ROWS
+    same = (sig[i, at:] == sig[j, at:]).reshape(len(i), RIGHT, RIGHT_ROWS)
+    return same.all(axis=2).any(axis=1)
+
+
+def _open_pairs(rows: dict, first: int, last: int) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs of one block pair that may be links of different components: by sizes, tables and signatures.
+
+    A pair meets in several groups; it counts in that of its first common left bundle.
+    """
+    n, sig, comp, block, side = (rows[c][first:last] for c in ("n", "sig", "comp", "block", "major"))
+    i, j = np.triu_indices(last - first, 1)
+    ok = (comp[i] != comp[j]) & (100 * np.minimum(n[i], n[j]) >= PERCENT * np.maximum(n[i], n[j]))
+    if rows["vs"][first]:  # a block of the minor members against one of the major ones
+        ok &= side[i] != side[j]
+    elif rows["lo"][first] != rows["hi"][first]:
+        ok &= block[i] != block[j]
+    i, j = i[ok], j[ok]
+    ok = (sig[i] == sig[j]).sum(axis=1) >= AGREE
+    i, j = i[ok], j[ok]
+    same = (sig[i, : LEFT * LEFT_ROWS] == sig[j, : LEFT * LEFT_ROWS]).reshape(len(i), LEFT, LEFT_ROWS).all(axis=2)
+    ok = same.any(axis=1) & (np.argmax(same, axis=1) == rows["bundle"][first]) & _right_meets(sig, i, j)
+    return i[ok], j[ok]
+
+
+def _by_group(batches: Iterator[pa.RecordBatch], names: tuple[str, ...]) -> Iterator[tuple[dict, np.ndarray, np.ndarray]]:
+    """Sorted rows as columns with the edges of their whole groups (gid, vs, lo, hi)."""
     held: list[pa.RecordBatch] = []
 
-    def flush(rows: list[pa.RecordBatch], whole: bool) -> tuple[pa.RecordBatch, list[pa.RecordBatch]]:
+    def columns(rows: list[pa.RecordBatch], whole: bool) -> tuple[dict, np.ndarray, np.ndarray, list[pa.RecordBatch]]:
         table = pa.Table.from_batches(rows).combine_chunks()
-        col = {c: table[c].to_numpy() for c in ("cell", "lo", "hi", "block", "n", "comp", "p1", "p2")}
-        col["sig"] = np.array(table["sig"].combine_chunks().flatten().to_numpy()).reshape(-1, HASHES)
-        new = np.flatnonzero(np.concatenate([[True], (col["cell"][1:] != col["cell"][:-1]) | (col["lo"][1:] != col["lo"][:-1]) | (col["hi"][1:] != col["hi"][:-1])]))
-        end = np.append(new[1:], len(col["cell"]))
-        use = len(new) if whole else len(new) - 1
-        found = [pairs_of(col["lo"], a, b, col) for a, b in zip(new[:use].tolist(), end[:use].tolist(), strict=True)]
-        i = np.concatenate([f[0] for f in found]) if found else np.empty(0, int)
-        j = np.concatenate([f[1] for f in found]) if found else np.empty(0, int)
-        out = pa.RecordBatch.from_arrays([pa.array(col[c][k]) for c, k in (("p1", i), ("p2", i), ("p1", j), ("p2", j))], ["x1", "x2", "y1", "y2"])
-        rest = table.slice(int(new[-1])).to_batches() if not whole else []
-        return out, rest
+        col = {c: table[c].to_numpy(zero_copy_only=False) if c != "sig" else np.array(table[c].combine_chunks().flatten().to_numpy()).reshape(-1, HASHES) for c in names}
+        new = np.zeros(table.num_rows, bool)
+        new[0] = True
+        for c in ("gid", "vs", "lo", "hi"):
+            new[1:] |= col[c][1:] != col[c][:-1]
+        start = np.flatnonzero(new)
+        end = np.append(start[1:], table.num_rows)
+        if whole:
+            return col, start, end, []
+        return col, start[:-1], end[:-1], table.slice(int(start[-1])).to_batches()
 
     for batch in batches:
         if batch.num_rows:
             held.append(batch)
-            out, held = flush(held, False)
-            yield out
+            if sum(b.num_rows for b in held) >= 4096:
+                col, start, end, held = columns(held, False)
+                yield col, start, end
     if held:
-        yield flush(held, True)[0]
+        col, start, end, _ = columns(held, True)
+        yield col, start, end
+
+
+_GROUP = ("gid", "bundle", "vs", "lo", "hi", "block", "major", "n", "comp", "p1", "p2", "sig")
+
+
+def _wanted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(gid, vertex) of every member that has such a pair in its group."""
+    for col, start, end in _by_group(batches, _GROUP):
+        some = np.zeros(len(col["n"]), bool)
+        for a, b in zip(start.tolist(), end.tolist(), strict=True):
+            i, j = _open_pairs(col, a, b)
+            some[a + i] = some[a + j] = True
+        yield pa.RecordBatch.from_arrays([pa.array(col[c][some]) for c in ("gid", "bundle", "p1", "p2")], ["gid", "bundle", "p1", "p2"])
+
+
+def _common(sets: list[np.ndarray], i: np.ndarray, j: np.ndarray) -> np.ndarray:
+    """Sizes of the common parts of pairs of sets."""
+    if len(i) <= 32:
+        return np.array([len(np.intersect1d(sets[a], sets[b], assume_unique=True)) for a, b in zip(i.tolist(), j.tolist(), strict=True)], np.int64)
+    size = [len(s) for s in sets]
+    _, number = np.unique(np.concatenate(sets), return_inverse=True)
+    row = np.repeat(np.arange(len(sets)), size)
+    out = np.zeros((len(sets), len(sets)), np.float32)
+    for at in range(0, int(number.max()) + 1, 4096):  # a strip of the shingles at a time
+        mine = (number >= at) & (number < at + 4096)
+        strip = np.zeros((len(sets), 4096), np.float32)
+        strip[row[mine], number[mine] - at] = 1
+        out += strip @ strip.T
+    return out[i, j].astype(np.int64)
+
+
+def _decide(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Links between different components, on full sets; of those in one block pair a spanning forest."""
+    for col, start, end in _by_group(batches, (*_GROUP, "shingles")):
+        out: list[list[int]] = [[], [], [], []]
+        for a, b in zip(start.tolist(), end.tolist(), strict=True):
+            i, j = _open_pairs(col, a, b)
+            if not len(i):
+                continue
+            used, at = np.unique(np.concatenate([i, j]), return_inverse=True)
+            sets = [np.frombuffer(col["shingles"][a + u], np.uint64) for u in used.tolist()]
+            i, j = at[: len(i)], at[len(i) :]
+            both = _common(sets, i, j)
+            size = np.array([len(s) for s in sets])
+            ok = 100 * both >= PERCENT * (size[i] + size[j] - both)
+            root: dict[int, int] = {}
+
+            def find(c: int, root: dict[int, int] = root) -> int:
+                while root.get(c, c) != c:
+                    c = root[c]
+                return c
+
+            for u, v in zip(used[i[ok]].tolist(), used[j[ok]].tolist(), strict=True):
+                x, y = find(int(col["comp"][a + u])), find(int(col["comp"][a + v]))
+                if x != y:
+                    root[max(x, y)] = min(x, y)
+                    for column, value in zip(out, (col["p1"][a + u], col["p2"][a + u], col["p1"][a + v], col["p2"][a + v]), strict=True):
+                        column.append(int(value))
+        yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in out], ["x1", "x2", "y1", "y2"])
+
 
+def _as_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        sets = [shingle_set(t.as_py(), WORDS) for t in batch.column(0)]
+        p1, p2 = set_prints(sets)
+        yield pa.RecordBatch.from_arrays([pa.array(p1), pa.array(p2), pa.array([s.tobytes() for s in sets], pa.binary())], ["p1", "p2", "shingles"])
+
+
+def _blocked(members: DataFrame) -> DataFrame:
+    """Members (gid, bundle, vertex, n, sig, comp) dealt to block pairs: those outside a group's largest component meet all, block by block."""
+    size = members.groupBy("gid", "comp").agg(F.count("*").alias("m")).groupBy("gid").agg(F.max(F.struct("m", "comp")).alias("top"), F.sum("m").alias("all"))
+    size = cut(size.filter("top.m < all").select("gid", F.col("top.comp").alias("top"), F.col("top.m").alias("majors"), (F.col("all") - F.col("top.m")).alias("minors")))
+    blocks = lambda c: F.ceil(F.col(c) / BLOCK).cast("int")
+    rows = members.join(size, "gid").withColumn("major", F.col("comp") == F.col("top"))
+    rows = rows.withColumns({"block": F.pmod(F.xxhash64("p1", "p2"), F.when(F.col("major"), blocks("majors")).otherwise(blocks("minors"))).cast("int")})
+    cell = lambda vs, lo, hi: F.struct(F.lit(vs).alias("vs"), lo.cast("int").alias("lo"), hi.cast("int").alias("hi"))
+    own = F.col("block")
+    with_minors = F.transform(F.sequence(F.lit(0), blocks("minors") - 1), lambda k: cell(True, k, own))
+    with_majors = F.transform(F.sequence(F.lit(0), blocks("majors") - 1), lambda k: cell(True, own, k))
+    among = F.transform(F.sequence(F.lit(0), blocks("minors") - 1), lambda k: cell(False, F.least(own, k), F.greatest(own, k)))
+    dealt = F.when(F.col("major"), with_minors).when(F.col("minors") > 1, F.concat(with_majors, among)).otherwise(with_majors)
+    return rows.withColumn("to", F.explode(dealt)).select(*(c for c in rows.columns if c not in ("top", "majors", "minors")), "to.*")
+
+
+def _texts(rows: DataFrame, ids: DataFrame) -> DataFrame:
+    """The documents (doc_id, text) of a distinct list of ids."""
+    wanted = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
+    return rows.join(wanted, "doc_id", "left_semi")
 
-def _links(pairs: DataFrame, reps: DataFrame, docs: DataFrame, signatures: bool) -> DataFrame:
-    """Distinct vertex pairs to confirmed links, with the texts of their representatives only."""
-    pairs = pairs.select(_PAIR.replace(" bigint", "").split(", ")).distinct()
+
+def _star_links(members: DataFrame, reps: DataFrame, rows: DataFrame) -> DataFrame:
+    """Pairs of a member and its cell's least member to confirmed links."""
+    pairs = members.filter("x1 != y1 or x2 != y2").select("x1", "x2", "y1", "y2").distinct()
     side = lambda s: reps.select(F.col("p1").alias(f"{s}1"), F.col("p2").alias(f"{s}2"), F.col("rep").alias(f"{s}r"), F.col("n").alias(f"{s}n"), F.col("sig").alias(f"{s}s"))
-    if signatures:
-        pairs = pairs.join(side("x"), ["x1", "x2"]).join(side("y"), ["y1", "y2"]).filter(_close("xn", "yn"))
-        pairs = pairs.filter(f"aggregate(zip_with(xs, ys, (a, b) -> if(a = b, 1, 0)), 0, (s, v) -> s + v) >= {AGREE}")
-    else:
-        pairs = pairs.join(side("x").drop("xs", "xn"), ["x1", "x2"]).join(side("y").drop("ys", "yn"), ["y1", "y2"])
+    pairs = pairs.join(side("x"), ["x1", "x2"]).join(side("y"), ["y1", "y2"]).filter(_close("xn", "yn"))
+    pairs = pairs.filter(f"aggregate(zip_with(xs, ys, (a, b) -> if(a = b, 1, 0)), 0, (s, v) -> s + v) >= {AGREE}")
     pairs = cut(pairs.select("x1", "x2", "y1", "y2", "xr", "yr"))
     ids = cut(pairs.select(F.col("xr").alias("doc_id")).union(pairs.select("yr")).distinct())
-    wanted = F.broadcast(ids) if ids.count() <= BROADCAST_IDS else ids
-    texts = cut(docs.join(wanted, "doc_id", "left_semi"))
+    texts = cut(_texts(rows, ids))
     both = pairs.join(texts.select(F.col("doc_id").alias("xr"), F.col("text").alias("tx")), "xr").join(texts.select(F.col("doc_id").alias("yr"), F.col("text").alias("ty")), "yr")
     return cut(both.select("x1", "x2", "y1", "y2", "tx", "ty").mapInArrow(_confirm, _PAIR))
 
 
+def _block_links(members: DataFrame, placed: DataFrame, rows: DataFrame) -> DataFrame:
+    """Links between members of one cell that lie in different components so far."""
+    width = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    order = ("gid", "vs", "lo", "hi")
+    inside = members.select("cell", "gid", "bundle", F.col("x1").alias("p1"), F.col("x2").alias("p2")).join(placed.select("p1", "p2", "comp"), ["p1", "p2"])
+    open_cells = cut(inside.groupBy("cell").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).filter("c0 != c1").select("cell"))
+    grouped = cut(members.join(open_cells, "cell").select("gid", "bundle", F.col("x1").alias("p1"), F.col("x2").alias("p2")).distinct())
+    info = placed.select("p1", "p2", "n", "sig", "comp")
+    dealt = _blocked(grouped.join(info, ["p1", "p2"])).select(*_GROUP)
+    wanted = cut(dealt.repartition(width, *order).sortWithinPartitions(*order).mapInArrow(_wanted, "gid bigint, bundle int, p1 bigint, p2 bigint").distinct())
+    ids = cut(wanted.select("p1", "p2").distinct().join(placed, ["p1", "p2"]).select(F.col("rep").alias("doc_id")).distinct())
+    # an id on several texts brings them all; only the vertex's own set joins
+    sets = cut(_texts(rows, ids).select("text").mapInArrow(_as_sets, "p1 bigint, p2 bigint, shingles binary").dropDuplicates(["p1", "p2"]))
+    again = _blocked(wanted.join(info, ["p1", "p2"])).select(*_GROUP).join(sets, ["p1", "p2"])
+    return cut(again.repartition(width, *order).sortWithinPartitions(*order).mapInArrow(_decide, _PAIR))
+
+
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: ``doc_id, n_shingles, component_id, kept``; ``component_id`` is the least id reachable by links."""
     rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    spark = docs.sparkSession
     described = cut(rows.mapInArrow(_describe, "doc_id bigint, n_shingles bigint, p1 bigint, p2 bigint, sig array<int>"))
     live = described.filter("n_shingles > 0 and doc_id is not null")
     reps = cut(live.groupBy("p1", "p2").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("sig").alias("sig")))
 
-    left = F.explode(F.transform(F.sequence(F.lit(0), F.lit(LEFT - 1)), lambda i: F.xxhash64(i, *(F.element_at("sig", (i * LEFT_ROWS + r + 1).cast("int")) for r in range(LEFT_ROWS)))))
+    bundle = lambda i: F.struct((i).alias("bundle"), F.xxhash64(i, *(F.element_at("sig", (i * LEFT_ROWS + r + 1).cast("int")) for r in range(LEFT_ROWS))).alias("gid"))
+    left = F.explode(F.transform(F.sequence(F.lit(0), F.lit(LEFT - 1)), bundle)).alias("l")
     at = LEFT * LEFT_ROWS
     right = F.explode(F.transform(F.sequence(F.lit(0), F.lit(RIGHT - 1)), lambda j: F.xxhash64(j + 1000, *(F.element_at("sig", (j * RIGHT_ROWS + r + at + 1).cast("int")) for r in range(RIGHT_ROWS)))))
-    vertex = reps.select("p1", "p2", left.alias("l"), "sig").select("p1", "p2", "l", right.alias("r")).select(F.xxhash64("l", "r").alias("cell"), "p1", "p2")
+    vertex = reps.select("p1", "p2", left, "sig").select("p1", "p2", "l", right.alias("r")).select(F.xxhash64("l.gid", "r").alias("cell"), "p1", "p2", "l.bundle", "l.gid")
 
-    cells = cut(vertex.groupBy("cell").agg(F.count("*").alias("members"), F.min(F.struct("p1", "p2")).alias("y")).filter("members > 1").select("cell", "members", F.col("y.p1").alias("y1"), F.col("y.p2").alias("y2")))
-    members = cut(vertex.join(cells, "cell").select("cell", "members", F.col("p1").alias("x1"), F.col("p2").alias("x2"), "y1", "y2"))
-    first = _links(members.filter("x1 != y1 or x2 != y2"), reps, rows, signatures=True)
+    cells = cut(vertex.groupBy("cell").agg(F.count("*").alias("members"), F.min(F.struct("p1", "p2")).alias("y")).filter("members > 1").select("cell", F.col("y.p1").alias("y1"), F.col("y.p2").alias("y2")))
+    members = cut(vertex.join(cells, "cell").select("cell", "gid", "bundle", F.col("p1").alias("x1"), F.col("p2").alias("x2"), "y1", "y2"))
 
     name = reps.select("p1", "p2", "rep")
     named = lambda pairs: cut(pairs.join(name.select(F.col("p1").alias("x1"), F.col("p2").alias("x2"), F.col("rep").alias("a")), ["x1", "x2"]).join(name.select(F.col("p1").alias("y1"), F.col("p2").alias("y2"), F.col("rep").alias("b")), ["y1", "y2"]).select("a", "b"))
-    edges = named(first)
+    edges = named(_star_links(members, reps, rows))
     tree = components(edges)
-
-    # cells that still hold several components
     placed = cut(reps.join(tree.select(F.col("v").alias("rep"), F.col("component").alias("comp")), "rep", "left").select("p1", "p2", "rep", "n", "sig", F.coalesce("comp", "rep").alias("comp")))
-    inside = members.select("cell", "members", F.col("x1").alias("p1"), F.col("x2").alias("p2")).join(placed.select("p1", "p2", "comp"), ["p1", "p2"])
-    open_cells = cut(inside.groupBy("cell").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).filter("c0 != c1").select("cell"))
-    blocks = F.ceil(F.col("members") / BLOCK).cast("int")
-    rest = (
-        members.select("cell", "members", F.col("x1").alias("p1"), F.col("x2").alias("p2")).join(open_cells, "cell").join(placed.select("p1", "p2", "n", "sig", "comp"), ["p1", "p2"])
-        .withColumn("block", F.pmod(F.xxhash64("p1", "p2"), blocks).cast("int"))
-        .withColumn("other", F.explode(F.sequence(F.lit(0), blocks - 1)))
-        .select("cell", F.least("block", "other").alias("lo"), F.greatest("block", "other").alias("hi"), "block", "n", "comp", "p1", "p2", "sig")
-    )
-    width = int(spark.conf.get("spark.sql.shuffle.partitions"))
-    candidates = rest.repartition(width, "cell", "lo", "hi").sortWithinPartitions("cell", "lo", "hi").mapInArrow(_cell_pairs, _PAIR)
-    second = _links(candidates, reps, rows, signatures=False)
-    tree = components(edges.unionByName(named(second)))
-
-    found = described.join(name, ["p1", "p2"], "left").join(tree.withColumnRenamed("v", "rep"), "rep", "left")
-    mine = F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.coalesce("component", "rep")).otherwise(F.col("doc_id"))
+    more = named(_block_links(members, placed, rows))
+    # components of components
+    at = lambda c: placed.select(F.col("rep").alias(c), F.col("comp").alias(f"{c}_c"))
+    merged = components(more.join(at("a"), "a").join(at("b"), "b").select(F.col("a_c").alias("a"), F.col("b_c").alias("b")))
+    name = cut(placed.join(merged.select(F.col("v").alias("comp"), F.col("component").alias("whole")), "comp", "left").select("p1", "p2", F.coalesce("whole", "comp").alias("component")))
+    found = described.join(name, ["p1", "p2"], "left")
+    mine = F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("component")).otherwise(F.col("doc_id"))
     return found.select("doc_id", "n_shingles", mine.alias("component_id")).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))

@@ -34,7 +34,7 @@ class RelationSpec:
 
     def sql(self) -> str:
         """The text for an engine that knows the tables by name."""
-        return self.source.replace("{", "").replace("}", "")
+        return self.source.replace("{", "").replace("}", "").replace("element_at(", "list_extract(")
 
 
 @dataclass(frozen=True)

@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from ..functions.noise import NoiseSource, tau, tlap_col, uniform_col
 from ..hyper import AttrTree, Node, meet
 from ..relation import Instance
+from ..sources.formats import cut
 from .sensitivity import degree_table, hier_degree, join_attrs
 
 #: Buckets beyond which no degree of a 64-bit count can lie.
@@ -103,12 +104,12 @@ def split_on_attribute(inst: Instance, tree: AttrTree, node: Node, labels: dict[
     known = grid.join(degree, on, "left") if on else grid.crossJoin(degree)
     key = F.concat_ws(",", *(F.col(c).cast("string") for c in on)) if on else F.lit("")
     new = bucket_of(noisy(F.coalesce("deg", F.lit(0)), eps, delta, noise, label_col(node), key), lam).alias(label_col(node))
-    known = known.select(*on, new).persist() if on else known.select(new)
+    known = cut(known.select(*on, new) if on else known.select(new))
     frames, out = [], dict(labels)
     for i, f in enumerate(inst.frames):
         if i in node.atom:
             shared = [c for c in f.columns if c in known.columns]
-            f = f.join(known, shared) if shared else f.crossJoin(known)
+            f = cut(f.join(known, shared) if shared else f.crossJoin(known))
             out[i] = (*below, label_col(node))
         frames.append(f)
     return Instance(inst.spec, tuple(frames)), out, known

@@ -288,12 +288,12 @@ def release_uniformized(inst: Instance, queries: QuerySet, sf_dir: str, eps: flo
     return Release(_finish(stats, plan, settings), plan, queries, ledger)
 
 
-def release_exact_total(inst: Instance, queries: QuerySet, sf_dir: str, eps: float, delta: float, noise: NoiseSource, rounds: int, allow_nonprivate: bool = False) -> Release:
+def release_exact_total(inst: Instance, queries: QuerySet, sf_dir: str, eps: float, delta: float, noise: NoiseSource, rounds: int, allow_nonprivate: bool = False, out: str = "average") -> Release:
     """First broken idea: the kernel with the exact join size as its total, which the total gives away."""
     require(allow_nonprivate, "a release with the exact join size")
     plan, volume = kernel_plan(inst, queries, sf_dir)
     stats = _one(inst, queries, plan, volume, out_size(inst), 1.0)
-    return Release(_finish(stats, plan, KernelSettings(eps, delta, _NoTotal(noise.kind, noise.secret), rounds)), plan, queries, Ledger(eps, delta))
+    return Release(_finish(stats, plan, KernelSettings(eps, delta, _NoTotal(noise.kind, noise.secret), rounds, out)), plan, queries, Ledger(eps, delta))
 
 
 def release_pad_after(inst: Instance, queries: QuerySet, sf_dir: str, eps: float, delta: float, noise: NoiseSource, rounds: int, allow_nonprivate: bool = False) -> Release:

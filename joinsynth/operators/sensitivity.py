@@ -223,7 +223,7 @@ def hier_degree(inst: Instance, rels: Iterable[int], given: tuple[str, ...], lab
     joined = None
     for i in rels:
         part = inst.frames[i].filter("freq > 0").select(*common, *labels.get(i, ())).distinct()
-        joined = part if joined is None else joined.join(part, list(common))
+        joined = part if joined is None else joined.join(part, [c for c in part.columns if c in joined.columns])
     return joined.distinct().groupBy(*given, *own).agg(F.count("*").alias("deg"))
 
 

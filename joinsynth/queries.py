@@ -7,6 +7,7 @@ its relation's attributes, so weights are computed inside the aggregate that the
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 import numpy as np
@@ -161,9 +162,10 @@ def cells(spec: JoinSpec, attrs: tuple[str, ...], n_keys: dict[str, int]) -> tup
     from itertools import product
 
     points = list(product(*(spec.domains[a].values for a in attrs)))
-    log_volume = sum(np.log(n_keys[a]) for a in spec.attrs if spec.domains[a].is_key)
-    hidden = sum(np.log(len(spec.domains[a].values)) for a in spec.attrs if not spec.domains[a].is_key and a not in attrs)
-    return points, float(np.exp(log_volume + hidden)), float(log_volume + hidden + np.log(len(points)))
+    hidden = [n_keys[a] if spec.domains[a].is_key else len(spec.domains[a].values) for a in spec.attrs if a not in attrs]
+    log_volume = sum(math.log(n) for n in hidden)
+    volume = float(math.prod(hidden)) if log_volume < 700 else math.inf
+    return points, volume, log_volume + math.log(len(points))
 
 
 def key_sizes(inst: Instance, sf_dir: str) -> dict[str, int]:

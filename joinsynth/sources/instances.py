@@ -69,7 +69,7 @@ def gen_geometric(spark: SparkSession, k: int) -> Instance:
     for i, n in levels:
         one = spark.range(n).select((F.col("id") * 64 + i).alias("B"), F.lit(2**i).alias("d"))
         keys = one if keys is None else keys.unionByName(one)
-    fan = keys.select("B", F.explode(F.sequence(F.lit(1), F.col("d"))).cast("bigint").alias("x")).withColumn("freq", F.lit(1))
+    fan = keys.select("B", F.explode(F.sequence(F.lit(1).cast("bigint"), F.col("d").cast("bigint"))).alias("x")).withColumn("freq", F.lit(1))
     return _instance(fan.withColumnRenamed("x", "A"), fan.withColumnRenamed("x", "C"))
 
 

@@ -110,8 +110,8 @@ TRIANGLE = JoinSpec("TRIANGLE", (
 ), {"B": _vals(*BRANDS), "M": _vals(*BINS), "G": _vals(*FLAGS)}, group_factor=3)
 
 LINE1 = JoinSpec("LINE1", (
-    RelationSpec("R1", ("G", "Z", "Q"), "select l_returnflag as G, l_linestatus as Z, cast(least(4, floor((l_quantity - 1) / 10)) as int) as Q from {lineitem}"),
-), {"G": _vals(*FLAGS), "Z": _vals(*STATUSES), "Q": _vals(*BINS)})
+    RelationSpec("R1", ("G", "Z", "V"), "select l_returnflag as G, l_linestatus as Z, cast(least(4, floor((l_quantity - 1) / 10)) as int) as V from {lineitem}"),
+), {"G": _vals(*FLAGS), "Z": _vals(*STATUSES), "V": _vals(*BINS)})
 
 SPECS = {s.name: s for s in (TWO, NATION2, CUST_ORD, ORD_LINE, PART_LINE, SUPP_LINE, LANG2, EMB2, CONV2, STAR3, HIER5, PATH3, CHAIN3, TRIANGLE, LINE1)}
 TWO_TABLE = ("TWO", "NATION2", "CUST_ORD", "ORD_LINE", "PART_LINE", "SUPP_LINE", "LANG2", "EMB2", "CONV2")

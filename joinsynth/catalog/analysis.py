@@ -228,10 +228,14 @@ def a07(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame([(i + 1, q, round(e, 3)) for i, (q, e) in enumerate(zip(t.query, t.error, strict=True))], "round int, query int, max_error double")
 
 
-@entry("a08_potential_drop_zero_noise")
+_PSI = {r: f"(select sum(share * ln(share / (m / n))) as psi from (select P, E, t / n as share from wt join truth using (q), n where q1 > 0 and q2 > 0 and w = 1 and t > 0) join cells_{r} using (P, E), n)" for r in range(4)}
+
+
+@entry("a08_potential_drop_zero_noise", kernel_sql(TWO_ANSWERS, size_sql(TWO), _PE, _FAM2, 3,
+       " union all ".join(f"select {r + 1}::int as round, round(a.psi, 7) as potential, round(a.psi - b.psi, 7) as decrease from {_PSI[r]} a, {_PSI[r + 1]} b" for r in range(3))))
 def a08(s: SparkSession, d: str) -> DataFrame:
     t = _trace(s, d)
-    rows = [(i + 1, t.potential[i], t.potential[i] - t.potential[i + 1]) for i in range(3)]
+    rows = [(i + 1, round(t.potential[i], 7), round(t.potential[i] - t.potential[i + 1], 7)) for i in range(3)]
     return s.createDataFrame(rows, "round int, potential double, decrease double")
 
 

@@ -288,10 +288,13 @@ def s16(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame(bad, "rels string, given string")
 
 
-@entry("s17_rs_from_configuration")
+_GRID3 = " union all ".join(f"select label, exp(-{BETA!r} * (s{a} + s{b})) * ({_bound_text(3, i)}) as b from x, (select range::double as s{a} from range(15)), (select range::double as s{b} from range(15))" for i, a, b in ((1, 2, 3), (2, 1, 3), (3, 1, 2)))
+
+
+@entry("s17_rs_from_configuration", f"with x as (select k::int as label, {LAM!r} * pow(2.0, k) as t1, {LAM!r} * pow(2.0, k) as t2, {LAM!r} * pow(2.0, k) as t3, pow({LAM!r} * pow(2.0, k), 2) as t12, pow({LAM!r} * pow(2.0, k), 2) as t13, pow({LAM!r} * pow(2.0, k), 2) as t23 from (values (1), (2), (3)) v(k)) select label, round(max(b), 3) as rs from ({_GRID3}) group by label")
 def s17(s: SparkSession, d: str) -> DataFrame:
     tree = hyper.AttrTree(STAR3)
-    return s.createDataFrame([(k, sensitivity.rs_from_config(STAR3, {n.name: k for n in tree.nodes}, LAM, BETA)) for k in (1, 2, 3)], "label int, rs double")
+    return s.createDataFrame([(k, round(sensitivity.rs_from_config(STAR3, {n.name: k for n in tree.nodes}, LAM, BETA), 3)) for k in (1, 2, 3)], "label int, rs double")
 
 
 @entry("s18_worst_case", "select * from (values ('TWO', 2.0, 31.623), ('TRIANGLE', 1.5, 316.228), ('PATH3', 2.0, 316.228)) t(spec, cover, bags) ")

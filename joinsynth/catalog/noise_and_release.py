@@ -12,9 +12,9 @@ from ..ledger import Ledger
 from ..operators import kernel, partition, release, sensitivity
 from ..queries import Family, QuerySet, answers, dense_answers, domain_frame
 from ..relation import load
-from ..sources.workloads import EVENT_TYPES, HIER5, LINE1, NATION2, PATH3, PRIORITIES, SEGMENTS, STAR3, TRIANGLE, TWO
-from .core import BETA, _DEG, residual, union_all
-from .registry import DELTA, EPS, LAM, SEED, TWO_ANSWERS, answers_sql, entry, ladder_sql, size_sql, tlap_sql, two_queries, uniform_sql
+from ..sources.workloads import BRANDS, EVENT_TYPES, HIER5, LINE1, NATION2, PATH3, PRIORITIES, SEGMENTS, STAR3, TRIANGLE, TWO
+from .core import BETA, _DEG, _rs_sql, residual, union_all
+from .registry import DELTA, EPS, LAM, SEED, TWO_ANSWERS, answers_sql, entry, ladder_sql, rel_sql, size_sql, tlap_sql, two_queries, uniform_sql
 
 ZERO, SEEDED = NoiseSource.zero(), NoiseSource.seeded(SEED)
 TAU_HALF = noise.tau(EPS / 2, DELTA / 2, 1)
@@ -87,7 +87,9 @@ def kernel_sql(answers_text: str, total: str, cell_attrs: dict[str, tuple], fami
     for i, (_, fam) in enumerate(families):
         texts = ", ".join(f"({w.replace(' as string', ' as varchar')})::double" for w in fam.weights)
         weights = f"(select *, unnest([{texts}]) as w{i + 1}, unnest(range({len(fam)})) as q{i + 1} from {weights} x{i})"
-    place = "q1" if n_q == 1 else "q1 * " + str(len(families[1][1])) + " + q2"
+    place = "q1"
+    for i in range(1, n_q):
+        place = f"({place}) * {len(families[i][1])} + q{i + 1}"
     product = " * ".join(f"w{i + 1}" for i in range(n_q))
     on = " and ".join(f"t.q{i + 1} = w.q{i + 1}" for i in range(n_q))
     ctes += [f"wt as materialized (select {', '.join(attrs)}, {place} as q, {product} as w, {', '.join(f'q{i + 1}' for i in range(n_q))} from {weights})",
@@ -193,9 +195,24 @@ _STAR_Q = QuerySet((Family.all_ones() + Family.marginal("S", SEGMENTS), Family.a
 _PATH_Q = QuerySet((Family.all_ones(), Family.all_ones(), Family.all_ones()))
 
 
-@entry("r04_multi_table_bound_zero_noise")
+_SVH = {"S": SEGMENTS, "V": (0, 1, 2, 3, 4), "H": (0, 1, 2, 3, 4)}
+
+
+@entry("r04_multi_table_release_star3_zero_noise", kernel_sql(answers_sql(STAR3, _STAR_Q), size_sql(STAR3), _SVH, [(f"R{i + 1}", f) for i, f in enumerate(_STAR_Q.families)], 2,
+       f"select S, V::int as V, H::int as H, round(m, 3) as mass, rs as dtilde from cells_2, ({_rs_sql(STAR3)})"))
 def r04(s: SparkSession, d: str) -> DataFrame:
-    return release.release_multi_table(load(s, d, STAR3), _STAR_Q, d, EPS, DELTA, ZERO, rounds=2, beta=BETA).cells.select("S", "V", "H", F.round("mass", 3).alias("mass"), F.round("dtilde", 4).alias("dtilde"))
+    out = release.release_multi_table(load(s, d, STAR3), _STAR_Q, d, EPS, DELTA, ZERO, rounds=2, beta=BETA, out="last")
+    return out.cells.select("S", F.col("V").cast("int").alias("V"), F.col("H").cast("int").alias("H"), F.round("mass", 3).alias("mass"), F.round("dtilde", 4).alias("dtilde"))
+
+
+_PATH_Q2 = QuerySet((Family.all_ones() + Family.marginal("B", BRANDS[:3]), Family.all_ones(), Family.all_ones() + Family.prefix("N", (5, 15))))
+
+
+@entry("r04_multi_table_release_path3_zero_noise", kernel_sql(answers_sql(PATH3, _PATH_Q2), size_sql(PATH3), {"B": BRANDS, "NK": tuple(range(25))}, [("R1", _PATH_Q2.families[0]), ("R2", _PATH_Q2.families[1]), ("R3", Family(tuple(w.replace("N <=", "NK <=") for w in _PATH_Q2.families[2].weights)))], 2,
+       f"select B, NK::int as N, round(m, 3) as mass, rs as dtilde from cells_2, ({_rs_sql(PATH3)})"))
+def r04_path(s: SparkSession, d: str) -> DataFrame:
+    out = release.release_multi_table(load(s, d, PATH3), _PATH_Q2, d, EPS, DELTA, ZERO, rounds=2, beta=BETA, out="last")
+    return out.cells.select("B", F.col("N").cast("int").alias("N"), F.round("mass", 3).alias("mass"), F.round("dtilde", 4).alias("dtilde"))
 
 
 @entry("r04_multi_table_total_star3", f"select round(val::double, 3) as total from ({size_sql(STAR3)})")
@@ -237,11 +254,17 @@ def r07(s: SparkSession, d: str) -> DataFrame:
     return partition.partition_true_degrees(_two(s, d), domain_frame(s, d, TWO, "K"), LAM).labels
 
 
-@entry("r08_hierarchical_partition_star3")
+_LEAVES = ", ".join(f"{ladder_sql(f'd{i}', 1.0)} as l{i}" for i in (1, 2, 3))
+_STAR_DEG = "(select N, sum(f1) as d1 from " + rel_sql(STAR3, 0) + " group by N) join (select N, sum(f2) as d2 from " + rel_sql(STAR3, 1) + " group by N) using (N) join (select N, sum(f3) as d3 from " + rel_sql(STAR3, 2) + " group by N) using (N)"
+
+
+@entry("r08_hierarchical_partition_star3", f"select concat_ws(',', l1, l2, l3, {ladder_sql('n', 1.0)}) as config, o as out_size from (select l1, l2, l3, count(*) as n, sum(d1 * d2 * d3)::bigint as o from (select *, {_LEAVES} from {_STAR_DEG}) group by l1, l2, l3)")
 def r08(s: SparkSession, d: str) -> DataFrame:
+    """Configurations with a join: labels of the leaves' degrees per nation, then of the number of nations in the configuration."""
     from ..operators.measures import join_size_vector
 
-    return join_size_vector(partition.partition_hierarchical(load(s, d, STAR3), EPS, DELTA, LAM, ZERO))
+    vector = join_size_vector(partition.partition_hierarchical(load(s, d, STAR3), EPS, DELTA, 1.0, ZERO))
+    return vector.filter("out_size > 0").select("config", "out_size")
 
 
 @entry("r08_hierarchical_union_is_whole", f"select val from ({size_sql(STAR3)})")

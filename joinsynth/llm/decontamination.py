@@ -23,13 +23,16 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import small_batches
+
 #: Bytes of benchmark text sent to the workers at once.
 BLOCK_BYTES = 16 << 20
 #: Bytes of text in one suffix-array shard (a longer document is a shard of its own).
-SHARD_BYTES = 8 << 20
+SHARD_BYTES = 4 << 20
 #: Occurrences expanded at once while hits are marked.
 HIT_STEP = 1 << 21
 
@@ -195,7 +198,7 @@ def scan_shard(texts: list[str | None], block: Block, window: int) -> tuple[list
 
 def _shards(batch: pa.RecordBatch, at: int = 1) -> Iterator[pa.RecordBatch]:
     """Slices of whole rows of about SHARD_BYTES of text."""
-    sizes = np.array([0 if t is None else len(t) for t in batch.column(at).to_pylist()], np.int64)
+    sizes = pc.fill_null(pc.binary_length(batch.column(at)), 0).to_numpy(zero_copy_only=False).astype(np.int64)
     cuts = np.cumsum(sizes) // SHARD_BYTES
     edges = [0, *(np.flatnonzero(np.diff(cuts)) + 1).tolist(), len(sizes)]
     for a, b in zip(edges, edges[1:], strict=False):
@@ -234,6 +237,7 @@ def benchmark_blocks(benchmark: DataFrame, id_col: str = "item_id", text_col: st
 def find_hits(docs: DataFrame, benchmark: DataFrame, window: int = 10, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
     """``doc_id, text, n_words, hits, items``: hit word positions and item ids of every document."""
     spark = docs.sparkSession
+    small_batches(spark)
     id_field = docs.schema[id_col]
     state = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.lit(0).cast("bigint").alias("n_words"), F.array().cast("array<int>").alias("hits"), F.array().cast("array<string>").alias("items"))
     from pyspark.sql.pandas.types import to_arrow_type
@@ -267,6 +271,7 @@ def _clean(block_of: Callable[[], Block], window: int, at: int) -> Callable[[Ite
 
 def clean_only(docs: DataFrame, benchmark: DataFrame, window: int = 10, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
     """The documents, with all their columns, that hold no window of the benchmark."""
+    small_batches(docs.sparkSession)
     out = docs
     for rows in benchmark_blocks(benchmark, item_col, item_text_col):
         sent = docs.sparkSession.sparkContext.broadcast(make_block(rows))

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, small_batches
 from .components import components
 from .shingles import MinHasher, set_prints, shingle_set
 
@@ -271,6 +271,7 @@ def _block_links(members: DataFrame, placed: DataFrame, rows: DataFrame) -> Data
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: ``doc_id, n_shingles, component_id, kept``; ``component_id`` is the least id reachable by links."""
     rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    small_batches(docs.sparkSession)
     described = cut(rows.mapInArrow(_describe, "doc_id bigint, n_shingles bigint, p1 bigint, p2 bigint, sig array<int>"))
     live = described.filter("n_shingles > 0 and doc_id is not null")
     reps = cut(live.groupBy("p1", "p2").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("sig").alias("sig")))

@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut
+from .common import cut, small_batches
 from .token_counts import ByteAlphabet
 
 #: Exact classes are capacity / 2**j for j up to this; a tail is shorter than the last.
@@ -172,6 +172,7 @@ def pack(docs: DataFrame, path: str, capacity: int = 2048, close: int = 1, id_co
     """One row per piece: ``doc_id, start, length, ids_crc32, doc_tokens, sequence_id, offset``.  ``capacity`` is a power of two of at least 128."""
     spark = docs.sparkSession
     rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    small_batches(spark)
     pieces = cut(rows.mapInArrow(_cutting(path, capacity, close), _PIECE))
     held = {r["class"]: r["count"] for r in pieces.groupBy("class").count().collect()}
     width = int(spark.conf.get("spark.sql.shuffle.partitions"))

@@ -27,11 +27,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import small_batches
 from .decontamination import _WORD_BYTES
 from .shingles import _word_hashes
 
 #: Most labelled and unlabelled documents that are used for fitting (expected number).
-LABELLED, POOL = 12_000, 6_000
+LABELLED, POOL = 8_000, 4_000
 #: Hashed words; a word counts if so many labelled documents hold it.
 BITS, LEAST_DOCS = 18, 6
 #: Least chi-square between a word and the label (p about 0.0005).
@@ -207,11 +208,12 @@ def _features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         text, lang, source = (batch.column(i).to_pylist() for i in (1, 2, 3))
         bags = [text_features(t) for t in text]
         pages = [page_features(*x) for x in zip(text, lang, source, strict=True)]
-        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(4), batch.column(5), pa.array(bags, pa.list_(pa.int32())), pa.array(pages, pa.list_(pa.float64()))], ["h", "quality", "toxic", "bag", "page"])
+        yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(4), batch.column(5), pa.array(bags, pa.list_(pa.int32())), pa.array([p.astype(np.float32) for p in pages], pa.list_(pa.float32()))], ["h", "quality", "toxic", "bag", "page"])
 
 
 def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> dict[str, TargetModel | None]:
     """Models of both targets from bounded samples of labelled and unlabelled documents."""
+    small_batches(docs.sparkSession)
     part = lambda c, most, n: F.pmod(F.xxhash64(F.lit(11), c), F.lit(1 << 30)) < int((1 << 30) * min(1.0, most / max(1, n)))
     given = labels.select(F.col("doc_id").cast("bigint").alias("h_id"), F.col("quality").cast("int").alias("quality"), F.col("toxic").cast("int").alias("toxic")).filter("h_id is not null")
     given = given.filter(part("h_id", LABELLED, given.count())).groupBy("h_id").agg(F.min("quality").alias("quality"), F.min("toxic").alias("toxic"))
@@ -222,10 +224,15 @@ def fit(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: st
     joined = rows.join(F.broadcast(given), "h_id", "left").filter(F.col("quality").isNotNull() | F.col("toxic").isNotNull() | part("h_id", POOL, total))
     none = F.lit(-1)
     sample = joined.select(F.xxhash64("h_id").alias("h"), "text", "lang", "source", F.coalesce("quality", none).alias("quality"), F.coalesce("toxic", none).alias("toxic"))
-    found = sample.mapInArrow(_features, "h bigint, quality int, toxic int, bag array<int>, page array<double>").toArrow().sort_by("h")
-    bags = [np.array(b, np.int32) for b in found["bag"].to_pylist()]
-    pages = np.array(found["page"].to_pylist()) if len(bags) else np.zeros((0, _LAYOUT + 2 * CATEGORIES))
-    return {t: co_train(bags, pages, found[t].to_numpy()) for t in ("quality", "toxic")}
+    found = sample.mapInArrow(_features, "h bigint, quality int, toxic int, bag array<int>, page array<float>").toArrow().combine_chunks()
+    bag, page = (found[c].combine_chunks() for c in ("bag", "page"))
+    edges, words = bag.offsets.to_numpy(), bag.values.to_numpy()
+    order = np.argsort(found["h"].to_numpy(), kind="stable")
+    bags = [words[edges[i] : edges[i + 1]].copy() for i in order.tolist()]
+    pages = page.flatten().to_numpy().reshape(-1, _LAYOUT + 2 * CATEGORIES)[order].astype(float)
+    labels = {t: found[t].to_numpy()[order] for t in ("quality", "toxic")}
+    del found, bag, page, words
+    return {t: co_train(bags, pages, y) for t, y in labels.items()}
 
 
 _SCORES = "doc_id bigint, quality_text double, quality_page double, quality double, toxic_text double, toxic_page double, toxic double"
@@ -256,6 +263,7 @@ def score(docs: DataFrame, models: dict[str, TargetModel | None], least_quality:
     """One row per document: the six probabilities and ``accepted``."""
     opt = lambda c: (F.col(c).cast("string") if c in docs.columns else F.lit(None).cast("string")).alias(c)
     rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"), opt("lang"), opt("source"))
+    small_batches(docs.sparkSession)
     sent = docs.sparkSession.sparkContext.broadcast(models)
     out = rows.mapInArrow(_score(lambda: sent.value), _SCORES)
     return out.withColumn("accepted", (F.col("quality") >= least_quality) & (F.col("toxic") < most_toxic))

@@ -24,6 +24,8 @@ from collections.abc import Callable, Iterator
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
+from .common import small_batches
+
 #: Most chunks and words whose counts one Python worker keeps; both caches restart when full.
 CACHE_ENTRIES = 400_000
 #: Longest chunk that is kept.
@@ -155,5 +157,6 @@ def _counting(path: str) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.Rec
 def count_tokens(docs: DataFrame, path: str, limit: int = 2048, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: ``doc_id, n_bytes, n_tokens, over_limit``; a single map stage, no shuffle."""
     rows = docs.selectExpr(f"cast(`{id_col}` as bigint) as doc_id", f"cast(`{text_col}` as string) as text")
+    small_batches(docs.sparkSession)
     counted = rows.mapInArrow(_counting(path), "doc_id bigint, n_bytes bigint, n_tokens bigint")
     return counted.selectExpr("doc_id", "n_bytes", "n_tokens", f"n_tokens > {int(limit)} as over_limit")

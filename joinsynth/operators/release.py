@@ -17,7 +17,7 @@ from ..functions.noise import NoiseSource, tau
 from ..ledger import Ledger, require
 from ..plans.elimination import join_size
 from ..queries import QuerySet, answers, cells, dense_answers, domain_frame, key_sizes
-from ..relation import Instance
+from ..relation import Instance, materialise
 from .kernel import STATS, KernelPlan, KernelSettings, plan_weights, release_groups
 from .partition import Partition, partition_hierarchical, partition_two_table, replication_bound
 from .sensitivity import ResidualBound, SmoothBound, join_attrs, max_degree, out_size, residual_sensitivity
@@ -95,6 +95,7 @@ def _one(inst: Instance, queries: QuerySet, plan: KernelPlan, volume: float, out
 
 def release_single(inst: Instance, queries: QuerySet, sf_dir: str, eps: float, delta: float, noise: NoiseSource | None = None, rounds: int | str = "auto", **kernel: object) -> Release:
     """One table: the kernel with sensitivity one."""
+    inst = materialise(inst)
     return _release(inst, queries, sf_dir, eps, delta, 1.0, noise or NoiseSource.os(), rounds, Ledger(eps, delta), (eps, delta), **kernel)
 
 
@@ -116,7 +117,7 @@ def release_two_table(inst: Instance, queries: QuerySet, sf_dir: str, eps: float
     """Noisy maximum degree, then the kernel at that sensitivity.  ``public_bound`` replaces the noisy degree by a declared cap."""
     if inst.spec.m != 2:
         raise ValueError("the maximum degree bounds the sensitivity of two-table joins only; use release_multi_table")
-    noise = noise or NoiseSource.os()
+    inst, noise = materialise(inst), noise or NoiseSource.os()
     ledger, e, d = _budget(eps, delta, dp, inst.spec.group_factor)
     g = inst.spec.group_factor
     if public_bound is None:
@@ -141,7 +142,7 @@ class _Grouped:
 
 def release_padded(inst: Instance, queries: QuerySet, sf_dir: str, eps: float, delta: float, noise: NoiseSource | None = None, rounds: int | str = "auto", **kernel: object) -> Release:
     """Pad first: uniform domain rows are added to the join before the kernel runs on the padded table with its exact total."""
-    noise = noise or NoiseSource.os()
+    inst, noise = materialise(inst), noise or NoiseSource.os()
     ledger = Ledger(eps, delta)
     dtilde = max_degree(inst).first()[0] + noise.tlap(2 / eps, tau(eps / 2, delta / 2, 1), "degree")
     ledger.spend("maximum degree", eps / 2, delta / 2)
@@ -166,7 +167,7 @@ class _NoTotal(NoiseSource):
 
 def release_multi_table(inst: Instance, queries: QuerySet, sf_dir: str, eps: float, delta: float, noise: NoiseSource | None = None, rounds: int | str = "auto", smooth: SmoothBound | None = None, beta: float | None = None, dp: str = "add_remove", **kernel: object) -> Release:
     """Residual sensitivity (or another smooth bound) raised by noise in the log domain, then the kernel; any join."""
-    noise = noise or NoiseSource.os()
+    inst, noise = materialise(inst), noise or NoiseSource.os()
     ledger, e, d = _budget(eps, delta, dp, inst.spec.group_factor)
     beta = 1 / lam_of(e, d) if beta is None else beta
     bound = (smooth or ResidualBound()).value(inst, beta)
@@ -258,15 +259,19 @@ def release_uniformized(inst: Instance, queries: QuerySet, sf_dir: str, eps: flo
     The parts of a two-table partition are disjoint, so releasing them counts once.  In a hierarchical
     partition a tuple may be in several parts: the budget is divided by a public bound before any noise.
     """
-    noise = noise or NoiseSource.os()
+    inst, noise = materialise(inst), noise or NoiseSource.os()
     ledger = Ledger(eps, delta)
     lam = lam_of(eps, delta) if lam is None else lam
     inner = inner or ("two" if inst.spec.m == 2 else "multi")
     plan, volume = kernel_plan(inst, queries, sf_dir)
     key_share = None
     if partitioner == "two_table":
-        on = join_attrs(inst.spec)
-        domain = domain_frame(inst.spark, sf_dir, inst.spec, on[0])
+        domain = None
+        for a in join_attrs(inst.spec):
+            one = domain_frame(inst.spark, sf_dir, inst.spec, a)
+            domain = one if domain is None else domain.crossJoin(one)
+        if domain is None:
+            raise ValueError("the tables share no attribute: there is one join value and nothing to partition")
         part = partition_two_table(inst, domain, eps / 2, delta / 2, lam, noise)
         ledger.spend("degrees", eps / 2, delta / 2, "parallel over join values")
         whole = domain.count()

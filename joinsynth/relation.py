@@ -45,6 +45,16 @@ def load(spark: SparkSession, sf_dir: str, spec: JoinSpec) -> Instance:
     return Instance(spec, tuple(frequency(source_rows(spark, sf_dir, r), r.attrs) for r in spec.relations))
 
 
+def materialise(inst: Instance) -> Instance:
+    """Frequency tables written once to the shared folder: a release reads them several times, its sources only once.
+
+    A table has at most one row per combination of attributes, whatever the number of source rows.
+    """
+    from .sources.formats import cut
+
+    return Instance(inst.spec, tuple(cut(f) for f in inst.frames))
+
+
 def input_size(inst: Instance) -> DataFrame:
     """(relation, n) of every relation and the whole (relation 'all')."""
     sizes = None

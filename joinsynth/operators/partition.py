@@ -55,11 +55,13 @@ def partition_two_table(inst: Instance, domain: DataFrame, eps: float, delta: fl
     on = list(join_attrs(inst.spec))
     known = domain.select(*on).join(degree_table(inst), on, "left").select(*on, F.coalesce("deg1", F.lit(0)).alias("deg1"), F.coalesce("deg2", F.lit(0)).alias("deg2"))
     key = F.concat_ws(",", *(F.col(c).cast("string") for c in on))
+    # the noisy degree is a column of its own: inside the ladder it would be evaluated once a rung
     if pairs:
-        one, two = (bucket_of(noisy(F.col(f"deg{i}"), eps, delta, noise, f"deg{i}", key), lam) for i in (1, 2))
-        labels = known.select(*on, F.concat_ws(",", one, two).alias("bucket"))
+        noised = known.select(*on, *(noisy(F.col(f"deg{i}"), eps, delta, noise, f"deg{i}", key).alias(f"x{i}") for i in (1, 2)))
+        labels = noised.select(*on, F.concat_ws(",", bucket_of(F.col("x1"), lam), bucket_of(F.col("x2"), lam)).alias("bucket"))
     else:
-        labels = known.select(*on, bucket_of(noisy(F.greatest("deg1", "deg2"), eps, delta, noise, "deg", key), lam).alias("bucket"))
+        noised = known.select(*on, noisy(F.greatest("deg1", "deg2"), eps, delta, noise, "deg", key).alias("x"))
+        labels = noised.select(*on, bucket_of(F.col("x"), lam).alias("bucket"))
     # an equi-join on the join value: broadcast if small by the planner's own size check, else co-partitioned
     frames = tuple(f.join(labels, on) for f in inst.frames)
     return Partition(labels, Instance(inst.spec, frames), ("bucket",))
@@ -103,8 +105,8 @@ def split_on_attribute(inst: Instance, tree: AttrTree, node: Node, labels: dict[
     on = [*given, *below]
     known = grid.join(degree, on, "left") if on else grid.crossJoin(degree)
     key = F.concat_ws(",", *(F.col(c).cast("string") for c in on)) if on else F.lit("")
-    new = bucket_of(noisy(F.coalesce("deg", F.lit(0)), eps, delta, noise, label_col(node), key), lam).alias(label_col(node))
-    known = cut(known.select(*on, new) if on else known.select(new))
+    known = known.withColumn("x", noisy(F.coalesce("deg", F.lit(0)), eps, delta, noise, label_col(node), key))
+    known = cut(known.select(*on, bucket_of(F.col("x"), lam).alias(label_col(node))))
     frames, out = [], dict(labels)
     for i, f in enumerate(inst.frames):
         if i in node.atom:

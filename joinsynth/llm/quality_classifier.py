@@ -41,6 +41,8 @@ CHI = 12.0
 ROUNDS, GROW, SURE, PSEUDO_WEIGHT = 3, 300, 0.97, 0.5
 #: Hashed values of the categorical metadata.
 CATEGORIES = 64
+#: Their size beside the layout statistics: small, so that a source without labels is judged by its layout.
+CATEGORY_SCALE = 0.1
 _LAYOUT = 10
 
 
@@ -69,7 +71,7 @@ def page_features(text: str | None, lang: str | None, source: str | None) -> np.
         min(1.0, 8 * capital / n), len(set(words)) / w, min(2.0, sum(map(len, words)) / w / 8), len(set(lines)) / len(lines), sum(not any(c.isalnum() for c in x) for x in words) / w * 4,
     )
     for k, value in enumerate((lang, source)):
-        out[_LAYOUT + k * CATEGORIES + zlib.crc32(repr(value).encode()) % CATEGORIES] = 1
+        out[_LAYOUT + k * CATEGORIES + zlib.crc32(repr(value).encode()) % CATEGORIES] = CATEGORY_SCALE
     return out
 
 
@@ -117,7 +119,7 @@ class _Pages:
 
     def fit(self, at: np.ndarray, y: np.ndarray, weight: np.ndarray) -> tuple[np.ndarray, float]:
         x = self.x[at]
-        return _fit(lambda w: x @ w, lambda r: x.T @ r, x.shape[1], y, weight, 1e-5, steps=400)
+        return _fit(lambda w: x @ w, lambda r: x.T @ r, x.shape[1], y, weight, 1e-3, steps=400)
 
     def score(self, model: tuple[np.ndarray, float], at: np.ndarray) -> np.ndarray:
         return self.x[at] @ model[0] + model[1]
@@ -133,9 +135,25 @@ def _newton(x: np.ndarray, y: np.ndarray, ridge: float = 1e-2) -> np.ndarray:
     return w
 
 
+def _combine(z: np.ndarray, y: np.ndarray) -> tuple[float, float, float]:
+    """Weights of both views and a shift; a view whose weight would be negative is left out and the rest fitted again."""
+    use = [0, 1]
+    while True:
+        w = _newton(z[:, [*use, 2]], y)
+        if (w[: len(use)] >= 0).all():
+            break
+        use.remove(use[int(np.argmin(w[: len(use)]))])
+    out = [0.0, 0.0, float(w[-1])]
+    for k, x in zip(use, w, strict=False):
+        out[k] = float(x)
+    return tuple(out)
+
+
 def _calibrate(z: np.ndarray, y: np.ndarray) -> tuple[float, float]:
     a, b = _newton(np.stack([z, np.ones(len(z))], 1), y)
-    return float(max(a, 0.0)), float(b)
+    if a < 0:  # no better than the base rate
+        return 0.0, float(_newton(np.ones((len(z), 1)), y)[0])
+    return float(a), float(b)
 
 
 @dataclass
@@ -197,10 +215,10 @@ def co_train(bags: list[np.ndarray], pages: np.ndarray, labels: np.ndarray) -> T
             break
     scales = scale()
     z = np.stack([*(a * v.score(m, check) + b for v, m, (a, b) in zip(views, models, scales, strict=True)), np.ones(len(check))], 1)
-    joint = _newton(z, labels[check].astype(float))
+    joint = _combine(z, labels[check].astype(float))
     wide = np.zeros(1 << BITS)
     wide[keep] = models[0][0]
-    return TargetModel((wide, models[0][1]), models[1], tuple(scales), tuple(np.maximum(joint[:2], 0.0)) + (float(joint[2]),))
+    return TargetModel((wide, models[0][1]), models[1], tuple(scales), joint)
 
 
 def _features(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -259,7 +277,7 @@ def _score(models_of: Callable[[], dict[str, TargetModel | None]]) -> Callable[[
 _NAMES = [c.split()[0] for c in _SCORES.split(", ")]
 
 
-def score(docs: DataFrame, models: dict[str, TargetModel | None], least_quality: float = 0.5, most_toxic: float = 0.5, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def score(docs: DataFrame, models: dict[str, TargetModel | None], least_quality: float = 0.5, most_toxic: float = 0.4, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """One row per document: the six probabilities and ``accepted``."""
     opt = lambda c: (F.col(c).cast("string") if c in docs.columns else F.lit(None).cast("string")).alias(c)
     rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"), opt("lang"), opt("source"))
@@ -269,12 +287,12 @@ def score(docs: DataFrame, models: dict[str, TargetModel | None], least_quality:
     return out.withColumn("accepted", (F.col("quality") >= least_quality) & (F.col("toxic") < most_toxic))
 
 
-def classify(docs: DataFrame, labels: DataFrame, least_quality: float = 0.5, most_toxic: float = 0.5, **names: str) -> DataFrame:
+def classify(docs: DataFrame, labels: DataFrame, least_quality: float = 0.5, most_toxic: float = 0.4, **names: str) -> DataFrame:
     """Fit on samples, score every document."""
     return score(docs, fit(docs, labels, **names), least_quality, most_toxic, **names)
 
 
-def accepted_only(docs: DataFrame, labels: DataFrame, least_quality: float = 0.5, most_toxic: float = 0.5) -> DataFrame:
+def accepted_only(docs: DataFrame, labels: DataFrame, least_quality: float = 0.5, most_toxic: float = 0.4) -> DataFrame:
     """The documents, all their columns as they were, without those rejected: the map adds its verdict to the row, no join."""
     sent = docs.sparkSession.sparkContext.broadcast(fit(docs, labels))
     names = docs.columns

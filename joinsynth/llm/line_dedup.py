@@ -12,6 +12,11 @@ Defined results: a null text stays null with no lines; an empty text has one emp
 of "first" is by id (null first), then text, then place; rows equal in id and text are treated
 alike; a document may lose all its lines and is then returned with an empty text; extra
 columns are carried on by :func:`dedup_lines` unless they bear a reserved name (``ld_...``).
+
+A chunk is compared as a whole, so :func:`dedup_lines` misses passages that no whole chunk of two
+lines lies in.  :func:`dedup_passages` has no boundaries: its unit is every line that is not
+blank together with the next one (and the blank lines between), so every repeated run of two
+lines is compared, wherever it stands.  Units are told apart by their 128-bit digests.
 """
 
 from __future__ import annotations
@@ -80,3 +85,38 @@ def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
         .withColumn("ld_chunks", F.coalesce(F.size("ld_chunks"), F.lit(0)).cast("bigint"))
         .drop("ld_key", "ld_gone", "ld_out")
     )
+
+
+def _units(docs: DataFrame, text_col: str) -> DataFrame:
+    """Adds ``ld_lines`` and ``ld_units``: array of (first line, line after the last, digest of the bytes), one for each two neighbouring lines that are not blank."""
+    # fences as in _chunked: no expression may be copied into a function over lines
+    split = docs.select("*", F.expr(f"explode_outer(array(split(`{text_col}`, '\n', -1)))").alias("ld_lines"))
+    full = split.select("*", F.expr("explode_outer(array(filter(sequence(1, size(ld_lines)), i -> trim(ld_lines[i - 1]) != '')))").alias("ld_full"))
+    pairs = "zip_with(slice(ld_full, 1, greatest(size(ld_full) - 1, 0)), slice(ld_full, 2, greatest(size(ld_full) - 1, 0)), (s, e) -> named_struct('first', s - 1, 'end', e, 'digest', unhex(md5(array_join(slice(ld_lines, s, e - s + 1), '\n')))))"
+    return full.select("*", F.expr(f"explode_outer(array({pairs}))").alias("ld_units")).drop("ld_full")
+
+
+def repeated_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """``ld_key, ld_gone``: for every document that loses something, the numbers of its removed lines."""
+    rows = _keyed(docs.select(F.col(id_col).alias("ld_id"), F.col(text_col).cast("string").alias("ld_text")).filter("ld_text is not null"), "ld_id", "ld_text")
+    flat = _units(rows, "ld_text").select("ld_id", "ld_key", F.explode("ld_units").alias("u")).select("ld_id", "ld_key", "u.*")
+    # a short hash decides which units are dealt by their digests at all
+    flat = flat.withColumn("h", F.xxhash64("digest"))
+    twice = cut(flat.groupBy("h").agg(F.count("*").alias("n")).filter("n > 1").select("h"))
+    again = cut(flat.join(twice, "h").drop("h"))
+    first = cut(again.groupBy("digest").agg(F.min(F.struct("ld_id", "ld_key", "first")).alias("stays")))
+    gone = again.join(first, "digest").filter("not (ld_key = stays.ld_key and first = stays.first)")
+    return cut(gone.groupBy("ld_key").agg(F.collect_set(F.struct("first", "end")).alias("spans")).select("ld_key", F.expr("array_distinct(flatten(transform(spans, s -> sequence(s.first, s.end - 1))))").alias("ld_gone")))
+
+
+def dedup_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """The documents without the lines of repeated runs of two or more lines that are not blank, but their first occurrences, and ``ld_lines, ld_removed_lines``."""
+    marked = _keyed(docs, id_col, text_col).join(repeated_lines(docs, id_col, text_col), "ld_key", "left")
+    whole = marked.select("*", F.expr(f"explode_outer(array(split(`{text_col}`, '\n', -1)))").alias("ld_split"))
+    kept = F.expr("array_join(transform(array_except(sequence(0, size(ld_split) - 1), ld_gone), i -> ld_split[i]), '\n')")
+    return (
+        whole.withColumn(text_col, F.when(F.col("ld_gone").isNull(), F.col(text_col)).otherwise(kept))
+        .withColumn("ld_lines", F.expr("if(ld_split is null, 0, size(ld_split))").cast("bigint"))
+        .withColumn("ld_removed_lines", F.expr("if(ld_gone is null, 0, size(ld_gone))").cast("bigint"))
+        .drop("ld_key", "ld_gone", "ld_split")
+    )

@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from .common import table
 from .decontamination import contamination_report
 from .embedding_dedup import embedding_near_duplicates
-from .line_dedup import dedup_lines
+from .line_dedup import dedup_lines, dedup_passages
 from .minhash_dedup import near_duplicates
 from .oracles import ORACLES  # noqa: F401
 from .packing import pack
@@ -57,6 +57,12 @@ def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return dedup_lines(docs).withColumn("kept_md5", F.md5("text")).drop("text").withColumnsRenamed(names)
 
 
+def op6_passage_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    names = {"ld_lines": "n_lines", "ld_removed_lines": "n_removed_lines"}
+    return dedup_passages(docs).withColumn("kept_md5", F.md5("text")).drop("text").withColumnsRenamed(names)
+
+
 def op7_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(table(spark, sf_dir, "documents"), tokenizer_path("byte_bpe_50k.json"), capacity=2048, close=1)
 
@@ -77,7 +83,7 @@ QUERIES = {
     f.__name__: f
     for f in (
         op1_minhash_near_dedup, op2_quality_classifier, op3_benchmark_decontamination, op4_substring_dedup, op5_token_counts, op6_line_dedup,
-        op7_packing, op8_url_filters, op9_sharding, op10_embedding_near_dedup,
+        op6_passage_dedup, op7_packing, op8_url_filters, op9_sharding, op10_embedding_near_dedup,
     )
 }
 

@@ -194,3 +194,40 @@ def test_embedding_near_duplicates(spark, monkeypatch, most):
     assert ed.embedding_near_duplicates(frame.limit(0)).count() == 0
     twice = ed.embedding_near_duplicates(spark.createDataFrame([(None, [1.0, 0.0]), (4, [1.0, 0.0]), (4, [1.0, 0.0])], "vec_id bigint, embedding array<float>")).collect()
     assert sorted((r.vec_id or 0, r.n_links) for r in twice) == [(0, 0), (4, 1), (4, 1)]
+
+
+def brute_passages(docs):
+    """Lines of every pair of neighbouring lines (blank ones between them aside) that occurred before, by (id, place)."""
+    seen, out = set(), {}
+    for d, text in sorted(docs):
+        lines, gone = text.split("\n"), set()
+        full = [i for i, x in enumerate(lines) if x.strip(" ")]
+        for s, e in zip(full, full[1:], strict=False):
+            unit = "\n".join(lines[s : e + 1])
+            if unit in seen:
+                gone |= set(range(s, e + 1))
+            seen.add(unit)
+        out[d] = "\n".join(x for i, x in enumerate(lines) if i not in gone)
+    return out
+
+
+def test_passages_of_two_to_eight_lines(spark, odd_docs, no_docs):
+    rng = random.Random(4)
+    passages = [[f"passage {k} line {i} " + "word " * 12 for i in range(k % 7 + 2)] for k in range(70)]
+    docs = []
+    for d in range(200):
+        lines = [f"own {rng.random()}" for _ in range(rng.randrange(1, 4))]
+        for _ in range(2):
+            lines += [*rng.choice(passages), *([""] * rng.randrange(2)), f"own {rng.random()}"]
+        docs.append((d, "\n".join(lines)))
+    docs.append((900, "\n".join(f"line {i} {'x' * (i % 3)}" for i in range(20_000))))
+    docs.append((901, docs[-1][1]))
+    frame = spark.createDataFrame([(*d, 3) for d in docs], "doc_id bigint, text string, at int").repartition(4)
+    out = {r.doc_id: r.text for r in line_dedup.dedup_passages(frame).collect()}
+    assert out == brute_passages(docs)
+    for p in passages:
+        body = "\n".join(p)
+        assert sum(body in t for t in out.values()) <= 1
+    odd = {(r.doc_id, r.text, r.ld_removed_lines) for r in line_dedup.dedup_passages(odd_docs).select("doc_id", "text", "ld_removed_lines").collect()}
+    assert (3, None, 0) in odd and (4, "", 0) in odd and {r[0] for r in odd} == {1, 2, 3, 4, 5, 6, 7, 8, 9, 10, None}
+    assert line_dedup.dedup_passages(no_docs).count() == 0

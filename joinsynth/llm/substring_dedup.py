@@ -239,7 +239,7 @@ def _emit_blocks(size: int, parent: int) -> Callable[[Iterator[pa.RecordBatch]],
 
     Blocks are counted backwards from the anchor, so equal windows lie in equally numbered blocks, and
     those have equal common bytes.  A block with windows not found to repeat yet has n 1; of the
-    others one of each kind is told, with n 2.
+    others one of each kind (equal in all their windows, not in the common bytes only) is told, with n 2.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -260,10 +260,11 @@ def _emit_blocks(size: int, parent: int) -> Callable[[Iterator[pa.RecordBatch]],
                     shared = body[at - block * size : at - block * size - size + 1 + WINDOW]
                     h = hashlib.blake2b(shared + f"|{fp}|{block}".encode(), digest_size=16).digest()
                     done = bool(known[first : last + 1].all())
-                    if done and h in told:
-                        continue
                     if done:
-                        told.add(h)
+                        kind = h if size == 1 else hashlib.blake2b(body[first : last + WINDOW] + f"|{fp}|{block}|{at - first}|{at - last}".encode(), digest_size=16).digest()
+                        if kind in told:
+                            continue
+                        told.add(kind)
                     for c, x in zip(out, (fp, span, block, int.from_bytes(h[:8], "little", signed=True), int.from_bytes(h[8:], "little", signed=True), 2 if done else 1), strict=True):
                         c.append(x)
             yield pa.RecordBatch.from_arrays([pa.array(c, pa.int32() if i in (2, 5) else pa.int64()) for i, c in enumerate(out)], ["fp", "span", "block", "k1", "k2", "n"])

@@ -112,6 +112,22 @@ def test_substring_dedup(spark, odd_docs, no_docs, monkeypatch, hot):
     assert sd.cut_repeats(no_docs).count() == 0
 
 
+def test_crowds_whose_contexts_share_a_few_bytes(spark, monkeypatch):
+    monkeypatch.setattr(sd, "HOT", 12)
+    rng = random.Random(6)
+    rand = lambda n: "".join(rng.choice("abcdefgh") for _ in range(n))
+    passage = rand(190)
+    families = [(rand(30), rand(30)) for _ in range(12)]
+    docs = []
+    for left, right in families:
+        docs += [(len(docs) + k, rand(20 + k) + left + passage + right + rand(20 + k)) for k in range(6)]
+        docs += [(len(docs) + k, rand(40) + left[30 - k :] + passage + right[: rng.randrange(10, 16)] + rand(40)) for k in range(1, 16)]
+        docs += [(len(docs) + k, rand(40) + left[30 - rng.randrange(10, 16) :] + passage + right[:k] + rand(40)) for k in range(1, 16)]
+    docs = [(d, t) for d, (_, t) in enumerate(docs)]
+    frame = spark.createDataFrame(docs, "doc_id bigint, text string").repartition(2)
+    assert Counter(tuple(r) for r in sd.cut_repeats(frame).drop("kept").collect()) == Counter(brute_cut(docs))
+
+
 def test_two_stage_order_is_the_suffix_order():
     rng = np.random.default_rng(7)
     for size, letters in ((1, 2), (50, 2), (400, 2), (400, 5), (900, 200)):

@@ -7,6 +7,8 @@ import numpy as np
 import pytest
 
 from joinsynth.llm import decontamination as dc
+from pyspark.sql import functions as F
+
 from joinsynth.llm import packing, sharding, token_counts, url_filters
 from joinsynth.llm.queries import URL_RULES, tokenizer_path
 
@@ -125,6 +127,34 @@ def test_url_rules_and_aliases(spark):
     assert url_filters.judge_urls(frame.limit(0), URL_RULES).count() == 0
 
 
+def test_links_meet_their_pages_in_every_form(spark):
+    """Each target is a blocked page; the linking page has no rule of its own and must be blocked with it."""
+    from urllib.parse import urljoin
+
+    rules = [url_filters.Rule("block", "example.org", "/x/")]
+    base = "http://site.net/x/d/a?q=1"
+    bad = [f"http://example.org/x/{k}?page=2&ref=x" for k in range(6)]
+    canonical, refresh = '<link rel="canonical" href="{}">', '<meta http-equiv="refresh" content="0; url={}">'
+    forms = [(bad[0].replace("&", "&amp;"), canonical), (bad[1].replace("&", "&#38;"), canonical), (bad[2].replace("&", "&#x26;"), canonical),
+             (bad[3].replace("&", "&amp;"), refresh), (bad[4].replace("http://example", "HTTP://EXAMPLE"), canonical), ("http://example.org/y/../x/./5?page=2&ref=x", canonical)]
+    pages = [(k, f"http://from{k}.net/", tag.format(t), None) for k, (t, tag) in enumerate(forms)] + [(100 + k, u, "", None) for k, u in enumerate(bad)]
+    # relative forms: the page and what it names are aliases, and the named page points to a blocked one
+    relative = ["b.html", "?p=2", "../x", "./c", "/r", "../../../t", "//other.net/z", "d/", "g?y/../z"]
+    for k, form in enumerate(relative):
+        here = base.replace("site", f"Site{k}")
+        pages += [(200 + k, here, canonical.format(form), None), (300 + k, urljoin(here, form).replace("Site", "sITE"), refresh.format(bad[0]) if form != "//other.net/z" else canonical.format(bad[0]), None)]
+    # no edge: another scheme, a fragment, a url inside a query
+    pages += [(400, "http://free.net/a", canonical.format("mailto:x@example.org"), None), (401, "http://free.net/b", canonical.format("#top"), None), (402, "http://free.net/c", canonical.format(f"/l?to={bad[0]}"), None)]
+    frame = spark.createDataFrame(pages, "page_id bigint, url string, html string, rule string")
+    got = {r.page_id: r.verdict for r in url_filters.judge_urls(frame, rules).collect()}
+    assert {k for k, v in got.items() if v == "allow"} == {400, 401, 402}
+    text = "a&amp;b&amp;lt;&lt;&copy=1&eacute;&#233;&#xE9;&nope;&#55555555;&&amp"
+    assert spark.range(1).select(url_filters.unescaped(F.lit(text))).first()[0] == "a&b&lt;<&copy=1ééé&nope;&#55555555;&&"
+    table = spark.createDataFrame([("HTTP://Gone.net/o", bad[0])], "a string, b string")
+    gone = spark.createDataFrame([(1, "http://gone.NET/o#f", "")], "page_id bigint, url string, html string")
+    assert url_filters.judge_urls(gone, rules, redirects=table).first().verdict == "block"
+
+
 def test_sharding(spark, odd_docs, no_docs):
     docs = spark.range(3000).selectExpr("id as doc_id", "case when id % 3 = 0 then repeat('same ', 50) else repeat(cast(id as string), cast(id % 90 as int)) end as text", "id as size")
     for frame in (docs, odd_docs):

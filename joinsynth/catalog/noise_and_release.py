@@ -205,7 +205,7 @@ def r04(s: SparkSession, d: str) -> DataFrame:
     return out.cells.select("S", F.col("V").cast("int").alias("V"), F.col("H").cast("int").alias("H"), F.round("mass", 3).alias("mass"), F.round("dtilde", 4).alias("dtilde"))
 
 
-_PATH_Q2 = QuerySet((Family.all_ones() + Family.marginal("B", BRANDS[:3]), Family.all_ones(), Family.all_ones() + Family.prefix("N", (5, 15))))
+_PATH_Q2 = QuerySet((Family.all_ones() + Family.marginal("B", BRANDS), Family.all_ones(), Family.all_ones() + Family.prefix("N", (5, 15))))
 
 
 @entry("r04_multi_table_release_path3_zero_noise", kernel_sql(answers_sql(PATH3, _PATH_Q2), size_sql(PATH3), {"B": BRANDS, "NK": tuple(range(25))}, [("R1", _PATH_Q2.families[0]), ("R2", _PATH_Q2.families[1]), ("R3", Family(tuple(w.replace("N <=", "NK <=") for w in _PATH_Q2.families[2].weights)))], 2,

@@ -31,3 +31,22 @@ def test_query_equals_its_sql(spark, tables, name):
     got, want = QUERIES[name](spark, D).toPandas(), tables.sql(ORACLES[name]).df()
     assert sorted(got.columns) == sorted(want.columns)
     assert rows(got) == rows(want)
+
+
+@pytest.mark.parametrize(("name", "spec", "one"), [("q03_marginals", "NATION2", ""), ("q10_answers_path", "PATH3", "q3 = 0"), ("q10_answers_cyclic", "TRIANGLE", "")])
+def test_marginals_cover_the_whole_domain(spark, name, spec, one):
+    """Every row of the join enters one marginal's answer: they add up to the join size."""
+    from joinsynth.plans.elimination import join_size
+    from joinsynth.relation import load
+    from joinsynth.sources.workloads import SPECS
+
+    size = join_size(load(spark, D, SPECS[spec])).first()[0]
+    assert size > 0
+    assert QUERIES[name](spark, D).filter(one or "true").selectExpr("sum(answer)").first()[0] == pytest.approx(float(size))
+
+
+def test_path_release_asks_for_every_brand():
+    from joinsynth.catalog.noise_and_release import _PATH_Q2
+    from joinsynth.sources.workloads import BRANDS
+
+    assert all(any(f"'{b}'" in w for w in _PATH_Q2.families[0].weights) for b in BRANDS)

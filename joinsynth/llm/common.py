@@ -52,3 +52,21 @@ def deal(frame: DataFrame, rows_per_task: int, *cols: str) -> DataFrame:
 def ascii_lower(column):
     """Lower-case A-Z only; every other character stays."""
     return F.translate(column, "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+
+
+#: Keys that may count as hot: one holds at least this share of all rows, so there are no more of them than its inverse.
+HOT_SHARE, HOT_LEAST = 1e-3, 1_000
+
+
+def look_up(rows: DataFrame, names: DataFrame, keys: list[str], copies: str = "copies") -> DataFrame:
+    """Inner join of ``rows`` with ``names`` (one row a key, ``copies``: its number of rows), both materialised.
+
+    Rows of hot keys meet a broadcast of at most ``1 / HOT_SHARE`` names in place; the others are dealt by key.
+    """
+    total = names.agg(F.coalesce(F.sum(copies), F.lit(0))).first()[0]
+    hot = F.col(copies) >= max(HOT_LEAST, total * HOT_SHARE)
+    few = names.filter(hot).drop(copies)
+    if not few.limit(1).count():
+        return rows.join(names.drop(copies), keys)
+    cold = rows.join(F.broadcast(few.select(*keys)), keys, "left_anti").join(names.filter(~hot).drop(copies), keys)
+    return rows.join(F.broadcast(few), keys).unionByName(cold)

@@ -8,11 +8,14 @@ collections of bundles, and every pair (left bundle, right bundle) is the key of
 Copies (equal shingle sets) are one vertex from the start.  In every table cell each member is
 compared with the cell's least member only, a linear number of pairs, confirmed on full sets;
 components are taken; then only cells that still hold several components are compared pair by
-pair.  Their members are grouped by left bundle, those outside a group's largest component meet
-all others in salted blocks, sizes and signatures come first, and full sets are brought only for
-members of pairs that are left; a task returns a spanning forest of the links that it finds.  So a
-link is lost only if its documents never meet, or if fewer than ``AGREE`` of 24 hashes agree
-(at similarity 0.75 with probability below 1e-4), and no cell however large meets in one task.
+pair.  Their members are dealt once a left bundle rather than once a table (a pair counts where both
+bundles of a table agree).  A group beyond a block is parted by set size, as 0.75 allows sizes of
+the same or the next class of ratio 4/3 only, and into members of its largest component, which need
+no comparison with each other, and the rest; what is larger still goes to pairs of blocks.  Sizes and
+signatures come first, and full sets are brought only for members of pairs that are left; a task
+returns a spanning forest of the links that it finds.  So a link is lost only if its documents never
+meet, or if fewer than ``AGREE`` of 24 hashes agree (at similarity 0.75 with probability below 1e-4),
+and no cell however large meets in one task.
 
 Documents are rows: an id on rows of different texts counts as several vertices.  Null, empty
 and blank texts have no shingles and link with nothing; a null id never is a component's name
@@ -21,6 +24,7 @@ unless the row is alone; repeated rows fall into one component; extra columns ar
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -28,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, small_batches
+from .common import cut, look_up, small_batches
 from .components import components
 from .shingles import MinHasher, set_prints, shingle_set
 
@@ -39,9 +43,11 @@ LEFT, LEFT_ROWS, RIGHT, RIGHT_ROWS = 9, 2, 6, 1
 HASHES = LEFT * LEFT_ROWS + RIGHT * RIGHT_ROWS
 #: Equal hashes of 24 from which a pair is confirmed on full sets.
 AGREE = 9
-#: Members of a group that one block of the second round holds.
-BLOCK = 128
-#: Most ids of documents under comparison that are broadcast rather than joined by a shuffle.
+#: Members of a group that one block of the second round holds, and fewer where sets are large: shingles of a block.
+BLOCK, BLOCK_SHINGLES = 512, 2**21
+#: Pairs of a block pair that are looked at at once.
+STRIP = 2**18
+#: Most ids of documents under comparison (3 MB) that are broadcast rather than joined by a shuffle.
 BROADCAST_IDS = 400_000
 
 
@@ -95,35 +101,40 @@ def _close(n: str, m: str) -> str:
     return f"100 * least({n}, {m}) >= {PERCENT} * greatest({n}, {m})"
 
 
-def _right_meets(sig: np.ndarray, i: np.ndarray, j: np.ndarray) -> np.ndarray:
-    """Does any right bundle of the pair agree?"""
-    at = LEFT * LEFT_ROWS
-    same = (sig[i, at:] == sig[j, at:]).reshape(len(i), RIGHT, RIGHT_ROWS)
-    return same.all(axis=2).any(axis=1)
-
-
 def _open_pairs(rows: dict, first: int, last: int) -> tuple[np.ndarray, np.ndarray]:
     """Pairs of one block pair that may be links of different components: by sizes, tables and signatures.
 
     A pair meets in several groups; it counts in that of its first common left bundle.
     """
-    n, sig, comp, block, side = (rows[c][first:last] for c in ("n", "sig", "comp", "block", "major"))
-    i, j = np.triu_indices(last - first, 1)
-    ok = (comp[i] != comp[j]) & (100 * np.minimum(n[i], n[j]) >= PERCENT * np.maximum(n[i], n[j]))
-    if rows["vs"][first]:  # a block of the minor members against one of the major ones
-        ok &= side[i] != side[j]
-    elif rows["lo"][first] != rows["hi"][first]:
-        ok &= block[i] != block[j]
-    i, j = i[ok], j[ok]
-    ok = (sig[i] == sig[j]).sum(axis=1) >= AGREE
-    i, j = i[ok], j[ok]
-    same = (sig[i, : LEFT * LEFT_ROWS] == sig[j, : LEFT * LEFT_ROWS]).reshape(len(i), LEFT, LEFT_ROWS).all(axis=2)
-    ok = same.any(axis=1) & (np.argmax(same, axis=1) == rows["bundle"][first]) & _right_meets(sig, i, j)
-    return i[ok], j[ok]
+    n, sig, comp, slot = (rows[c][first:last] for c in ("n", "sig", "comp", "slot"))
+    same = rows["lo"][first] == rows["hi"][first]
+    left = np.arange(last - first) if same else np.flatnonzero(slot == rows["lo"][first])
+    right = left if same else np.flatnonzero(slot == rows["hi"][first])
+    at = LEFT * LEFT_ROWS
+    found = [(np.empty(0, np.int64), np.empty(0, np.int64))]
+    step = max(1, STRIP // max(1, len(right)))
+    for k in range(0, len(left), step):
+        part = left[k : k + step]
+        ok = (comp[part][:, None] != comp[right]) & (100 * np.minimum(n[part][:, None], n[right]) >= PERCENT * np.maximum(n[part][:, None], n[right]))
+        if same:
+            ok &= part[:, None] < right
+        i, j = np.nonzero(ok)
+        i, j = part[i], right[j]
+        # a right bundle of one hash or several: does any agree?
+        ok = (sig[i, at:] == sig[j, at:]).reshape(len(i), RIGHT, RIGHT_ROWS).all(axis=2).any(axis=1)
+        i, j = i[ok], j[ok]
+        equal = sig[i] == sig[j]
+        ok = equal.sum(axis=1) >= AGREE
+        i, j, equal = i[ok], j[ok], equal[ok]
+        bundles = equal[:, :at].reshape(len(i), LEFT, LEFT_ROWS).all(axis=2)
+        ok = bundles.any(axis=1) & (np.argmax(bundles, axis=1) == rows["bundle"][first])
+        found.append((i[ok], j[ok]))
+    i, j = zip(*found, strict=True)
+    return np.concatenate(i), np.concatenate(j)
 
 
 def _by_group(batches: Iterator[pa.RecordBatch], names: tuple[str, ...]) -> Iterator[tuple[dict, np.ndarray, np.ndarray]]:
-    """Sorted rows as columns with the edges of their whole groups (gid, vs, lo, hi)."""
+    """Sorted rows as columns with the edges of their whole groups (gid, lo, hi)."""
     held: list[pa.RecordBatch] = []
 
     def columns(rows: list[pa.RecordBatch], whole: bool) -> tuple[dict, np.ndarray, np.ndarray, list[pa.RecordBatch]]:
@@ -131,7 +142,7 @@ def _by_group(batches: Iterator[pa.RecordBatch], names: tuple[str, ...]) -> Iter
         col = {c: table[c].to_numpy(zero_copy_only=False) if c != "sig" else np.array(table[c].combine_chunks().flatten().to_numpy()).reshape(-1, HASHES) for c in names}
         new = np.zeros(table.num_rows, bool)
         new[0] = True
-        for c in ("gid", "vs", "lo", "hi"):
+        for c in ("gid", "lo", "hi"):
             new[1:] |= col[c][1:] != col[c][:-1]
         start = np.flatnonzero(new)
         end = np.append(start[1:], table.num_rows)
@@ -150,7 +161,7 @@ def _by_group(batches: Iterator[pa.RecordBatch], names: tuple[str, ...]) -> Iter
         yield col, start, end
 
 
-_GROUP = ("gid", "bundle", "vs", "lo", "hi", "block", "major", "n", "comp", "p1", "p2", "sig")
+_GROUP = ("gid", "bundle", "lo", "hi", "slot", "n", "comp", "p1", "p2", "sig")
 
 
 def _wanted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -217,19 +228,28 @@ def _as_sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 
 def _blocked(members: DataFrame) -> DataFrame:
-    """Members (gid, bundle, vertex, n, sig, comp) dealt to block pairs: those outside a group's largest component meet all, block by block."""
-    size = members.groupBy("gid", "comp").agg(F.count("*").alias("m")).groupBy("gid").agg(F.max(F.struct("m", "comp")).alias("top"), F.sum("m").alias("all"))
-    size = cut(size.filter("top.m < all").select("gid", F.col("top.comp").alias("top"), F.col("top.m").alias("majors"), (F.col("all") - F.col("top.m")).alias("minors")))
-    blocks = lambda c: F.ceil(F.col(c) / BLOCK).cast("int")
-    rows = members.join(size, "gid").withColumn("major", F.col("comp") == F.col("top"))
-    rows = rows.withColumns({"block": F.pmod(F.xxhash64("p1", "p2"), F.when(F.col("major"), blocks("majors")).otherwise(blocks("minors"))).cast("int")})
-    cell = lambda vs, lo, hi: F.struct(F.lit(vs).alias("vs"), lo.cast("int").alias("lo"), hi.cast("int").alias("hi"))
-    own = F.col("block")
-    with_minors = F.transform(F.sequence(F.lit(0), blocks("minors") - 1), lambda k: cell(True, k, own))
-    with_majors = F.transform(F.sequence(F.lit(0), blocks("majors") - 1), lambda k: cell(True, own, k))
-    among = F.transform(F.sequence(F.lit(0), blocks("minors") - 1), lambda k: cell(False, F.least(own, k), F.greatest(own, k)))
-    dealt = F.when(F.col("major"), with_minors).when(F.col("minors") > 1, F.concat(with_majors, among)).otherwise(with_majors)
-    return rows.withColumn("to", F.explode(dealt)).select(*(c for c in rows.columns if c not in ("top", "majors", "minors")), "to.*")
+    """Members (gid, bundle, vertex, n, sig, comp) dealt to pairs of slots (lo, hi).
+
+    A group within a block is one slot, met with itself.  A larger one has slots by (in the largest component,
+    size class, block by hash); slots meet unless both lie in the largest component or their classes are not neighbours.
+    """
+    size = members.groupBy("gid", "comp").agg(F.count("*").alias("m"), F.sum("n").alias("w")).groupBy("gid").agg(F.max(F.struct("m", "comp")).alias("top"), F.sum("m").alias("all"), F.sum("w").alias("weight"))
+    size = cut(size.filter("top.m < all").select("gid", F.col("top.comp").alias("top"), ((F.col("all") <= BLOCK) & (F.col("weight") <= BLOCK_SHINGLES)).alias("whole")))
+    rows = members.join(size, "gid")
+    kind = F.struct((F.col("comp") == F.col("top")).alias("major"), F.floor(F.log("n") / math.log(100 / PERCENT)).cast("int").alias("class"))
+    alone = rows.filter("whole").select("*", F.lit(0).cast("bigint").alias("slot"), F.lit(0).cast("bigint").alias("lo"), F.lit(0).cast("bigint").alias("hi"))
+    parted = rows.filter("not whole").withColumn("kind", kind)
+    room = F.greatest(F.lit(1.0), F.least(F.lit(float(BLOCK)), F.lit(BLOCK_SHINGLES * PERCENT / 100) / F.pow(F.lit(100 / PERCENT), F.col("kind.class"))))
+    held = cut(parted.groupBy("gid", "kind").agg(F.count("*").alias("m")).select("gid", "kind", F.ceil(F.col("m") / room).cast("bigint").alias("blocks")))
+    slot = lambda kind, block: F.shiftleft(kind["major"].cast("bigint"), 60) + F.shiftleft(kind["class"].cast("bigint"), 48) + block
+    other = held.select("gid", F.col("kind").alias("other"), F.col("blocks").alias("others"))
+    meets = (F.col("kind") <= F.col("other")) & ~(F.col("kind.major") & F.col("other.major")) & (F.abs(F.col("kind.class") - F.col("other.class")) <= 1)
+    pairs = held.join(other, "gid").filter(meets).withColumn("x", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("blocks") - 1)))
+    pairs = pairs.withColumn("y", F.explode(F.sequence(F.when(F.col("kind") == F.col("other"), F.col("x")).otherwise(F.lit(0).cast("bigint")), F.col("others") - 1)))
+    pairs = pairs.select("gid", slot(F.col("kind"), F.col("x")).alias("lo"), slot(F.col("other"), F.col("y")).alias("hi"))
+    ends = cut(pairs.select("gid", F.explode(F.array_distinct(F.array("lo", "hi"))).alias("slot"), "lo", "hi"))
+    placed = parted.join(held, ["gid", "kind"]).withColumn("slot", slot(F.col("kind"), F.pmod(F.xxhash64("p1", "p2"), F.col("blocks")))).drop("kind", "blocks")
+    return alone.unionByName(placed.join(ends, ["gid", "slot"])).drop("top", "whole")
 
 
 def _texts(rows: DataFrame, ids: DataFrame) -> DataFrame:
@@ -254,7 +274,7 @@ def _star_links(members: DataFrame, reps: DataFrame, rows: DataFrame) -> DataFra
 def _block_links(members: DataFrame, placed: DataFrame, rows: DataFrame) -> DataFrame:
     """Links between members of one cell that lie in different components so far."""
     width = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    order = ("gid", "vs", "lo", "hi")
+    order = ("gid", "lo", "hi")
     inside = members.select("cell", "gid", "bundle", F.col("x1").alias("p1"), F.col("x2").alias("p2")).join(placed.select("p1", "p2", "comp"), ["p1", "p2"])
     open_cells = cut(inside.groupBy("cell").agg(F.min("comp").alias("c0"), F.max("comp").alias("c1")).filter("c0 != c1").select("cell"))
     grouped = cut(members.join(open_cells, "cell").select("gid", "bundle", F.col("x1").alias("p1"), F.col("x2").alias("p2")).distinct())
@@ -274,7 +294,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     small_batches(docs.sparkSession)
     described = cut(rows.mapInArrow(_describe, "doc_id bigint, n_shingles bigint, p1 bigint, p2 bigint, sig array<int>"))
     live = described.filter("n_shingles > 0 and doc_id is not null")
-    reps = cut(live.groupBy("p1", "p2").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("sig").alias("sig")))
+    reps = cut(live.groupBy("p1", "p2").agg(F.min("doc_id").alias("rep"), F.first("n_shingles").alias("n"), F.first("sig").alias("sig"), F.count("*").alias("copies")))
 
     bundle = lambda i: F.struct((i).alias("bundle"), F.xxhash64(i, *(F.element_at("sig", (i * LEFT_ROWS + r + 1).cast("int")) for r in range(LEFT_ROWS))).alias("gid"))
     left = F.explode(F.transform(F.sequence(F.lit(0), F.lit(LEFT - 1)), bundle)).alias("l")
@@ -289,12 +309,13 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     named = lambda pairs: cut(pairs.join(name.select(F.col("p1").alias("x1"), F.col("p2").alias("x2"), F.col("rep").alias("a")), ["x1", "x2"]).join(name.select(F.col("p1").alias("y1"), F.col("p2").alias("y2"), F.col("rep").alias("b")), ["y1", "y2"]).select("a", "b"))
     edges = named(_star_links(members, reps, rows))
     tree = components(edges)
-    placed = cut(reps.join(tree.select(F.col("v").alias("rep"), F.col("component").alias("comp")), "rep", "left").select("p1", "p2", "rep", "n", "sig", F.coalesce("comp", "rep").alias("comp")))
+    placed = cut(reps.join(tree.select(F.col("v").alias("rep"), F.col("component").alias("comp")), "rep", "left").select("p1", "p2", "rep", "n", "sig", "copies", F.coalesce("comp", "rep").alias("comp")))
     more = named(_block_links(members, placed, rows))
     # components of components
     at = lambda c: placed.select(F.col("rep").alias(c), F.col("comp").alias(f"{c}_c"))
     merged = components(more.join(at("a"), "a").join(at("b"), "b").select(F.col("a_c").alias("a"), F.col("b_c").alias("b")))
-    name = cut(placed.join(merged.select(F.col("v").alias("comp"), F.col("component").alias("whole")), "comp", "left").select("p1", "p2", F.coalesce("whole", "comp").alias("component")))
-    found = described.join(name, ["p1", "p2"], "left")
-    mine = F.when((F.col("n_shingles") > 0) & F.col("doc_id").isNotNull(), F.col("component")).otherwise(F.col("doc_id"))
-    return found.select("doc_id", "n_shingles", mine.alias("component_id")).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
+    name = cut(placed.join(merged.select(F.col("v").alias("comp"), F.col("component").alias("whole")), "comp", "left").select("p1", "p2", F.coalesce("whole", "comp").alias("component_id"), "copies"))
+    found = look_up(live, name, ["p1", "p2"]).select("doc_id", "n_shingles", "component_id")
+    # rows without shingles or id are alone; they share no key with anything
+    alone = described.filter("n_shingles = 0 or doc_id is null").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
+    return found.unionByName(alone).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))

@@ -46,19 +46,26 @@ select d.doc_id, len(w)::bigint as n_words, coalesce(n_hit, 0)::bigint as n_hit,
 from doc_words d left join hits using (doc_id) left join items using (doc_id)
 """
 
-_CHUNKS = """
-  lines as (select doc_id, unnest(ls) as line, generate_subscripts(ls, 1) as i, len(ls) as n from (select doc_id, string_split(text, chr(10)) as ls from {docs})),
-  marked as (select *, i = n or substr(md5(concat(coalesce(md5(lag(line) over (partition by doc_id order by i)), ''), md5(line))), 1, 1) in ('0', '4', '8', 'c') as ends from lines),
+_OP6 = """
+with
+  split as (select doc_id, string_split(text, chr(10)) as ls from documents),
+  lines as (select doc_id, unnest(ls) as line, generate_subscripts(ls, 1) as i, len(ls) as n from split),
+  hashed as (select *, md5(line) as m, ('0x' || substr(md5(line), 1, 15))::bigint as h, trim(line, ' ') <> '' as filled from lines),
+  rolled as (select *, xor(xor(h, coalesce(lag(h, 1) over w, 0) >> 1), coalesce(lag(h, 2) over w, 0) >> 2) as roll from hashed window w as (partition by doc_id order by i)),
+  marked as (select *, i = n or (roll & 3) = 0 as ends from rolled),
   numbered as (select *, coalesce(sum(ends::int) over (partition by doc_id order by i rows between unbounded preceding and 1 preceding), 0) as place from marked),
-  chunks as (
-    select doc_id, place, count(*) as n, count(*) filter (trim(line, ' ') <> '') as filled, string_agg(line, chr(10) order by i) as body from numbered group by doc_id, place),
-  ranked as (select *, filled >= 2 and row_number() over (partition by body order by doc_id, place) > 1 as gone from chunks)"""
-
-_OP6 = f"""
-with {_CHUNKS.format(docs="documents")}
-select doc_id, sum(n)::bigint as n_lines, count(*)::bigint as n_chunks, count(*) filter (gone)::bigint as n_removed_chunks, coalesce(sum(n) filter (gone), 0)::bigint as n_removed_lines,
-  md5(coalesce(string_agg(body, chr(10) order by place) filter (not gone), '')) as kept_md5
-from ranked group by doc_id
+  chunks as (select doc_id, place, count(*) filter (filled) as filled, string_agg(line, chr(10) order by i) as body from numbered group by doc_id, place),
+  ranked as (select doc_id, filled >= 2 and row_number() over (partition by body order by doc_id, place) > 1 as gone from chunks),
+  by_chunk as (select doc_id, count(*) as n_chunks, count(*) filter (gone) as n_gone from ranked group by doc_id),
+  pairs as (select doc_id, i as s, lead(i) over (partition by doc_id order by i) as e from hashed where filled),
+  bodies as (select p.doc_id, s, e, array_to_string(ls[s:e], chr(10)) as body from pairs p join split using (doc_id) where e is not null),
+  repeats as (select * from (select *, row_number() over (partition by body order by doc_id, s) as k from bodies) where k > 1),
+  lost as (select distinct doc_id, unnest(range(s, e + 1)) as i from repeats),
+  kept as (
+    select l.doc_id, max(n) as n_lines, count(x.i) as n_lost, coalesce(string_agg(line, chr(10) order by l.i) filter (x.i is null), '') as body
+    from lines l left join lost x on x.doc_id = l.doc_id and x.i = l.i group by l.doc_id)
+select k.doc_id, n_lines::bigint as n_lines, n_chunks::bigint as n_chunks, n_gone::bigint as n_removed_chunks, n_lost::bigint as n_removed_lines, md5(body) as kept_md5
+from kept k join by_chunk using (doc_id)
 """
 
 _OP8 = r"""

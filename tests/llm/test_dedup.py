@@ -139,28 +139,39 @@ def test_two_stage_order_is_the_suffix_order():
         assert [bool(s) for s in share[1:]] == [raw[a : a + 3].ljust(3, b"\0") == raw[b : b + 3].ljust(3, b"\0") for a, b in zip(sa, sa[1:], strict=False)]
 
 
-def brute_lines(docs):
-    """Chunks by the stated rule, kept at their first place by (id, place)."""
-    md5 = lambda s: hashlib.md5(s.encode()).hexdigest()
+def brute_chunks(docs):
+    """Numbers of coarse chunks by the stated rule, and of those that occurred before by (id, place)."""
     seen, out = set(), {}
     for d, text in sorted(docs):
-        chunks, own, before = [], [], ""
-        lines = text.split("\n")
+        hashes = [int(hashlib.md5(x.encode()).hexdigest()[:15], 16) for x in text.split("\n")]
+        lines, chunks, own = text.split("\n"), [], []
         for i, line in enumerate(lines):
             own.append(line)
-            h = md5(line)
-            if i == len(lines) - 1 or md5(before + h)[0] in "048c":
+            roll = hashes[i] ^ (hashes[i - 1] >> 1 if i else 0) ^ (hashes[i - 2] >> 2 if i > 1 else 0)
+            if i == len(lines) - 1 or roll % 4 == 0:
                 chunks.append(own)
                 own = []
-            before = h
-        kept = []
+        gone = 0
         for c in chunks:
-            body = "\n".join(c)
-            if sum(bool(x.strip(" ")) for x in c) >= 2 and body in seen:
-                continue
-            seen.add(body)
-            kept.append(body)
-        out[d] = "\n".join(kept)
+            if sum(bool(x.strip(" ")) for x in c) >= 2:
+                gone += "\n".join(c) in seen
+                seen.add("\n".join(c))
+        out[d] = (len(lines), len(chunks), gone)
+    return out
+
+
+def brute_passages(docs):
+    """Without the lines of every pair of neighbouring lines (blank ones between them aside) that occurred before, by (id, place)."""
+    seen, out = set(), {}
+    for d, text in sorted(docs):
+        lines, gone = text.split("\n"), set()
+        full = [i for i, x in enumerate(lines) if x.strip(" ")]
+        for s, e in zip(full, full[1:], strict=False):
+            unit = "\n".join(lines[s : e + 1])
+            if unit in seen:
+                gone |= set(range(s, e + 1))
+            seen.add(unit)
+        out[d] = "\n".join(x for i, x in enumerate(lines) if i not in gone)
     return out
 
 
@@ -177,8 +188,11 @@ def test_line_dedup(spark, odd_docs, no_docs):
     docs.append((99, docs[0][1]))
     frame = spark.createDataFrame([(*d, 3) for d in docs], "doc_id bigint, text string, at int").repartition(4)
     out = line_dedup.dedup_lines(frame).collect()
-    assert {r.doc_id: r.text for r in out} == brute_lines(docs)
+    assert {r.doc_id: r.text for r in out} == brute_passages(docs)
+    assert {r.doc_id: (r.ld_lines, r.ld_chunks, r.ld_removed) for r in out} == brute_chunks(docs)
     assert sum(r.ld_removed for r in out) > 10
+    coarse = {r.doc_id: (r.text, r.ld_removed) for r in line_dedup.dedup_lines(frame, finest=False).collect()}
+    assert all(len(t) >= len(dict((r.doc_id, r.text) for r in out)[d]) for d, (t, _) in coarse.items()) and {d: n for d, (_, n) in coarse.items()} == {r.doc_id: r.ld_removed for r in out}
     odd = {(r.doc_id, r.text, r.ld_removed) for r in line_dedup.dedup_lines(odd_docs).select("doc_id", "text", "ld_removed").collect()}
     assert (3, None, 0) in odd and (4, "", 0) in odd and {r[0] for r in odd} == {1, 2, 3, 4, 5, 6, 7, 8, 9, 10, None}
     assert line_dedup.dedup_lines(no_docs).count() == 0
@@ -212,21 +226,6 @@ def test_embedding_near_duplicates(spark, monkeypatch, most):
     assert sorted((r.vec_id or 0, r.n_links) for r in twice) == [(0, 0), (4, 1), (4, 1)]
 
 
-def brute_passages(docs):
-    """Lines of every pair of neighbouring lines (blank ones between them aside) that occurred before, by (id, place)."""
-    seen, out = set(), {}
-    for d, text in sorted(docs):
-        lines, gone = text.split("\n"), set()
-        full = [i for i, x in enumerate(lines) if x.strip(" ")]
-        for s, e in zip(full, full[1:], strict=False):
-            unit = "\n".join(lines[s : e + 1])
-            if unit in seen:
-                gone |= set(range(s, e + 1))
-            seen.add(unit)
-        out[d] = "\n".join(x for i, x in enumerate(lines) if i not in gone)
-    return out
-
-
 def test_passages_of_two_to_eight_lines(spark, odd_docs, no_docs):
     rng = random.Random(4)
     passages = [[f"passage {k} line {i} " + "word " * 12 for i in range(k % 7 + 2)] for k in range(70)]
@@ -239,11 +238,27 @@ def test_passages_of_two_to_eight_lines(spark, odd_docs, no_docs):
     docs.append((900, "\n".join(f"line {i} {'x' * (i % 3)}" for i in range(20_000))))
     docs.append((901, docs[-1][1]))
     frame = spark.createDataFrame([(*d, 3) for d in docs], "doc_id bigint, text string, at int").repartition(4)
-    out = {r.doc_id: r.text for r in line_dedup.dedup_passages(frame).collect()}
+    out = {r.doc_id: r.text for r in line_dedup.dedup_lines(frame).collect()}
     assert out == brute_passages(docs)
     for p in passages:
         body = "\n".join(p)
         assert sum(body in t for t in out.values()) <= 1
-    odd = {(r.doc_id, r.text, r.ld_removed_lines) for r in line_dedup.dedup_passages(odd_docs).select("doc_id", "text", "ld_removed_lines").collect()}
+    odd = {(r.doc_id, r.text, r.ld_removed_lines) for r in line_dedup.dedup_lines(odd_docs).select("doc_id", "text", "ld_removed_lines").collect()}
     assert (3, None, 0) in odd and (4, "", 0) in odd and {r[0] for r in odd} == {1, 2, 3, 4, 5, 6, 7, 8, 9, 10, None}
-    assert line_dedup.dedup_passages(no_docs).count() == 0
+    assert line_dedup.dedup_lines(no_docs).count() == 0
+
+
+def test_line_dedup_of_repeated_rows_and_taken_names(spark):
+    text = "\none first line\nsecond line\n\nthird line"
+    rows = [(1, text, 5, "a"), (1, text, 5, "a"), (1, text, 6, "b"), (2, "zzz\nsecond line\n\nthird line\nend", 7, "c"), (None, "p\nq", 1, "d"), (None, "p\nq", 1, "e"), (3, "q", 0, None), (3, "q", 0, None)]
+    out = line_dedup.dedup_lines(spark.createDataFrame(rows, "doc_id bigint, text string, ld_lines int, digest string")).collect()
+    got = Counter((r.doc_id, r.text, r._ld_lines, r.ld_removed_lines) for r in out)
+    assert got == Counter({(1, text, 5, 0): 1, (1, "", 5, 4): 2, (2, "zzz\nend", 5, 3): 1, (None, "p\nq", 2, 0): 1, (None, "", 2, 2): 1, (3, "q", 1, 0): 2})
+    assert sorted(r.ld_lines for r in out) == [0, 0, 1, 1, 5, 5, 6, 7]
+
+
+def test_lines_whose_digests_clash_stay(spark, monkeypatch):
+    rows = [(d, f"{d} own\nshared a\nshared b\n{d} end") for d in range(4)]
+    frame = spark.createDataFrame(rows, "doc_id bigint, text string")
+    monkeypatch.setattr(line_dedup, "_clashes", lambda rows: spark.createDataFrame([(hashlib.md5(b"shared a").digest(),)], "digest binary"))
+    assert {r.doc_id: r.text for r in line_dedup.dedup_lines(frame).collect()} == dict(rows)

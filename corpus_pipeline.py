@@ -26,12 +26,12 @@ def quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Repeated chunks of lines are cut; a document that lost all its text goes, one that had none stays.
+    """Lines of repeated chunks are cut; a document that lost all its text goes, one that had none stays.
 
     ``n_chars`` follows the text where it was cut.
     """
-    cut = dedup_lines(docs).filter("ld_removed = 0 or text != ''")
-    chars = F.when(F.col("ld_removed") > 0, F.length("text")).otherwise(F.col("n_chars"))
+    cut = dedup_lines(docs).filter("ld_removed_lines = 0 or text != ''")
+    chars = F.when(F.col("ld_removed_lines") > 0, F.length("text")).otherwise(F.col("n_chars"))
     return cut.withColumn("n_chars", chars.cast(docs.schema["n_chars"].dataType)).select(docs.columns)
 
 

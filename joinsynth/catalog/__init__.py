@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import analysis, core, noise_and_release, user_operators
+from . import analysis, core, noise_and_release, seeded_releases, user_operators
 from .registry import ORACLES, QUERIES
 
-__all__ = ["ORACLES", "QUERIES", "analysis", "core", "noise_and_release", "user_operators"]
+__all__ = ["ORACLES", "QUERIES", "analysis", "core", "noise_and_release", "seeded_releases", "user_operators"]

@@ -35,11 +35,6 @@ def b01(s: SparkSession, d: str) -> DataFrame:
     return out.cells.select("P", "E", F.round("mass", 3).alias("mass"))
 
 
-@entry("b02_pad_after_seeded")
-def b02(s: SparkSession, d: str) -> DataFrame:
-    return release.release_pad_after(load(s, d, TWO), two_queries(), d, EPS, DELTA, SEEDED, 2, allow_nonprivate=True).cells
-
-
 def _independent_sql(share: str) -> str:
     u = uniform_sql("'query'", "q1", "q2")
     scale = f"(100.0 / ({share}))"
@@ -85,25 +80,33 @@ def b07(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame([(round(baselines.flawed_local_noise(load(s, d, TWO), EPS, SEEDED, allow_nonprivate=True), 3),)], "released double")
 
 
-@entry("b08_smooth_sensitivity_tiny", "select true as residual_is_an_upper_bound")
+@entry("b08_smooth_sensitivity_tiny", f"select round((select max(exp(-{BETA!r} * range) * (3 + range)) from range(3)), 6) as least_within_two, round((select max(exp(-{BETA!r} * range) * (3 + range)) from range(100)), 6) as residual")
 def b08(s: SparkSession, d: str) -> DataFrame:
     inst = instances.gen_edges(s)["one_value"]
     domain = [[(1, 1), (2, 1)], [(1, 1), (1, 2)]]
     least = sensitivity.BruteForceSmooth(domain, 2).value(inst, BETA)
-    return s.createDataFrame([(sensitivity.ResidualBound().value(inst, BETA) >= least,)], "residual_is_an_upper_bound boolean")
+    return s.createDataFrame([(round(float(least), 6), round(float(sensitivity.ResidualBound().value(inst, BETA)), 6))], "least_within_two double, residual double")
+
+
+_P3_SQL = """with r1(A, B) as (values (1, 1), (2, 1), (3, 2)), r2(B, C) as (values {}), r3(C, D) as (values (2, 1), (2, 2), (2, 3), (2, 4), (2, 5), (2, 6)),
+  t12 as (select coalesce(max(n), 0) as t from (select count(*) as n from r1 join r2 using (B) group by C)), t23 as (select coalesce(max(n), 0) as t from (select count(*) as n from r2 join r3 using (C) group by B)),
+  t13 as (select (select max(n) from (select count(*) as n from r1 group by B)) * (select max(n) from (select count(*) as n from r3 group by C)) as t)
+  select greatest((select t from t12), (select t from t13), (select t from t23))::bigint as local_sensitivity, (select t from t23)::bigint as t23"""
 
 
-@entry("b09_two_table_rule_on_three", "select 1::bigint as before, 6::bigint as after")
+@entry("b09_two_table_rule_on_three", f"select 'before' as side, * from ({_P3_SQL.format('(2, 3), (1, 4), (1, 5)')}) union all select 'after', * from ({_P3_SQL.format('(2, 3), (1, 4), (1, 5), (1, 2)')})")
 def b09(s: SparkSession, d: str) -> DataFrame:
-    """One unit moves the local sensitivity of three tables by far more than one."""
+    """One unit of the middle table moves a boundary maximum of three tables by six, where two tables allow one."""
     from ..relation import neighbor
 
     spec = instances.JoinSpec("P3", (instances.RelationSpec("R1", ("A", "B"), ""), instances.RelationSpec("R2", ("B", "C"), ""), instances.RelationSpec("R3", ("C", "D"), "")))
-    rows = lambda data, attrs: s.createDataFrame(data, ", ".join(f"{a} bigint" for a in (*attrs, "freq")))
-    inst = instances._instance(rows([(1, 1, 1)], "AB"), rows([(2, 2, 1)], "BC"), rows([(2, i, 1) for i in range(6)], "CD"), spec=spec)
-    before = sensitivity.local_sensitivity(instances._instance(rows([(1, 1, 1)], "AB"), rows([(9, 9, 1)], "BC"), rows([(2, i, 1) for i in range(1)], "CD"), spec=spec))
-    after = sensitivity.local_sensitivity(neighbor(inst, 1, (1, 2), 1))
-    return before.select(F.col("local_sensitivity").alias("before")).crossJoin(after.select(F.col("local_sensitivity").alias("after")))
+    rows = lambda data, attrs: s.createDataFrame([(*r, 1) for r in data], ", ".join(f"{a} bigint" for a in (*attrs, "freq")))
+    inst = instances._instance(rows([(1, 1), (2, 1), (3, 2)], "AB"), rows([(2, 3), (1, 4), (1, 5)], "BC"), rows([(2, i) for i in range(1, 7)], "CD"), spec=spec)
+    out = []
+    for side, x in (("before", inst), ("after", neighbor(inst, 1, (1, 2), 1))):
+        t23 = sensitivity.boundary_max(x, (1, 2)).select(F.col("t").cast("bigint").alias("t23"))
+        out.append(sensitivity.local_sensitivity(x).select(F.lit(side).alias("side"), F.col("local_sensitivity").cast("bigint").alias("local_sensitivity")).crossJoin(t23))
+    return union_all(out)
 
 
 @entry("b10_whole_join_vs_uniformized_staircase", "select r::int as r, round(sqrt(o * r), 4) as whole_join, round(u, 4) as uniformized from (select r, sum(b * b) as o from (values (10), (40)) t(r), (select range as b from range(1, 41)) where b <= r group by r) "
@@ -200,6 +203,14 @@ def a05(s: SparkSession, d: str) -> DataFrame:
     return s.createDataFrame([tuple(round(x, 2) for x in row)], "sensitivity double, join_bound double, uniformized double, single_table double")
 
 
+@entry("a05_lower_bounds_early", f"select round(sqrt(o * b) * {F_LOW_SQL}, 2) as join_bound, round(sqrt(o * b) * {F_LOW_SQL}, 2) > round(o, 2) as above_join_size from {_STATS}")
+def a05_early(s: SparkSession, d: str) -> DataFrame:
+    inst = load(s, d, TWO)
+    o, b = float(sensitivity.out_size(inst)), float(sensitivity.max_degree(inst).first()[0])
+    low = round(bounds.lower_join(o, b, bounds.f_low(_log_domain(s, d), EPS), "early"), 2)
+    return s.createDataFrame([(low, low > round(o, 2))], "join_bound double, above_join_size boolean")
+
+
 @entry("a06_join_size_vector", f"select bucket, count(*)::bigint as n_keys, coalesce(sum(deg1 * deg2), 0)::bigint as out_size from {_LABELS} x left join {_DEG} g on g.K = x.K group by bucket")
 def a06(s: SparkSession, d: str) -> DataFrame:
     return measures.join_size_vector(partition.partition_true_degrees(load(s, d, TWO), domain_frame(s, d, TWO, "K"), LAM))
@@ -308,6 +319,24 @@ def w03(s: SparkSession, d: str) -> DataFrame:
     return join_size(inst).select(F.col("val").cast("bigint").alias("out_size")).crossJoin(inst.frames[1].agg(F.max("C").cast("bigint").alias("side")))
 
 
+_W03 = {
+    "star": instances.JoinSpec("S3", (instances.RelationSpec("R1", ("A", "B"), ""), instances.RelationSpec("R2", ("A", "C"), ""), instances.RelationSpec("R3", ("A", "D"), ""))),
+    "cycle": instances.JoinSpec("C3", (instances.RelationSpec("R1", ("A", "B"), ""), instances.RelationSpec("R2", ("B", "C"), ""), instances.RelationSpec("R3", ("C", "A"), ""))),
+}
+_PRIORITY_COUNTS = "(select row_number() over (order by o_orderpriority) as v, count(*) as n from orders group by o_orderpriority)"
+
+for _n in _W03:
+    @entry(f"w03_hard_{_n}", f"select v::bigint as A, (9 * n)::bigint as answer, (9 * max(n) over ())::bigint as largest from {_PRIORITY_COUNTS}")
+    def _w03(s: SparkSession, d: str, name: str = _n) -> DataFrame:
+        """Every value's count amplified by the wanted sensitivity of nine, on a star and on a cycle."""
+        from pyspark.sql import Window as W
+
+        counts = s.read.parquet(f"{d}/orders.parquet").groupBy("o_orderpriority").agg(F.count("*").alias("freq"))
+        table = counts.withColumn("A", F.row_number().over(W.orderBy("o_orderpriority"))).select("A", "freq")  # five rows
+        found = join_size(instances.gen_hard_multi(_W03[name], table, 9), ("A",)).select("A", F.col("val").cast("bigint").alias("answer"))
+        return found.crossJoin(found.agg(F.max("answer").alias("largest")))
+
+
 @entry("w04_staircase", "select * from (values ('10', 55::bigint, 55::bigint, 385::bigint, 10::bigint), ('100', 5050, 5050, 338350, 100)) t(name, n1, n2, out_size, local_sensitivity)")
 def w04(s: SparkSession, d: str) -> DataFrame:
     return union_all([_described(instances.gen_staircase(s, r), str(r)) for r in (10, 100)])
@@ -318,23 +347,27 @@ def w05(s: SparkSession, d: str) -> DataFrame:
     return union_all([_described(instances.gen_geometric(s, k), str(k)) for k in (8, 64, 512)])
 
 
-@entry("w05_gain_grows_with_k")
+@entry("w05_gain_grows_with_k", "select k::int as k, round(sqrt(o * d), 4) as whole_join, round(u, 4) as uniformized, round(sqrt(o * d) / u, 6) as gain from "
+       "(select k, sum(n * pow(4, i)) as o, max(pow(2, i)) as d from lv group by k) join (select k, sum(sqrt(o * pow(2, b))) as u from (select k, greatest(1, i) as b, sum(n * pow(4, i)) as o from lv group by 1, 2) group by k) using (k)".replace(
+           "lv", "(select k, i, floor(k * k / pow(8, i)) as n from (values (8, 2), (64, 4), (512, 6)) t(k, m), (select range as i from range(7)) where i <= m)"))
 def w05_gain(s: SparkSession, d: str) -> DataFrame:
     out = []
     for k in (8, 64, 512):
         inst = instances.gen_geometric(s, k)
         part = partition.partition_true_degrees(inst, inst.frames[0].select("B").distinct(), 1.0)
-        out.append(measures.gain(part).select(F.lit(k).alias("k"), "whole_join", "uniformized", (F.col("whole_join") / F.col("uniformized")).alias("gain")))
+        out.append(measures.gain(part).select(F.lit(k).alias("k"), F.round("whole_join", 4).alias("whole_join"), F.round("uniformized", 4).alias("uniformized"), F.round(F.col("whole_join") / F.col("uniformized"), 6).alias("gain")))
     return union_all(out)
 
 
-@entry("w06_hard_vector_conforms", "select true as conforms")
+@entry("w06_hard_vector_conforms", f"select bucket, out_size, true as conforms from (select bucket, sum(deg1 * deg2)::bigint as out_size from {_LABELS} x join {_DEG} g on g.K = x.K group by bucket) where out_size > 0")
 def w06(s: SparkSession, d: str) -> DataFrame:
     vector = {b: int(o) for b, o in _vector(s, d) if o > 0}
     inst = instances.gen_hard_vector(s, vector, LAM)
     part = partition.partition_true_degrees(inst, inst.frames[0].select("B").unionByName(inst.frames[1].select("B")).distinct(), LAM)
     target = s.createDataFrame(sorted(vector.items()), "bucket int, out_size bigint")
-    return measures.conforms(measures.join_size_vector(part), target, "bucket", 2.0)
+    made = measures.join_size_vector(part).select("bucket", F.col("out_size").alias("made"))
+    both = target.join(made, "bucket", "left")
+    return both.select("bucket", "out_size", F.coalesce((F.col("made") <= 2 * F.col("out_size")) & (F.col("out_size") <= 2 * F.col("made")), F.lit(False)).alias("conforms"))
 
 
 for _n in ("HIER5", "PATH3", "STAR3", "TRIANGLE"):
@@ -363,11 +396,6 @@ def w07(s: SparkSession, d: str) -> DataFrame:
     return join_size(load(s, d, HIER5), ("A",)).select("A", F.col("val").cast("bigint").alias("val"))
 
 
-@entry("w16_single_table_noisy_release_seeded")
-def w16(s: SparkSession, d: str) -> DataFrame:
-    return release.release_single(load(s, d, LINE1), _LINE_Q, d, EPS, DELTA, SEEDED, max_rounds=50).cells
-
-
 @entry("w12_star_gain_by_family", f"select H, sum(f1 * f2 * f3)::bigint as val from {rel_sql(STAR3, 0)} a join {rel_sql(STAR3, 1)} b using (N) join {rel_sql(STAR3, 2)} c using (N) group by H")
 def w12(s: SparkSession, d: str) -> DataFrame:
     return join_size(load(s, d, STAR3), ("H",)).select("H", F.col("val").cast("bigint").alias("val"))

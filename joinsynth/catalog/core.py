@@ -133,10 +133,10 @@ for _name, (_spec, _queries) in _FAMILIES.items():
     )
 
 
-@entry("q07_sampled_queries", "select count(*)::bigint as n, 144::bigint as total from range(20)")
+@entry("q07_sampled_queries", "select (range // 12)::int as q1, (range % 12)::int as q2 from range(144) order by md5(concat_ws('|', 3, range)) limit 20")
 def q07_sample(s: SparkSession, d: str) -> DataFrame:
     queries = QuerySet((Family.random_sign(("P",), 12, SEED), Family.random_sign(("E",), 12, SEED)))
-    return s.createDataFrame([(len(set(queries.sample(20, 3))), len(queries))], "n bigint, total bigint")
+    return s.createDataFrame(queries.sample(20, 3), "q1 int, q2 int")
 
 
 @entry("q08_answers_naive", f"select q1, q2, round(answer, 3) as answer from ({TWO_ANSWERS}) where round(answer, 3) <> 0")
@@ -278,14 +278,26 @@ def s15(s: SparkSession, d: str) -> DataFrame:
     return sensitivity.degree_product(load(s, d, HIER5), (2, 3, 4))
 
 
-@entry("s16_factor_structure", "select * from (values ('1', 'A,B'), ('2', 'A,B'), ('3', 'A,B,G'), ('4', 'A,B,G'), ('5', 'A'), ('3,4', 'A,B'), ('1,2', 'A'), ('1,2,3,4', 'A')) t(rels, given) where false")
+# Factors of the largest hierarchical join by the rule: relations of one attribute, given its ancestors.
+_FACTORS = (("1", "A,B"), ("2", "A,B"), ("3", "A,B,G"), ("4", "A,B,G"), ("5", "A"), ("3,4", "A,B"), ("1,2,3,4", "A"), ("1,2,3,4,5", ""))
+
+
+def _factor_sql(rels: str, given: str) -> str:
+    numbers = [int(x) - 1 for x in rels.split(",")]
+    if len(numbers) == 1:
+        rows = f"({HIER5.relations[numbers[0]].sql()})"
+    else:
+        common = ", ".join(hyper.meet(HIER5, numbers))
+        rows = "(select * from " + " join ".join(f"(select distinct {common} from ({HIER5.relations[i].sql()})) f{i}" + (f" using ({common})" if k else "") for k, i in enumerate(numbers)) + ")"
+    return f"select '{rels}' as rels, '{given}' as given, (select max(c) from (select count(*) as c from {rows}{' group by ' + given if given else ''}))::bigint as mdeg"
+
+
+@entry("s16_factor_structure", " union all ".join(_factor_sql(*f) for f in _FACTORS))
 def s16(s: SparkSession, d: str) -> DataFrame:
-    """Factors that break the rule (relations and given attributes are those of one tree node): none."""
-    tree = hyper.AttrTree(HIER5)
-    allowed = {(n.atom, tree.ancestors(n)) for n in tree.nodes}
-    factors = {f for e in sensitivity.subsets(5) if e for f in hyper.product_factors(HIER5, e)}
-    bad = [(",".join(str(i + 1) for i in e), ",".join(y)) for e, y in factors if len(e) > 1 and (frozenset(e), y) not in allowed and not any(frozenset(e) <= n.atom for n in tree.nodes)]
-    return s.createDataFrame(bad, "rels string, given string")
+    """Every factor of the degree product of any boundary, with its value: each belongs to one node of the attribute tree."""
+    factors = {f for e in sensitivity.subsets(5, proper=False) if e for f in hyper.product_factors(HIER5, e)}
+    inst = load(s, d, HIER5)
+    return union_all([sensitivity.hier_max_degree(inst, e, y).select(F.lit(",".join(str(i + 1) for i in e)).alias("rels"), F.lit(",".join(y)).alias("given"), "mdeg") for e, y in sorted(factors)])
 
 
 _GRID3 = " union all ".join(f"select label, exp(-{BETA!r} * (s{a} + s{b})) * ({_bound_text(3, i)}) as b from x, (select range::double as s{a} from range(15)), (select range::double as s{b} from range(15))" for i, a, b in ((1, 2, 3), (2, 1, 3), (3, 1, 2)))

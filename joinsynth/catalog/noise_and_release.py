@@ -10,7 +10,8 @@ from ..functions import bounds, noise
 from ..functions.noise import NoiseSource
 from ..ledger import Ledger
 from ..operators import kernel, partition, release, sensitivity
-from ..queries import Family, QuerySet, answers, dense_answers, domain_frame
+from ..hyper import JoinSpec
+from ..queries import Family, QuerySet, answers, dense_answers, domain_frame, joint_domain
 from ..relation import load
 from ..sources.workloads import BRANDS, EVENT_TYPES, HIER5, LINE1, NATION2, PATH3, PRIORITIES, SEGMENTS, STAR3, TRIANGLE, TWO
 from .core import BETA, _DEG, _rs_sql, residual, union_all
@@ -111,6 +112,10 @@ _PE = {"P": PRIORITIES, "E": EVENT_TYPES}
 _FAM2 = [("R1", two_queries().families[0]), ("R2", two_queries().families[1])]
 
 
+def _domain(s: SparkSession, d: str, spec: JoinSpec) -> partition.Domain:
+    return lambda attrs: joint_domain(s, d, spec, attrs)
+
+
 def _two(s: SparkSession, d: str):
     return load(s, d, TWO)
 
@@ -176,25 +181,12 @@ def r02(s: SparkSession, d: str) -> DataFrame:
     return out.cells.select("P", "E", F.round("mass", 3).alias("mass"), "dtilde")
 
 
-@entry("r02_two_table_release_seeded")
-def r02_seeded(s: SparkSession, d: str) -> DataFrame:
-    return release.release_two_table(_two(s, d), two_queries(), d, EPS, DELTA, SEEDED, max_rounds=50).cells
-
-
 @entry("r02_noisy_degree_seeded", f"select round(b + {tlap_sql('2.0', repr(TAU_HALF), 'u')}, 6) as dtilde from (select greatest(max(deg1), max(deg2)) as b from {_DEG}), (select {uniform_sql(chr(39) + 'degree' + chr(39))} as u)")
 def r02_degree(s: SparkSession, d: str) -> DataFrame:
     return release.release_two_table(_two(s, d), two_queries(), d, EPS, DELTA, SEEDED, rounds=1).cells.select(F.round("dtilde", 6).alias("dtilde")).distinct()
 
 
-@entry("r03_padded_release_seeded")
-def r03(s: SparkSession, d: str) -> DataFrame:
-    return release.release_padded(_two(s, d), two_queries(), d, EPS, DELTA, SEEDED, max_rounds=20).cells
-
-
 _STAR_Q = QuerySet((Family.all_ones() + Family.marginal("S", SEGMENTS), Family.all_ones(), Family.all_ones() + Family.prefix("H", (1, 3))))
-_PATH_Q = QuerySet((Family.all_ones(), Family.all_ones(), Family.all_ones()))
-
-
 _SVH = {"S": SEGMENTS, "V": (0, 1, 2, 3, 4), "H": (0, 1, 2, 3, 4)}
 
 
@@ -221,11 +213,6 @@ def r04_total(s: SparkSession, d: str) -> DataFrame:
     return out.cells.agg(F.round(F.sum("mass"), 3).alias("total"))
 
 
-for _spec, _q in ((PATH3, _PATH_Q), (TRIANGLE, QuerySet((Family.all_ones(),) * 3))):
-    entry(f"r04_multi_table_release_{_spec.name.lower()}_seeded")(
-        lambda s, d, p=_spec, q=_q: release.release_multi_table(load(s, d, p), q, d, EPS, DELTA, SEEDED, rounds=2).cells
-    )
-
 _LABELS = f"(select c_custkey as K, {ladder_sql('greatest(coalesce(deg1, 0), coalesce(deg2, 0))', LAM)} as bucket from customer left join {_DEG} on K = c_custkey)"
 
 
@@ -235,11 +222,6 @@ def r05(s: SparkSession, d: str) -> DataFrame:
     return out.cells.groupBy("sub_id").agg(F.round(F.sum("mass")).cast("bigint").alias("total"))
 
 
-@entry("r05_uniformized_release_seeded")
-def r05_seeded(s: SparkSession, d: str) -> DataFrame:
-    return release.release_uniformized(_two(s, d), two_queries(), d, EPS, DELTA, SEEDED, max_rounds=20).cells
-
-
 _NOISY = f"greatest(coalesce(deg1, 0), coalesce(deg2, 0)) + {tlap_sql('2.0', repr(TAU_HALF), 'u')}"
 
 
@@ -263,7 +245,7 @@ def r08(s: SparkSession, d: str) -> DataFrame:
     """Configurations with a join: labels of the leaves' degrees per nation, then of the number of nations in the configuration."""
     from ..operators.measures import join_size_vector
 
-    vector = join_size_vector(partition.partition_hierarchical(load(s, d, STAR3), EPS, DELTA, 1.0, ZERO))
+    vector = join_size_vector(partition.partition_hierarchical(load(s, d, STAR3), EPS, DELTA, 1.0, ZERO, _domain(s, d, STAR3)))
     return vector.filter("out_size > 0").select("config", "out_size")
 
 
@@ -271,17 +253,17 @@ def r08(s: SparkSession, d: str) -> DataFrame:
 def r08_whole(s: SparkSession, d: str) -> DataFrame:
     from ..operators.measures import join_size_vector
 
-    return join_size_vector(partition.partition_hierarchical(load(s, d, STAR3), EPS, DELTA, LAM, SEEDED)).agg(F.sum("out_size").alias("val"))
+    return join_size_vector(partition.partition_hierarchical(load(s, d, STAR3), EPS, DELTA, LAM, SEEDED, _domain(s, d, STAR3))).agg(F.sum("out_size").alias("val"))
 
 
 @entry("r08_hierarchical_union_is_whole_hier5", f"select val from ({size_sql(HIER5)})")
 def r08_hier5(s: SparkSession, d: str) -> DataFrame:
     from ..operators.measures import join_size_vector
 
-    return join_size_vector(partition.partition_hierarchical(load(s, d, HIER5), EPS, DELTA, LAM, ZERO)).agg(F.sum("out_size").alias("val"))
+    return join_size_vector(partition.partition_hierarchical(load(s, d, HIER5), EPS, DELTA, LAM, ZERO, _domain(s, d, HIER5))).agg(F.sum("out_size").alias("val"))
 
 
-_ND = "(select c_nationkey as N, count(*) as deg from customer group by 1)"
+_ND = "(select n_nationkey as N, count(c_custkey) as deg from nation left join customer on c_nationkey = n_nationkey group by 1)"
 
 
 @entry("r09_split_on_leaf", f"select N, {ladder_sql('deg', LAM)} as c_S from {_ND}")
@@ -291,21 +273,10 @@ def r09(s: SparkSession, d: str) -> DataFrame:
     inst = load(s, d, STAR3)
     tree = AttrTree(STAR3)
     leaf = next(n for n in tree.nodes if n.attrs == ("S",))
-    _, _, known = partition.split_on_attribute(inst, tree, leaf, {}, EPS, DELTA, LAM, ZERO)
+    _, _, known = partition.split_on_attribute(inst, tree, leaf, {}, {}, _domain(s, d, STAR3), EPS, DELTA, LAM, ZERO)
     return known.select("N", "c_S")
 
 
-@entry("r10_inner_release_choice", f"select 'two' as inner_release, greatest(max(deg1), max(deg2))::double as bound from {_DEG} union all select 'multi', greatest(max(deg1), max(deg2))::double from {_DEG}")
-def r10(s: SparkSession, d: str) -> DataFrame:
-    inst = _two(s, d)
-    return s.createDataFrame([("two", float(sensitivity.max_degree(inst).first()[0])), ("multi", round(residual(s, d, TWO), 6))], "inner_release string, bound double")
-
-
-@entry("r11_hierarchical_release_star3_seeded")
-def r11(s: SparkSession, d: str) -> DataFrame:
-    return release.release_uniformized(load(s, d, STAR3), _STAR_Q, d, EPS, DELTA, SEEDED, rounds=2, partitioner="hierarchical", n_max=1000.0).cells
-
-
 _PAIR_LABEL = f"concat_ws(',', {ladder_sql('coalesce(deg1, 0)', LAM)}, {ladder_sql('coalesce(deg2, 0)', LAM)})"
 
 
@@ -322,9 +293,10 @@ def r13(s: SparkSession, d: str) -> DataFrame:
     return out.to_rows(ZERO, "nearest").groupBy("P", "E").agg(F.count("*").alias("n"))
 
 
-@entry("r14_substitution_budget", "select 0.5::double as eps, 5e-7::double as delta")
+@entry("r14_substitution_budget", f"select round(b + {tlap_sql('4.0', repr(noise.tau(EPS / 4, DELTA / 4, 1)), 'u')}, 6) as dtilde from (select greatest(max(deg1), max(deg2)) as b from {_DEG}), (select {uniform_sql(chr(39) + 'degree' + chr(39))} as u)")
 def r14(s: SparkSession, d: str) -> DataFrame:
-    return s.createDataFrame([Ledger(EPS, DELTA, "substitute").budget()], "eps double, delta double")
+    """A substituted row is two units: the noisy degree of a release at half the budget."""
+    return release.release_two_table(_two(s, d), two_queries(), d, EPS, DELTA, SEEDED, rounds=1, dp="substitute").cells.select(F.round("dtilde", 6).alias("dtilde")).distinct()
 
 
 @entry("r15_public_bound_zero_noise", kernel_sql(TWO_ANSWERS, size_sql(TWO), _PE, _FAM2, 1, "select P, E, round(m, 3) as mass, 500.0::double as dtilde from cells_1"))
@@ -346,9 +318,3 @@ def q11(s: SparkSession, d: str) -> DataFrame:
 def q12(s: SparkSession, d: str) -> DataFrame:
     out = release.release_uniformized(_two(s, d), two_queries(), d, EPS, DELTA, ZERO, rounds=2, lam=LAM)
     return out.answer().filter("q1 = 0 and q2 = 0").select("q1", "q2", F.round("released", 2).alias("released"))
-
-
-@entry("r02_nation_release_seeded")
-def r02_nation(s: SparkSession, d: str) -> DataFrame:
-    queries = QuerySet((Family.all_ones() + Family.marginal("S", SEGMENTS), Family.all_ones() + Family.prefix("V", (0, 1, 2, 3))))
-    return union_all([release.release_two_table(load(s, d, NATION2), queries, d, EPS, DELTA, SEEDED, max_rounds=20).cells])

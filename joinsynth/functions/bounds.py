@@ -55,8 +55,9 @@ def lower_sensitivity(ls: float) -> float:
     return ls
 
 
-def lower_join(out: float, ls: float, low: float) -> float:
-    return min(out, math.sqrt(out * ls) * low)
+def lower_join(out: float, ls: float, low: float, variant: str = "primary") -> float:
+    """The early variant has no cap at the join size."""
+    return math.sqrt(out * ls) * low if variant == "early" else min(out, math.sqrt(out * ls) * low)
 
 
 def lower_uniformized(outs: Iterable[tuple[int, float]], lam_: float, low: float) -> float:
@@ -86,9 +87,9 @@ def round_budget(eps: float, delta: float, rounds: int, accounting: str = "advan
     return math.sqrt(rho / (rounds * 0.625))
 
 
-def auto_rounds(n_hat: float, eps: float, delta: float, dtilde: float, log_domain: float, n_queries: int, most: int = 500) -> int:
-    """Number of rounds that balances the two error terms; at least one, at most ``most`` (a public cap)."""
+def auto_rounds(n_hat: float, eps: float, delta: float, dtilde: float, log_domain: float, n_queries: int, most: int | None = None) -> int:
+    """Number of rounds that balances the two error terms, at least one; ``most``: a cap that the caller wants."""
     if n_queries < 2 or n_hat <= 0 or dtilde <= 0:
         return 1
     k = n_hat * eps * math.sqrt(log_domain) / (dtilde * math.log(n_queries) * math.sqrt(math.log(1 / delta)))
-    return max(1, min(most, int(k)))
+    return max(1, int(k) if most is None else min(most, int(k)))

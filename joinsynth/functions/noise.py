@@ -48,6 +48,12 @@ class NoiseSource:
     def generator(self, *key: object) -> np.random.Generator:
         return np.random.default_rng(int.from_bytes(hashlib.sha256("|".join(map(str, (self.secret, *key))).encode()).digest()[:16], "big"))
 
+    def uniforms(self, n: int, *key: object) -> np.ndarray:
+        """``n`` numbers in (0, 1): those of :meth:`uniform` for the key and each number below ``n`` if seeded, else of one generator."""
+        if self.kind == "seeded":
+            return np.array([self.uniform(*key, i) for i in range(n)])
+        return np.clip(self.generator(*key).random(n), 1e-300, 1 - 2.0**-53)
+
     def laplace(self, b: float, *key: object) -> float:
         return 0.0 if self.kind == "zero" else laplace_value(b, self.uniform(*key))
 
@@ -97,8 +103,8 @@ def exp_mech(scores: DataFrame, score: str, key: str, eps: float, noise: NoiseSo
     return scores.withColumn("_shifted", shifted).agg(F.max_by(F.struct(*scores.columns), F.struct("_shifted", F.col(key))).alias("c")).select("c.*")
 
 
-def exp_mech_index(scores: np.ndarray, eps: float, rng: np.random.Generator | None) -> int:
-    """The same choice in a task; without a generator the first largest score."""
-    if rng is None:
+def exp_mech_index(scores: np.ndarray, eps: float, u: np.ndarray | None) -> int:
+    """The same choice in a task, by uniform numbers; without them the first largest score."""
+    if u is None:
         return int(np.argmax(np.round(scores, 6)))
-    return int(np.argmax(eps / 2 * scores + rng.gumbel(size=len(scores))))
+    return int(np.argmax(eps / 2 * scores - np.log(-np.log(u))))

@@ -39,12 +39,17 @@ class RelationSpec:
 
 @dataclass(frozen=True)
 class JoinSpec:
-    """A natural join with public domains.  ``group_factor``: relations derived from one private table."""
+    """A natural join with public domains.
+
+    ``group_factor``: relations derived from one private table.  ``public``: SQL texts over public tables that give the domain
+    of several attributes together, where it is smaller than the product of theirs.
+    """
 
     name: str
     relations: tuple[RelationSpec, ...]
     domains: dict[str, AttrDomain] = field(default_factory=dict, hash=False)
     group_factor: int = 1
+    public: tuple[tuple[tuple[str, ...], str], ...] = ()
 
     @property
     def m(self) -> int:

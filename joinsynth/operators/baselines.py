@@ -21,11 +21,15 @@ def complete_answers(inst: Instance, queries: QuerySet) -> DataFrame:
     numbers = [f"q{i + 1}" for i in range(inst.spec.m)]
     every = inst.spark.createDataFrame(queries.ids(), ", ".join(f"{n} int" for n in numbers))
     found = answers(inst, queries)
-    return every.join(F.broadcast(found) if len(queries) < 10**5 else found, numbers, "left").select(*numbers, F.coalesce("answer", F.lit(0.0)).alias("answer"))
+    return every.join(found, numbers, "left").select(*numbers, F.coalesce("answer", F.lit(0.0)).alias("answer"))
 
 
 def answer_independently(inst: Instance, queries: QuerySet, eps: float, delta: float, noise: NoiseSource, sensitivity: float, composition: str = "basic") -> DataFrame:
-    """Every query gets a share of the budget and its own Laplace noise: error grows with the number of queries."""
+    """Every query gets a share of the budget and its own Laplace noise: error grows with the number of queries.
+
+    ``sensitivity`` is that of one row; a unit that touches several rows divides the budget.
+    """
+    eps, delta = eps / inst.spec.group_factor, delta / inst.spec.group_factor
     share, _ = per_query(eps, delta, len(queries), composition)
     numbers = [f"q{i + 1}" for i in range(inst.spec.m)]
     exact = complete_answers(inst, queries)
@@ -40,7 +44,9 @@ def release_count(inst: Instance, eps: float, delta: float, noise: NoiseSource,
 
     ``smooth``: value of a smooth bound with the smoothness that the law needs (Laplace: eps / (2 ln(2/delta));
     Cauchy: eps / 6).  ``truncate_at``: tuples of join values of larger degree are dropped by this public threshold.
+    A unit that touches several rows divides the budget.
     """
+    eps, delta = eps / inst.spec.group_factor, delta / inst.spec.group_factor
     if truncate_at is not None:
         kept = truncate(inst, truncate_at)
         return out_size(kept) + noise.laplace(truncate_at * truncated_stability(truncate_at) / eps, "count")

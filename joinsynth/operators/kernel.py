@@ -8,8 +8,8 @@ never a (cells x queries) matrix.
 Two executions with the same arithmetic: :func:`run_task` keeps all rounds in one task, one row a
 sub-instance, so the sub-instances of a partitioned release run in parallel in one Spark job;
 :func:`run_frame` keeps the cells as a DataFrame for cell tables beyond a task's memory, with one
-aggregate job a round.  Its durable state is the list of (query, step) on the driver: log-weights
-are rebuilt from it in one projection, so the plan doesn't grow with the rounds.
+pass a round.  Its durable state is the sum of steps of every query on the driver: log-weights
+are rebuilt from it in one matrix product, so the plan doesn't grow with the rounds.
 """
 
 from __future__ import annotations
@@ -18,7 +18,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.bounds import auto_rounds, round_budget
@@ -69,6 +69,15 @@ def plan_weights(spark, points: list[tuple], attrs: tuple[str, ...], queries: Qu
     return KernelPlan(points, attrs, tuple(np.array([r[f"f{i}"] for r in found]).T.copy() for i in range(len(width))), log_domain)
 
 
+def choose(truth: np.ndarray, error: np.ndarray, dtilde: float, eps_round: float, noise: NoiseSource, r: int, *key: object) -> tuple[int, float]:
+    """A round's private choice of a query with a large error, and its noisy measurement."""
+    if noise.kind == "zero":
+        chosen = exp_mech_index(error, eps_round, None)
+        return chosen, float(truth[chosen])
+    chosen = exp_mech_index(error / dtilde, eps_round, noise.uniforms(len(error), "choice", r, *key))
+    return chosen, float(truth[chosen]) + noise.laplace(dtilde / eps_round, "measure", r, *key)
+
+
 @dataclass
 class Trace:
     """Non-private record of a run: chosen query, measured value, largest error before each round, potential."""
@@ -112,9 +121,7 @@ def run_task(plan: KernelPlan, truth: np.ndarray, volumes: np.ndarray, n_hat: fl
     for r in range(rounds):
         now = plan.answers(mass).ravel()
         error = np.abs(now - flat)
-        rng = None if noise.kind == "zero" else noise.generator("round", r, *key)
-        chosen = exp_mech_index(error if rng is None else error / dtilde, eps_round, rng)
-        measured = float(flat[chosen]) + (0.0 if rng is None else float(rng.laplace(scale=dtilde / eps_round)))
+        chosen, measured = choose(flat, error, dtilde, eps_round, noise, r, *key)
         if trace is not None:
             trace.query.append(chosen)
             trace.measured.append(measured)
@@ -139,7 +146,7 @@ class KernelSettings:
     rounds: int | str = "auto"
     out: str = "average"
     accounting: str = "advanced"
-    max_rounds: int = 500
+    max_rounds: int | None = None
 
 
 #: One row per sub-instance: exact statistics that never leave a task but through noise.
@@ -164,52 +171,88 @@ def release_groups(stats: DataFrame, plan: KernelPlan, settings: KernelSettings)
     return stats.groupBy("sub_id").applyInPandas(one, CELLS)
 
 
-def run_frame(cells: DataFrame, queries: QuerySet, truth: np.ndarray, n_hat: float, dtilde: float, eps: float, delta: float, noise: NoiseSource, rounds: int, out: str = "average", accounting: str = "advanced") -> DataFrame:
-    """``cells`` (attributes, volume) to the same with ``mass``; one aggregate job a round.
+def frame_weights(cells: DataFrame, queries: QuerySet) -> DataFrame:
+    """``cells`` with an array column of weights for each family, ``f1..fm``."""
+    return cells.select("*", *(F.array(*f.columns()).alias(f"f{i + 1}") for i, f in enumerate(queries.families)))
 
-    Round r needs the answers on histogram r - 1, whose log-weights are the logs of the volumes plus
-    the sum over past rounds of step times weight: an expression over the query texts, no lineage.
-    """
-    sizes = [len(f) for f in queries.families]
-    texts = [f.columns() for f in queries.families]
-    steps: list[tuple[int, float]] = []
-    flat = truth.ravel()
-    eps_round = round_budget(eps, delta, max(1, rounds), accounting)
-    weight = lambda n: _product([t[i] for t, i in zip(texts, np.unravel_index(n, sizes), strict=True)])
-    scales: list[float] = []
 
-    def log_weight(taken: list[tuple[int, float]]) -> Column:
-        by_query: dict[int, float] = {}
-        for n, s in taken:
-            by_query[n] = by_query.get(n, 0.0) + s
-        return sum((weight(n) * F.lit(s) for n, s in by_query.items()), F.log("volume"))
+def _weights_of(rows: pd.DataFrame, m: int) -> list[np.ndarray]:
+    return [np.array(rows[f"f{i + 1}"].tolist(), float) for i in range(m)]
 
-    live = cells.filter("volume > 0")
-    for r in range(rounds):
-        lw = live.withColumn("lw", log_weight(steps))
-        top = lw.agg(F.max("lw")).first()[0]
-        mass = F.exp(F.col("lw") - F.lit(top))
-        sums = [F.sum(mass * weight(n)).alias(f"a{n}") for n in range(len(flat))]
-        got = lw.agg(F.sum(mass).alias("z"), *sums).first()
-        scales.append(n_hat / got["z"])
-        now = np.array([got[f"a{n}"] for n in range(len(flat))]) * scales[-1]
-        error = np.abs(now - flat)
-        rng = None if noise.kind == "zero" else noise.generator("round", r)
-        chosen = exp_mech_index(error if rng is None else error / dtilde, eps_round, rng)
-        measured = float(flat[chosen]) + (0.0 if rng is None else float(rng.laplace(scale=dtilde / eps_round)))
-        steps.append((chosen, step_size(measured, float(now[chosen]), n_hat)))
-    first = 1 if out == "average" else max(1, rounds)
-    if not rounds:
-        total = live.agg(F.sum("volume")).first()[0]
-        return cells.withColumn("mass", F.col("volume") * F.lit(n_hat / total))
-    tops = live.agg(*(F.max(log_weight(steps[:r])).alias(f"t{r}") for r in range(first, rounds + 1))).first()
-    zs = live.agg(*(F.sum(F.exp(log_weight(steps[:r]) - F.lit(tops[f"t{r}"]))).alias(f"z{r}") for r in range(first, rounds + 1))).first()
-    parts = [F.exp(log_weight(steps[:r]) - F.lit(tops[f"t{r}"])) * F.lit(n_hat / zs[f"z{r}"]) for r in range(first, rounds + 1)]
-    return cells.withColumn("mass", F.when(F.col("volume") > 0, sum(parts[1:], parts[0]) / F.lit(float(len(parts)))).otherwise(0.0))
-
-
-def _product(columns: list[Column]) -> Column:
-    out = columns[0]
-    for c in columns[1:]:
-        out = out * c
+
+def _product_answers(weights: list[np.ndarray], mass: np.ndarray) -> np.ndarray:
+    """Answers of all product queries on some cells (rows of each weight matrix), flat."""
+    left = (weights[0] * mass[:, None]) if len(weights) > 1 else mass[:, None]
+    for w in weights[1:-1]:
+        left = (left[:, :, None] * w[:, None, :]).reshape(len(mass), -1)
+    return (left.T @ weights[-1]).ravel()
+
+
+def _summed_weights(weights: list[np.ndarray], steps: np.ndarray) -> np.ndarray:
+    """For each cell the sum over product queries of step times weight."""
+    out = steps[None, ...]
+    for w in weights:
+        out = (w.reshape(len(w), -1, *([1] * (out.ndim - 2))) * out).sum(axis=1)
     return out
+
+
+def run_frame(cells: DataFrame, queries: QuerySet, truth: np.ndarray, n_hat: float, dtilde: float, eps: float, delta: float, noise: NoiseSource, rounds: int, out: str = "average", accounting: str = "advanced", key: tuple = ()) -> DataFrame:
+    """``cells`` (attributes, volume) to the same with ``mass``; one pass over the cells a round and one at the end.
+
+    The state is the sum of steps of every query, an array of the size of the workload: a round's log-weights follow
+    from it in one matrix product a batch, so neither plan nor work grows with the rounds gone.  A batch returns its
+    answers with its largest log-weight and their sum; the driver adds up one row a task.
+    """
+    shape, m = [len(f) for f in queries.families], len(queries.families)
+    live = frame_weights(cells.filter("volume > 0"), queries)
+    narrow = live.select("volume", *(f"f{i + 1}" for i in range(m)))
+    flat, eps_round = truth.ravel(), round_budget(eps, delta, max(1, rounds), accounting)
+    steps, taken = np.zeros(shape), []
+
+    def answered(total: np.ndarray):
+        def run(batches):
+            top, z, sums = -np.inf, 0.0, np.zeros(len(flat))
+            for rows in batches:
+                if not len(rows):
+                    continue
+                weights = _weights_of(rows, m)
+                lw = np.log(rows["volume"].to_numpy(float)) + _summed_weights(weights, total)
+                high = max(top, float(lw.max()))
+                mass, fade = np.exp(lw - high), np.exp(top - high)
+                top, z, sums = high, z * fade + mass.sum(), sums * fade + _product_answers(weights, mass)
+            if z > 0:
+                yield pd.DataFrame({"top": [top], "z": [z], "sums": [sums.tolist()]})
+
+        found = narrow.mapInPandas(run, "top double, z double, sums array<double>").collect()
+        high = max(r["top"] for r in found)
+        parts = [np.exp(r["top"] - high) for r in found]
+        z = sum(p * r["z"] for p, r in zip(parts, found, strict=True))
+        return high, z, sum(p * np.array(r["sums"]) for p, r in zip(parts, found, strict=True)) * (n_hat / z)
+
+    if not rounds or n_hat <= 0 or not narrow.limit(1).count():
+        total = cells.agg(F.sum("volume")).first()[0]
+        return cells.withColumn("mass", F.col("volume") * F.lit(float(n_hat / total) if total else 0.0))
+    scales = []
+    for r in range(rounds):
+        high, z, now = answered(steps)
+        scales.append((high, z))
+        chosen, measured = choose(flat, np.abs(now - flat), dtilde, eps_round, noise, r, *key)
+        step = step_size(measured, float(now[chosen]), n_hat)
+        taken.append((chosen, step))
+        steps[np.unravel_index(chosen, shape)] += step
+    scales.append(answered(steps)[:2])
+
+    def massed(batches):
+        for rows in batches:
+            weights = _weights_of(rows, m)
+            lw, total = np.log(rows["volume"].to_numpy(float)), np.zeros(len(rows))
+            for (chosen, step), (high, z) in zip(taken, scales[1:], strict=True):
+                at = np.unravel_index(chosen, shape)
+                lw = lw + step * np.prod([w[:, i] for w, i in zip(weights, at, strict=True)], axis=0)
+                now = np.exp(lw - high) * (n_hat / z)
+                total = total + now if out == "average" else now
+            yield rows.assign(mass=total / rounds if out == "average" else total)[[*kept, "mass"]]
+
+    kept = cells.columns
+    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in cells.schema)
+    return live.mapInPandas(massed, f"{schema}, mass double").unionByName(cells.filter("not (volume > 0)").withColumn("mass", F.lit(0.0)))

@@ -6,16 +6,18 @@ hierarchical joins, repeats a row once per configuration that it belongs to).
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass
 
+import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.noise import NoiseSource, tau, tlap_col, uniform_col
-from ..hyper import AttrTree, Node, meet
+from ..hyper import AttrTree, Node, boundary, meet
 from ..relation import Instance
 from ..sources.formats import cut
-from .sensitivity import degree_table, hier_degree, join_attrs
+from .sensitivity import aggregate_max, degree_table, hier_degree, join_attrs, residual_sensitivity, subsets
 
 #: Buckets beyond which no degree of a 64-bit count can lie.
 LAST_BUCKET = 64
@@ -76,31 +78,32 @@ def label_col(node: Node) -> str:
     return f"c_{node.name}"
 
 
-def split_on_attribute(inst: Instance, tree: AttrTree, node: Node, labels: dict[int, tuple[str, ...]], eps: float, delta: float, lam: float, noise: NoiseSource) -> tuple[Instance, dict[int, tuple[str, ...]], DataFrame]:
+#: The public domain of some attributes as a table.
+Domain = Callable[[tuple[str, ...]], DataFrame]
+
+
+def _configurations(tree: AttrTree, node: Node, splits: dict[str, DataFrame]) -> DataFrame | None:
+    """Labels of all nodes below, as they follow from the noisy degrees of the whole domain; None for a leaf."""
+    grid = None
+    for child in tree.children(node):
+        part = splits[child.name].select(*(label_col(n) for n in (*tree.below(child), child))).distinct()
+        grid = part if grid is None else grid.crossJoin(part)
+    return grid
+
+
+def split_on_attribute(inst: Instance, tree: AttrTree, node: Node, labels: dict[int, tuple[str, ...]], splits: dict[str, DataFrame], domain: Domain, eps: float, delta: float, lam: float, noise: NoiseSource) -> tuple[Instance, dict[int, tuple[str, ...]], DataFrame]:
     """One node's split of every live configuration.
 
-    Degrees are taken per configuration of the nodes below; each relation of the node gets the labels
-    of all those nodes (a row is repeated for labels of subtrees that it has no part in) and the new one.
+    Degrees are taken per configuration of the nodes below and for every value of the public domain above the node, with
+    rows or without; each relation of the node gets the labels of all those nodes (a row is repeated for labels of subtrees
+    that it has no part in) and the new one.  ``splits``: the tables (values, labels) of the nodes below.
     """
     rels = tuple(sorted(node.atom))
     given = tree.ancestors(node)
     below = tuple(label_col(n) for n in tree.below(node))
     degree = hier_degree(inst, rels, given, labels)
-    # configurations that occur: labels of each child's subtree, from the relations that carry them
-    grid = None
-    for child in tree.children(node):
-        names = tuple(label_col(n) for n in (*tree.below(child), child))
-        part = None
-        for i in sorted(child.atom):
-            one = inst.frames[i].select(*names).distinct()
-            part = one if part is None else part.unionByName(one)
-        part = part.distinct()
-        grid = part if grid is None else grid.crossJoin(part)
-    keys = None
-    for i in rels:
-        one = inst.frames[i].select(*given).distinct() if given else inst.spark.range(1).select()
-        keys = one if keys is None else keys.unionByName(one)
-    keys = keys.distinct() if given else inst.spark.range(1).select(F.lit(1).alias("_unit"))
+    grid = _configurations(tree, node, splits)
+    keys = domain(given)
     grid = keys if grid is None else keys.crossJoin(grid)
     on = [*given, *below]
     known = grid.join(degree, on, "left") if on else grid.crossJoin(degree)
@@ -117,45 +120,42 @@ def split_on_attribute(inst: Instance, tree: AttrTree, node: Node, labels: dict[
     return Instance(inst.spec, tuple(frames)), out, known
 
 
-def partition_hierarchical(inst: Instance, eps: float, delta: float, lam: float, noise: NoiseSource, skip_root: bool = False) -> Partition:
+def partition_hierarchical(inst: Instance, eps: float, delta: float, lam: float, noise: NoiseSource, domain: Domain, skip_root: bool = False) -> Partition:
     """Bottom-up over the attribute tree; afterwards rows bear one label per node and configurations are disjoint in the join.
 
+    The configurations are all that the noisy degrees of the public ``domain`` give, whether rows have them or not.
     ``skip_root``: the root's split has one group and separates nothing but configurations; leaving it out saves its noise.
     """
     tree = AttrTree(inst.spec)
     labels: dict[int, tuple[str, ...]] = {}
+    splits: dict[str, DataFrame] = {}
     roots = {n.name for n in tree.roots()}
     for node in tree.post_order():
         if skip_root and node.name in roots and tree.children(node):
-            inst, labels = _merge_root(inst, tree, node, labels)
+            inst, labels, splits[node.name] = _merge_root(inst, tree, node, labels, splits)
         else:
-            inst, labels, _ = split_on_attribute(inst, tree, node, labels, eps, delta, lam, noise)
+            inst, labels, splits[node.name] = split_on_attribute(inst, tree, node, labels, splits, domain, eps, delta, lam, noise)
     every = tuple(label_col(n) for n in tree.post_order() if not (skip_root and n.name in roots and tree.children(n)))
-    frames = tuple(f.withColumn("config", F.concat_ws(",", *every)).drop(*every) for f in inst.frames) if len(tree.roots()) == 1 else inst.frames
-    by = ("config",) if len(tree.roots()) == 1 else every
     live = None
-    for f in frames:
-        one = f.select(*(c for c in by if c in f.columns)).distinct()
-        live = one if live is None else (live.unionByName(one) if len(tree.roots()) == 1 else live)
-    return Partition(live.distinct(), Instance(inst.spec, frames), by)
+    for root in tree.roots():
+        one = splits[root.name].select(*(c for c in splits[root.name].columns if c in every)).distinct()
+        live = one if live is None else live.crossJoin(one)
+    if len(tree.roots()) > 1:
+        return Partition(live, inst, every)
+    label = F.concat_ws(",", *every).alias("config")
+    frames = tuple(f.withColumn("config", label).drop(*every) for f in inst.frames)
+    return Partition(live.select(label).distinct(), Instance(inst.spec, frames), ("config",))
 
 
-def _merge_root(inst: Instance, tree: AttrTree, node: Node, labels: dict[int, tuple[str, ...]]) -> tuple[Instance, dict[int, tuple[str, ...]]]:
+def _merge_root(inst: Instance, tree: AttrTree, node: Node, labels: dict[int, tuple[str, ...]], splits: dict[str, DataFrame]) -> tuple[Instance, dict[int, tuple[str, ...]], DataFrame]:
     """Gives every relation the labels of all nodes below the root, without splitting on it."""
-    grid = None
-    for child in tree.children(node):
-        names = tuple(label_col(n) for n in (*tree.below(child), child))
-        part = None
-        for i in sorted(child.atom):
-            one = inst.frames[i].select(*names).distinct()
-            part = one if part is None else part.unionByName(one)
-        grid = part.distinct() if grid is None else grid.crossJoin(part.distinct())
+    grid = _configurations(tree, node, splits)
     frames, out = [], dict(labels)
     for i, f in enumerate(inst.frames):
         shared = [c for c in f.columns if c in grid.columns]
         frames.append(f.join(grid, shared) if shared else f.crossJoin(grid))
         out[i] = tuple(grid.columns)
-    return Instance(inst.spec, tuple(frames)), out
+    return Instance(inst.spec, tuple(frames)), out, grid
 
 
 def replication_bound(inst: Instance, n_max: float, lam: float) -> int:
@@ -194,3 +194,21 @@ def explore_path_partitions(inst: Instance, lam: float) -> DataFrame:
     return middle.agg(F.count("*").alias("middle_parts")).crossJoin(fan).crossJoin(second)
 
 
+def label_bounds(part: Partition, beta: float) -> DataFrame:
+    """(sub_id, bound, local): residual and local sensitivity of every sub-instance with rows, from boundary maxima grouped by label."""
+    inst, label, m = part.instance, part.by[0], part.instance.spec.m
+    rows = None
+    for e in subsets(m):
+        if e:
+            one = aggregate_max(inst, e, boundary(inst.spec, e), (label,)).select(F.col(label).cast("string").alias("sub_id"), F.lit(",".join(map(str, e))).alias("rels"), F.col("t").cast("double").alias("t"))
+            rows = one if rows is None else rows.unionByName(one)
+
+    def bound(frame: pd.DataFrame) -> pd.DataFrame:
+        table = {frozenset(e): 0.0 for e in subsets(m)}
+        table[frozenset()] = 1.0
+        for r, t in zip(frame["rels"], frame["t"], strict=True):
+            table[frozenset(map(int, r.split(",")))] = t
+        local = max(table[frozenset(range(m)) - {i}] for i in range(m))
+        return pd.DataFrame({"sub_id": [frame["sub_id"].iloc[0]], "bound": [residual_sensitivity(table, m, beta)], "local": [local]})
+
+    return rows.groupBy("sub_id").applyInPandas(bound, "sub_id string, bound double, local double")

@@ -6,21 +6,24 @@ a :class:`Release`.  Control flow depends on public figures and noisy values onl
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass, replace
 
 import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.bounds import auto_rounds
 from ..functions.bounds import lam as lam_of
 from ..functions.noise import NoiseSource, tau
 from ..ledger import Ledger, require
 from ..plans.elimination import join_size
-from ..queries import QuerySet, answers, cells, dense_answers, domain_frame, key_sizes
+from ..queries import QuerySet, answers, cells, dense_answers, joint_domain, key_sizes
 from ..relation import Instance, materialise
-from .kernel import STATS, KernelPlan, KernelSettings, plan_weights, release_groups
-from .partition import Partition, partition_hierarchical, partition_two_table, replication_bound
-from .sensitivity import ResidualBound, SmoothBound, join_attrs, max_degree, out_size, residual_sensitivity
+from ..sources.formats import cut
+from .kernel import STATS, TASK_BYTES, KernelPlan, KernelSettings, noisy_total, plan_weights, release_groups, run_frame
+from .partition import Partition, label_bounds, partition_hierarchical, partition_two_table, replication_bound
+from .sensitivity import ResidualBound, SmoothBound, join_attrs, max_degree, out_size, residual_sensitivity, subsets
 
 
 @dataclass(frozen=True)
@@ -28,7 +31,7 @@ class Release:
     """Synthetic cells (sub_id, cell attributes, volume, mass), the plan behind them, and the ledger."""
 
     cells: DataFrame
-    plan: KernelPlan
+    plan: KernelPlan | None
     queries: QuerySet
     ledger: Ledger
 
@@ -96,13 +99,40 @@ def _one(inst: Instance, queries: QuerySet, plan: KernelPlan, volume: float, out
 def release_single(inst: Instance, queries: QuerySet, sf_dir: str, eps: float, delta: float, noise: NoiseSource | None = None, rounds: int | str = "auto", **kernel: object) -> Release:
     """One table: the kernel with sensitivity one."""
     inst = materialise(inst)
-    return _release(inst, queries, sf_dir, eps, delta, 1.0, noise or NoiseSource.os(), rounds, Ledger(eps, delta), (eps, delta), **kernel)
+    ledger, e, d = _budget(eps, delta, "add_remove", inst.spec.group_factor)
+    release = _release(inst, queries, sf_dir, 1.0, noise or NoiseSource.os(), rounds, _Grouped(ledger, inst.spec.group_factor), (e, d), **kernel)
+    return replace(release, ledger=ledger)
 
 
-def _release(inst: Instance, queries: QuerySet, sf_dir: str, eps: float, delta: float, dtilde: float, noise: NoiseSource, rounds: int | str, ledger: Ledger, share: tuple[float, float], out: str = "average", accounting: str = "advanced", max_rounds: int = 500) -> Release:
-    plan, volume = kernel_plan(inst, queries, sf_dir)
+def cell_bytes(inst: Instance, queries: QuerySet) -> int:
+    """Bytes of the largest family's weights on all cells: what a task of the kernel would hold."""
+    n = math.prod(len(inst.spec.domains[a].values) for a in private_attrs(inst))
+    return 8 * n * max(len(f) for f in queries.families)
+
+
+def _frame_release(inst: Instance, queries: QuerySet, sf_dir: str, dtilde: float, settings: KernelSettings) -> DataFrame:
+    """The kernel over cells that stay a DataFrame: no list of cells anywhere."""
+    attrs = private_attrs(inst)
+    sizes = key_sizes(inst, sf_dir)
+    hidden = [sizes.get(a) or len(inst.spec.domains[a].values) for a in inst.spec.attrs if a not in attrs]
+    log_volume = sum(math.log(n) for n in hidden)
+    log_domain = log_volume + sum(math.log(len(inst.spec.domains[a].values)) for a in attrs)
+    points = cut(joint_domain(inst.spark, sf_dir, replace(inst.spec, public=()), attrs).withColumn("volume", F.lit(math.exp(log_volume))))
+    truth = dense_answers(answers(inst, queries).collect(), queries)
+    s = settings
+    n_hat = noisy_total(float(out_size(inst)), dtilde, s.eps, s.delta, s.noise, "all")
+    k = auto_rounds(n_hat, s.eps, s.delta, dtilde, max(log_domain, 1e-9), len(queries), s.max_rounds) if s.rounds == "auto" else int(s.rounds)
+    found = run_frame(points, queries, truth, n_hat, dtilde, s.eps, s.delta, s.noise, k, s.out, s.accounting, ("all",))
+    return found.select(F.lit("all").alias("sub_id"), F.xxhash64(*attrs).alias("cell"), *attrs, "volume", "mass", F.lit(n_hat).alias("n_hat"), F.lit(float(dtilde)).alias("dtilde"), F.lit(k).alias("rounds"))
+
+
+def _release(inst: Instance, queries: QuerySet, sf_dir: str, dtilde: float, noise: NoiseSource, rounds: int | str, ledger: Ledger, share: tuple[float, float], out: str = "average", accounting: str = "advanced", max_rounds: int | None = None, kernel: str = "auto") -> Release:
+    """``kernel``: 'task' holds the cells in one task, 'frame' as a DataFrame; 'auto' decides by their size."""
     ledger.spend("kernel", *share, rule="total, then advanced composition over the rounds")
     settings = KernelSettings(*share, noise, rounds, out, accounting, max_rounds)
+    if kernel == "frame" or kernel == "auto" and cell_bytes(inst, queries) > TASK_BYTES:
+        return Release(_frame_release(inst, queries, sf_dir, dtilde, settings), None, queries, ledger)
+    plan, volume = kernel_plan(inst, queries, sf_dir)
     return Release(_finish(_one(inst, queries, plan, volume, out_size(inst), dtilde), plan, settings), plan, queries, ledger)
 
 
@@ -126,7 +156,7 @@ def release_two_table(inst: Instance, queries: QuerySet, sf_dir: str, eps: float
         share = e / 2, d / 2
     else:
         dtilde, share = public_bound, (e, d)
-    release = _release(inst, queries, sf_dir, eps, delta, dtilde, noise, rounds, _Grouped(ledger, g), share, **kernel)
+    release = _release(inst, queries, sf_dir, dtilde, noise, rounds, _Grouped(ledger, g), share, **kernel)
     return replace(release, ledger=ledger)
 
 
@@ -140,23 +170,33 @@ class _Grouped:
         self.ledger.spend(step, eps, delta, rule, self.times)
 
 
-def release_padded(inst: Instance, queries: QuerySet, sf_dir: str, eps: float, delta: float, noise: NoiseSource | None = None, rounds: int | str = "auto", **kernel: object) -> Release:
+def release_padded(inst: Instance, queries: QuerySet, sf_dir: str, eps: float, delta: float, noise: NoiseSource | None = None, rounds: int | str = "auto", dp: str = "add_remove", **kernel: object) -> Release:
     """Pad first: uniform domain rows are added to the join before the kernel runs on the padded table with its exact total."""
     inst, noise = materialise(inst), noise or NoiseSource.os()
-    ledger = Ledger(eps, delta)
+    g = inst.spec.group_factor
+    ledger, eps, delta = _budget(eps, delta, dp, g)
     dtilde = max_degree(inst).first()[0] + noise.tlap(2 / eps, tau(eps / 2, delta / 2, 1), "degree")
-    ledger.spend("maximum degree", eps / 2, delta / 2)
+    ledger.spend("maximum degree", eps / 2, delta / 2, times=g)
     plan, volume = kernel_plan(inst, queries, sf_dir)
     eta = int(round(noise.tlap(2 * dtilde / (eps / 2), tau(eps / 4, delta / 4, dtilde), "padding")))
-    pad = noise.generator("pad rows").multinomial(eta, np.full(len(plan.points), 1 / len(plan.points))) if noise.kind != "zero" else np.full(len(plan.points), eta / len(plan.points))
-    truth = dense_answers(answers(inst, queries).collect(), queries) + plan.answers(pad.astype(float))
-    ledger.spend("padding and kernel", eps / 2, delta / 2)
+    pad = _pad_rows(eta, len(plan.points), noise)
+    truth = dense_answers(answers(inst, queries).collect(), queries) + plan.answers(pad)
+    ledger.spend("padding and kernel", eps / 2, delta / 2, times=g)
     # the padded total is released as it is: the padding has covered it, so the kernel adds no noise of its own
     stats = inst.spark.createDataFrame([("all", float(out_size(inst) + eta), float(dtilde), truth.ravel().tolist(), [volume] * len(plan.points))], STATS)
     settings = KernelSettings(eps / 4, delta / 4, _NoTotal(noise.kind, noise.secret), rounds, **kernel)
     return Release(_finish(stats, plan, settings), plan, queries, ledger)
 
 
+def _pad_rows(eta: int, n: int, noise: NoiseSource) -> np.ndarray:
+    """How many of ``eta`` uniform rows fall into each of ``n`` cells."""
+    if noise.kind == "zero":
+        return np.full(n, eta / n)
+    if noise.kind == "seeded":  # row by row, so that other engines can draw the same
+        return np.bincount((noise.uniforms(eta, "pad") * n).astype(int), minlength=n).astype(float)
+    return noise.generator("pad rows").multinomial(eta, np.full(n, 1 / n)).astype(float)
+
+
 @dataclass(frozen=True)
 class _NoTotal(NoiseSource):
     """Noise of the rounds, none on the total."""
@@ -173,7 +213,7 @@ def release_multi_table(inst: Instance, queries: QuerySet, sf_dir: str, eps: flo
     bound = (smooth or ResidualBound()).value(inst, beta)
     dtilde = raise_bound(bound, beta, e, d, noise)
     ledger.spend("smooth bound", e / 2, d / 2, times=inst.spec.group_factor)
-    release = _release(inst, queries, sf_dir, eps, delta, dtilde, noise, rounds, _Grouped(ledger, inst.spec.group_factor), (e / 2, d / 2), **kernel)
+    release = _release(inst, queries, sf_dir, dtilde, noise, rounds, _Grouped(ledger, inst.spec.group_factor), (e / 2, d / 2), **kernel)
     return replace(release, ledger=ledger)
 
 
@@ -183,7 +223,10 @@ def raise_bound(bound: float, beta: float, eps: float, delta: float, noise: Nois
 
 
 def group_stats(part: Partition, queries: QuerySet, plan: KernelPlan, volume: float, eps: float, delta: float, noise: NoiseSource, inner: str, key_share: DataFrame | None) -> DataFrame:
-    """Rows of STATS for every sub-instance: degrees or boundary maxima, join sizes and answers with the label as a group key."""
+    """Rows of STATS for every sub-instance: degrees or boundary maxima, join sizes and answers with the label as a group key.
+
+    ``eps, delta`` are the whole budget of a sub-instance's release, half of which its sensitivity takes.
+    """
     inst, by = part.instance, part.by
     spark = inst.spark
     label = by[0]
@@ -206,10 +249,12 @@ def group_stats(part: Partition, queries: QuerySet, plan: KernelPlan, volume: fl
             every = one if every is None else every.unionByName(one)
         exact = every.groupBy(F.col(label).cast("string").alias("sub_id")).agg(F.max("deg").cast("double").alias("bound"))
     else:
-        exact = _label_bounds(part, 1 / lam_of(eps, delta))
+        exact = label_bounds(part, 1 / lam_of(eps, delta)).select("sub_id", "bound")
+    # a part without rows has the bound of empty tables
+    empty = 0.0 if inner == "two" else residual_sensitivity({frozenset(e): float(not e) for e in subsets(m)}, m, 1 / lam_of(eps, delta))
     labels = part.labels.select(F.col(label).cast("string").alias("sub_id")).distinct()
     rows = labels.join(sizes, "sub_id", "left").join(sparse, "sub_id", "left").join(exact, "sub_id", "left")
-    share = rows.select("sub_id", F.coalesce("out_size", F.lit(0.0)).alias("out_size"), F.coalesce("bound", F.lit(0.0 if inner == "two" else 1.0)).alias("bound"), dense.alias("truth")) if total else rows
+    share = rows.select("sub_id", F.coalesce("out_size", F.lit(0.0)).alias("out_size"), F.coalesce("bound", F.lit(empty)).alias("bound"), dense.alias("truth")) if total else rows
     if key_share is not None:
         share = share.join(key_share, "sub_id", "left")
         volumes = F.array_repeat(F.coalesce("share", F.lit(0.0)) * volume, len(plan.points))
@@ -229,66 +274,42 @@ def group_stats(part: Partition, queries: QuerySet, plan: KernelPlan, volume: fl
     return share.groupBy("sub_id").applyInPandas(raised, STATS)
 
 
-def _label_bounds(part: Partition, beta: float) -> DataFrame:
-    """(sub_id, bound): residual sensitivity of every sub-instance from boundary maxima grouped by label."""
-    import pandas as pd
-
-    from ..hyper import boundary
-    from .sensitivity import aggregate_max, subsets
-
-    inst, label, m = part.instance, part.by[0], part.instance.spec.m
-    rows = None
-    for e in subsets(m):
-        if e:
-            one = aggregate_max(inst, e, boundary(inst.spec, e), (label,)).select(F.col(label).cast("string").alias("sub_id"), F.lit(",".join(map(str, e))).alias("rels"), F.col("t").cast("double").alias("t"))
-            rows = one if rows is None else rows.unionByName(one)
-
-    def bound(frame: pd.DataFrame) -> pd.DataFrame:
-        table = {frozenset(e): 0.0 for e in subsets(m)}
-        table[frozenset()] = 1.0
-        for r, t in zip(frame["rels"], frame["t"], strict=True):
-            table[frozenset(map(int, r.split(",")))] = t
-        return pd.DataFrame({"sub_id": [frame["sub_id"].iloc[0]], "bound": [residual_sensitivity(table, m, beta)]})
-
-    return rows.groupBy("sub_id").applyInPandas(bound, "sub_id string, bound double")
-
-
-def release_uniformized(inst: Instance, queries: QuerySet, sf_dir: str, eps: float, delta: float, noise: NoiseSource | None = None, rounds: int | str = "auto", partitioner: str = "two_table", inner: str | None = None, lam: float | None = None, n_max: float = 2.0**40, max_configs: int = 10**6, **kernel: object) -> Release:
+def release_uniformized(inst: Instance, queries: QuerySet, sf_dir: str, eps: float, delta: float, noise: NoiseSource | None = None, rounds: int | str = "auto", partitioner: str = "two_table", inner: str | None = None, lam: float | None = None, n_max: float = 2.0**40, max_configs: int = 10**6, dp: str = "add_remove", **kernel: object) -> Release:
     """Partition privately, release every part, return the union.  One Spark job for all parts.
 
     The parts of a two-table partition are disjoint, so releasing them counts once.  In a hierarchical
     partition a tuple may be in several parts: the budget is divided by a public bound before any noise.
+    Degrees of the whole public domain are noised, with rows or without, and every part that follows from the noisy
+    degrees is released, empty ones too, so what is released never tells which values occur.
     """
     inst, noise = materialise(inst), noise or NoiseSource.os()
-    ledger = Ledger(eps, delta)
+    g = inst.spec.group_factor
+    ledger, eps, delta = _budget(eps, delta, dp, g)
     lam = lam_of(eps, delta) if lam is None else lam
     inner = inner or ("two" if inst.spec.m == 2 else "multi")
     plan, volume = kernel_plan(inst, queries, sf_dir)
     key_share = None
     if partitioner == "two_table":
-        domain = None
-        for a in join_attrs(inst.spec):
-            one = domain_frame(inst.spark, sf_dir, inst.spec, a)
-            domain = one if domain is None else domain.crossJoin(one)
-        if domain is None:
+        if not join_attrs(inst.spec):
             raise ValueError("the tables share no attribute: there is one join value and nothing to partition")
+        domain = joint_domain(inst.spark, sf_dir, inst.spec, join_attrs(inst.spec))
         part = partition_two_table(inst, domain, eps / 2, delta / 2, lam, noise)
-        ledger.spend("degrees", eps / 2, delta / 2, "parallel over join values")
+        ledger.spend("degrees", eps / 2, delta / 2, "parallel over join values", g)
         whole = domain.count()
         key_share = part.labels.groupBy(F.col("bucket").cast("string").alias("sub_id")).agg((F.count("*") / F.lit(float(whole))).alias("share"))
         share = eps / 2, delta / 2
-        ledger.parallel("parts", [share])
+        ledger.spend("parts", *share, "parallel", g)
     else:
         copies = replication_bound(inst, n_max, lam)
         if copies > max_configs:
             raise ValueError(f"{copies} parts may hold one tuple, above the public cap {max_configs}")
         depth = max(len(r.attrs) for r in inst.spec.relations)
         e, d = eps / 2 / depth, delta / 2 / depth
-        part = partition_hierarchical(inst, e, d, lam, noise)
-        ledger.spend("degrees", e, d, "one degree per attribute of a relation", depth)
+        part = partition_hierarchical(inst, e, d, lam, noise, lambda attrs: joint_domain(inst.spark, sf_dir, inst.spec, attrs))
+        ledger.spend("degrees", e, d, "one degree per attribute of a relation", depth * g)
         share = eps / 2 / copies, delta / 2 / copies
-        ledger.spend("parts", *share, "group privacy over the parts of a tuple", copies)
-    stats = group_stats(part, queries, plan, volume, share[0] / 2, share[1] / 2, noise, inner, key_share)
+        ledger.spend("parts", *share, "group privacy over the parts of a tuple", copies * g)
+    stats = group_stats(part, queries, plan, volume, *share, noise, inner, key_share)
     settings = KernelSettings(share[0] / 2, share[1] / 2, noise, rounds, **kernel)
     return Release(_finish(stats, plan, settings), plan, queries, ledger)
 
@@ -308,8 +329,8 @@ def release_pad_after(inst: Instance, queries: QuerySet, sf_dir: str, eps: float
     dtilde = max_degree(inst).first()[0] + noise.tlap(2 / eps, tau(eps / 2, delta / 2, 1), "degree")
     eta = int(round(noise.tlap(2 * dtilde / eps, tau(eps / 2, delta / 2, dtilde), "padding")))
     n = len(first.plan.points)
-    pad = noise.generator("pad rows").multinomial(eta, np.full(n, 1 / n)).astype(float).tolist() if noise.kind != "zero" else [eta / n] * n
-    extra = inst.spark.createDataFrame(list(enumerate(pad)), "cell int, pad double")
+    pad = _pad_rows(eta, n, noise)
+    extra = inst.spark.createDataFrame(list(enumerate(pad.tolist())), "cell int, pad double")
     return replace(first, cells=first.cells.join(F.broadcast(extra), "cell").withColumn("mass", F.col("mass") + F.col("pad")).drop("pad"))
 
 

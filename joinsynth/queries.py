@@ -7,7 +7,9 @@ its relation's attributes, so weights are computed inside the aggregate that the
 
 from __future__ import annotations
 
+import hashlib
 import math
+import re
 from dataclasses import dataclass
 
 import numpy as np
@@ -93,11 +95,11 @@ class QuerySet:
         """All queries, the last family's number moving fastest."""
         return [tuple(map(int, x)) for x in np.stack(np.unravel_index(np.arange(len(self)), [len(f) for f in self.families]), 1)]
 
-    def sample(self, size: int, seed: int) -> list[tuple[int, ...]]:
-        """A selection of queries without repetition."""
-        pick = np.random.default_rng(seed).choice(len(self), min(size, len(self)), replace=False)
+    def sample(self, size: int, seed: object) -> list[tuple[int, ...]]:
+        """A selection of queries without repetition: those with the least md5 of seed and number."""
+        pick = sorted(range(len(self)), key=lambda i: hashlib.md5(f"{seed}|{i}".encode()).hexdigest())[:size]
         every = self.ids()
-        return [every[i] for i in sorted(pick.tolist())]
+        return [every[i] for i in sorted(pick)]
 
 
 def weighted_factor(frame: DataFrame, keep: tuple[str, ...], family: Family, number: str) -> Factor:
@@ -173,12 +175,28 @@ def key_sizes(inst: Instance, sf_dir: str) -> dict[str, int]:
     return {a: domain_frame(inst.spark, sf_dir, inst.spec, a).count() for a in inst.spec.attrs if inst.spec.domains[a].is_key}
 
 
+def _public_rows(spark, sf_dir: str, text: str) -> DataFrame:
+    names = set(re.findall(r"\{(\w+)\}", text))
+    return spark.sql(text, **{n: spark.read.parquet(f"{sf_dir}/{n}.parquet") for n in names})
+
+
 def domain_frame(spark, sf_dir: str, spec: JoinSpec, attr: str) -> DataFrame:
     """The public domain of an attribute as a one-column table."""
-    import re
-
     d = spec.domains[attr]
     if not d.is_key:
         return spark.createDataFrame([(v,) for v in d.values], [attr])
-    names = set(re.findall(r"\{(\w+)\}", d.sql))
-    return spark.sql(d.sql, **{n: spark.read.parquet(f"{sf_dir}/{n}.parquet") for n in names}).select(attr)
+    return _public_rows(spark, sf_dir, d.sql).select(attr)
+
+
+def joint_domain(spark, sf_dir: str, spec: JoinSpec, attrs: tuple[str, ...]) -> DataFrame:
+    """The public domain of several attributes: a public table that names them all, else the product of their domains."""
+    if not attrs:
+        return spark.range(1).select()
+    listed = next((text for names, text in sorted(spec.public, key=lambda x: len(x[0])) if set(attrs) <= set(names)), None)
+    if listed is not None:
+        return _public_rows(spark, sf_dir, listed).select(*attrs).distinct()
+    out = None
+    for a in attrs:
+        one = domain_frame(spark, sf_dir, spec, a)
+        out = one if out is None else out.crossJoin(one)
+    return out.distinct()

@@ -88,7 +88,9 @@ HIER5 = JoinSpec("HIER5", (
 ), {
     "A": _vals(*BINS), "B": NATIONS, "D": _vals(*SEGMENTS), "F": _vals(*BINS), "G": _keys("select c_custkey as G from {customer}"), "K": _vals(*PRIORITIES), "L": _vals(*EVENT_TYPES),
     "C": _keys("select n_name as C from {nation}"),
-})
+}, public=(
+    (("A", "B"), "select n_regionkey as A, n_nationkey as B from {nation}"), (("A", "B", "G"), f"select n_regionkey as A, n_nationkey as B, c_custkey as G from {_CUST_NATION}"),
+))
 
 PATH3 = JoinSpec("PATH3", (
     RelationSpec("R1", ("T", "B"), "select p_partkey as T, p_brand as B from {part}"),

@@ -73,6 +73,15 @@ def tlap_value(b: float, radius: float, u: float) -> float:
     return half if u < 0.5 else 2 * radius - half
 
 
+def tlap_below(x: float, b: float, radius: float) -> float:
+    """Distribution function of that law."""
+    if x <= 0 or x >= 2 * radius:
+        return float(x >= 2 * radius)
+    edge = math.exp(-radius / b)
+    half = (math.exp((min(x, 2 * radius - x) - radius) / b) - edge) / (2 * (1 - edge))
+    return half if x <= radius else 1 - half
+
+
 def uniform_col(secret: str, *key: Column | str) -> Column:
     """The column of :meth:`NoiseSource.uniform`."""
     digest = F.md5(F.concat_ws("|", F.lit(secret), *(k if isinstance(k, Column) else F.lit(k) for k in key)).cast("binary"))

@@ -9,11 +9,12 @@ from __future__ import annotations
 from collections.abc import Callable
 from dataclasses import dataclass
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.noise import NoiseSource, tau, tlap_col, uniform_col
+from ..functions.noise import NoiseSource, tau, tlap_below, tlap_col, uniform_col
 from ..hyper import AttrTree, Node, boundary, meet
 from ..relation import Instance
 from ..sources.formats import cut
@@ -69,6 +70,30 @@ def partition_two_table(inst: Instance, domain: DataFrame, eps: float, delta: fl
     return Partition(labels, Instance(inst.spec, frames), ("bucket",))
 
 
+def partition_open_domain(inst: Instance, size: int, eps: float, delta: float, lam: float, noise: NoiseSource) -> tuple[Partition, DataFrame]:
+    """The same partition over a public domain of ``size`` join values that can't be listed, and (sub_id, share of the domain).
+
+    Join values without rows are alike: their noise is drawn for all of them at once, as the numbers of them that fall into
+    each bucket, with the law that noise for each would give.  A bucket of such values only is a part without rows.
+    """
+    on = list(join_attrs(inst.spec))
+    seen = degree_table(inst).select(*on)
+    part = partition_two_table(inst, seen, eps, delta, lam, noise)
+    held = {r["bucket"]: r["count"] for r in part.labels.groupBy("bucket").count().collect()}  # one a bucket
+    absent = size - sum(held.values())
+    if absent < 0:
+        raise ValueError("more join values than the public domain has")
+    radius = tau(eps, delta, 1)
+    below = [tlap_below(lam * 2.0**i, 1 / eps, radius) for i in range(1, LAST_BUCKET)]
+    chance = np.diff([0.0, *below, 1.0]) if noise.kind != "zero" else np.eye(1, LAST_BUCKET)[0]
+    drawn = noise.generator("absent").multinomial(absent, chance) if noise.kind != "zero" else (chance * absent).astype(int)
+    empty = {i + 1: int(n) for i, n in enumerate(drawn) if n}
+    share = inst.spark.createDataFrame([(str(b), (held.get(b, 0) + empty.get(b, 0)) / size) for b in sorted({*held, *empty})], "sub_id string, share double")
+    names = inst.spark.createDataFrame([(b,) for b in sorted(empty)], "bucket int")
+    labels = part.labels.unionByName(names.select(*(F.lit(None).cast(part.labels.schema[c].dataType).alias(c) for c in on), "bucket"))
+    return Partition(labels, part.instance, part.by), share
+
+
 def partition_true_degrees(inst: Instance, domain: DataFrame, lam: float, pairs: bool = False) -> Partition:
     """The yardstick of the analysis: buckets of exact degrees (not private)."""
     return partition_two_table(inst, domain, 1.0, 1e-6, lam, NoiseSource.zero(), pairs)

@@ -22,7 +22,7 @@ from ..queries import QuerySet, answers, cells, dense_answers, joint_domain, key
 from ..relation import Instance, materialise
 from ..sources.formats import cut
 from .kernel import STATS, TASK_BYTES, KernelPlan, KernelSettings, noisy_total, plan_weights, release_groups, run_frame
-from .partition import Partition, label_bounds, partition_hierarchical, partition_two_table, replication_bound
+from .partition import Partition, label_bounds, partition_hierarchical, partition_open_domain, partition_two_table, replication_bound
 from .sensitivity import ResidualBound, SmoothBound, join_attrs, max_degree, out_size, residual_sensitivity, subsets
 
 
@@ -274,13 +274,14 @@ def group_stats(part: Partition, queries: QuerySet, plan: KernelPlan, volume: fl
     return share.groupBy("sub_id").applyInPandas(raised, STATS)
 
 
-def release_uniformized(inst: Instance, queries: QuerySet, sf_dir: str, eps: float, delta: float, noise: NoiseSource | None = None, rounds: int | str = "auto", partitioner: str = "two_table", inner: str | None = None, lam: float | None = None, n_max: float = 2.0**40, max_configs: int = 10**6, dp: str = "add_remove", **kernel: object) -> Release:
+def release_uniformized(inst: Instance, queries: QuerySet, sf_dir: str, eps: float, delta: float, noise: NoiseSource | None = None, rounds: int | str = "auto", partitioner: str = "two_table", inner: str | None = None, lam: float | None = None, n_max: float = 2.0**40, max_configs: int = 10**6, dp: str = "add_remove", domain_size: int | None = None, **kernel: object) -> Release:
     """Partition privately, release every part, return the union.  One Spark job for all parts.
 
     The parts of a two-table partition are disjoint, so releasing them counts once.  In a hierarchical
     partition a tuple may be in several parts: the budget is divided by a public bound before any noise.
     Degrees of the whole public domain are noised, with rows or without, and every part that follows from the noisy
-    degrees is released, empty ones too, so what is released never tells which values occur.
+    degrees is released, empty ones too, so what is released never tells which values occur.  ``domain_size``: a public
+    number of join values that can't be listed (two tables).
     """
     inst, noise = materialise(inst), noise or NoiseSource.os()
     g = inst.spec.group_factor
@@ -292,11 +293,14 @@ def release_uniformized(inst: Instance, queries: QuerySet, sf_dir: str, eps: flo
     if partitioner == "two_table":
         if not join_attrs(inst.spec):
             raise ValueError("the tables share no attribute: there is one join value and nothing to partition")
-        domain = joint_domain(inst.spark, sf_dir, inst.spec, join_attrs(inst.spec))
-        part = partition_two_table(inst, domain, eps / 2, delta / 2, lam, noise)
         ledger.spend("degrees", eps / 2, delta / 2, "parallel over join values", g)
-        whole = domain.count()
-        key_share = part.labels.groupBy(F.col("bucket").cast("string").alias("sub_id")).agg((F.count("*") / F.lit(float(whole))).alias("share"))
+        if domain_size is not None:
+            part, key_share = partition_open_domain(inst, domain_size, eps / 2, delta / 2, lam, noise)
+        else:
+            domain = joint_domain(inst.spark, sf_dir, inst.spec, join_attrs(inst.spec))
+            part = partition_two_table(inst, domain, eps / 2, delta / 2, lam, noise)
+            whole = domain.count()
+            key_share = part.labels.groupBy(F.col("bucket").cast("string").alias("sub_id")).agg((F.count("*") / F.lit(float(whole))).alias("share"))
         share = eps / 2, delta / 2
         ledger.spend("parts", *share, "parallel", g)
     else:

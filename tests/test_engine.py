@@ -5,15 +5,15 @@ import pytest
 from pyspark.sql import functions as F
 
 from joinsynth.functions.bounds import lam as lam_of
-from joinsynth.functions.noise import NoiseSource, tau
+from joinsynth.functions.noise import NoiseSource, tau, tlap_below, tlap_value
 from joinsynth.hyper import AttrTree
 from joinsynth.ledger import NotPrivate
 from joinsynth.operators import baselines, kernel, measures, partition, release, sensitivity
 from joinsynth.plans.elimination import join_size
-from joinsynth.queries import Family, QuerySet, answers, answers_naive, dense_answers, domain_frame
+from joinsynth.queries import Family, QuerySet, answers, answers_naive, dense_answers, domain_frame, joint_domain
 from joinsynth.relation import Instance, load, natural_join, neighbor, substitute
 from joinsynth.sources import instances
-from joinsynth.sources.workloads import CHAIN3, EVENT_TYPES, HIER5, LINE1, PATH3, PRIORITIES, SEGMENTS, SPECS, STAR3, TRIANGLE, TWO
+from joinsynth.sources.workloads import CHAIN3, EVENT_TYPES, HIER5, LANG2, LINE1, NATION2, PATH3, PRIORITIES, SEGMENTS, SPECS, STAR3, TRIANGLE, TWO
 
 D = "/root/testdata/sf0.001"
 ZERO, SEEDED = NoiseSource.zero(), NoiseSource.seeded("t")
@@ -190,12 +190,12 @@ def test_bucket_thresholds_belong_below(spark):
 
 @pytest.mark.parametrize(("spec", "noise"), [(STAR3, ZERO), (STAR3, SEEDED), (HIER5, ZERO), (TWO, SEEDED)])
 def test_hierarchical_partition_is_a_partition_of_the_join(spark, spec, noise):
-    inst = load(spark, D, spec)
-    part = partition.partition_hierarchical(inst, 1.0, 1e-6, 1.0 if spec is STAR3 else LAM, noise)
+    inst, domain = load(spark, D, spec), lambda attrs: joint_domain(spark, D, spec, attrs)
+    part = partition.partition_hierarchical(inst, 1.0, 1e-6, 1.0 if spec is STAR3 else LAM, noise, domain)
     vector = measures.join_size_vector(part).collect()
     assert sum(r.out_size for r in vector) == sensitivity.out_size(inst)
     assert len({r.config for r in vector}) == len(vector)
-    skipped = partition.partition_hierarchical(inst, 1.0, 1e-6, 1.0 if spec is STAR3 else LAM, noise, skip_root=True)
+    skipped = partition.partition_hierarchical(inst, 1.0, 1e-6, 1.0 if spec is STAR3 else LAM, noise, domain, skip_root=True)
     assert sum(r.out_size for r in measures.join_size_vector(skipped).collect()) == sensitivity.out_size(inst)
 
 
@@ -214,7 +214,7 @@ def test_zero_noise_hierarchical_labels_are_dyadic(spark):
     inst = load(spark, D, STAR3)
     tree = AttrTree(STAR3)
     leaf = next(n for n in tree.nodes if n.attrs == ("S",))
-    split, labels, known = partition.split_on_attribute(inst, tree, leaf, {}, 1.0, 1e-6, 1.0, ZERO)
+    split, labels, known = partition.split_on_attribute(inst, tree, leaf, {}, {}, lambda attrs: joint_domain(spark, D, STAR3, attrs), 1.0, 1e-6, 1.0, ZERO)
     degree = {r.N: r.deg for r in sensitivity.hier_degree(inst, (0,), ("N",)).collect()}
     for r in known.collect():
         assert r.c_S == max(1, math.ceil(math.log2(max(1, degree.get(r.N, 0)))))
@@ -285,3 +285,92 @@ def test_cyclic_and_path_releases_run(spark):
     for spec in (TRIANGLE, CHAIN3):
         out = release.release_multi_table(load(spark, D, spec), ones, D, 1.0, 1e-6, SEEDED, rounds=1)
         assert out.cells.first().n_hat >= sensitivity.out_size(load(spark, D, spec))
+
+
+STAR_Q = QuerySet((Family.all_ones() + Family.marginal("S", SEGMENTS), Family.all_ones(), Family.all_ones()))
+
+
+@pytest.mark.parametrize("seed", ["a", "b"])
+def test_hierarchical_release_of_neighbours_has_the_same_parts(spark, seed):
+    """One nation without a supplier, and with one: neither the parts nor their bounds tell them apart."""
+    inst = load(spark, D, STAR3)
+    inst = Instance(inst.spec, tuple(f.filter("N = 1") for f in inst.frames)).with_frame(1, inst.frames[1].filter("false"))
+    other = neighbor(inst, 1, (1, 2), 1)
+    outs = []
+    for x in (inst, other):
+        out = release.release_uniformized(x, STAR_Q, D, 1.0, 1e-6, NoiseSource.seeded(seed), rounds=1, partitioner="hierarchical", n_max=1000.0)
+        assert out.ledger.total == pytest.approx((1.0, 1e-6))
+        outs.append({r.sub_id: r.dtilde for r in out.cells.select("sub_id", "dtilde").distinct().collect()})
+    assert outs[0] and outs[0].keys() == outs[1].keys()
+    # a bound's logarithm moves by the smoothness at most
+    copies = partition.replication_bound(inst, 1000.0, LAM)
+    beta = 1 / lam_of(0.5 / copies, 5e-7 / copies)
+    assert all(abs(math.log(a / outs[1][k])) <= beta * (1 + 1e-9) for k, a in outs[0].items())
+
+
+def test_empty_tables_release_every_part(spark):
+    inst = load(spark, D, NATION2)
+    none = Instance(inst.spec, tuple(f.filter("false") for f in inst.frames))
+    queries = QuerySet((Family.all_ones(), Family.all_ones()))
+    for kind in ("two_table", "hierarchical"):
+        out = release.release_uniformized(none, queries, D, 1.0, 1e-6, SEEDED, rounds=1, partitioner=kind, n_max=1000.0)
+        assert out.cells.count() >= 25 and out.cells.filter("mass is null").count() == 0
+
+
+def test_every_release_divides_the_budget_of_a_self_join(spark):
+    """Noise and ledger of a unit that touches two rows: half of the budget for each row, the whole one in all."""
+    inst = load(spark, D, LANG2)
+    queries = QuerySet((Family.all_ones(), Family.all_ones() + Family.prefix("W", (0, 2))))
+    degree = sensitivity.max_degree(inst).first()[0]
+    whole = lambda f, **k: f(inst, queries, D, 1.0, 1e-6, SEEDED, rounds=1, **k)
+    for f in (release.release_two_table, release.release_padded):
+        out = whole(f)
+        assert out.ledger.total == pytest.approx((1.0, 1e-6))
+        assert out.cells.first().dtilde == pytest.approx(degree + SEEDED.tlap(4, tau(0.25, 2.5e-7, 1), "degree"))
+    assert whole(release.release_multi_table).ledger.total == pytest.approx((1.0, 1e-6))
+    out = whole(release.release_uniformized)
+    assert out.ledger.total == pytest.approx((1.0, 1e-6))
+    # of a part's share one half goes to its degree
+    labels = partition.partition_two_table(inst, joint_domain(spark, D, LANG2, ("L",)), 0.25, 2.5e-7, lam_of(0.5, 5e-7), SEEDED)
+    exact = {r.sub_id: r.d for r in labels.instance.frames[0].groupBy("L", "bucket").agg(F.sum("freq").alias("d")).groupBy(F.col("bucket").cast("string").alias("sub_id")).agg(F.max("d").alias("d")).collect()}
+    for r in out.cells.select("sub_id", "dtilde").distinct().collect():
+        assert r.dtilde == pytest.approx(exact.get(r.sub_id, 0) + SEEDED.tlap(2 / 0.25, tau(0.125, 1.25e-7, 1), "degree", r.sub_id))
+    substituted = release.release_uniformized(inst, queries, D, 1.0, 1e-6, SEEDED, rounds=1, dp="substitute")
+    assert substituted.ledger.total == pytest.approx((0.5, 5e-7))
+
+
+def test_open_domain_draws_absent_values_as_listing_would(spark, two):
+    radius = tau(0.5, 5e-7, 1)
+    for u in (0.01, 0.2, 0.5, 0.77, 0.999):
+        assert tlap_below(tlap_value(2.0, radius, u), 2.0, radius) == pytest.approx(u)
+    listed = partition.partition_two_table(two, domain_frame(spark, D, TWO, "K"), 0.5, 5e-7, LAM, SEEDED)
+    part, share = partition.partition_open_domain(two, 10**7, 0.5, 5e-7, LAM, SEEDED)
+    want = {r.K: r.bucket for r in listed.labels.collect()}
+    seen = {r.K: r.bucket for r in part.labels.filter("K is not null").collect()}
+    assert seen and all(want[k] == b for k, b in seen.items())
+    shares = {int(r.sub_id): r.share for r in share.collect()}
+    assert sum(shares.values()) == pytest.approx(1.0)
+    expected = np.diff([0.0, *(tlap_below(LAM * 2.0**i, 2.0, radius) for i in range(1, 8))])
+    for i, p in enumerate(expected):
+        assert shares.get(i + 1, 0.0) == pytest.approx(p, abs=2e-3)
+    out = release.release_uniformized(two, Q2, D, 1.0, 1e-6, SEEDED, rounds=1, domain_size=10**7)
+    assert {r.sub_id for r in out.cells.select("sub_id").distinct().collect()} == {str(k) for k in shares}
+    assert out.cells.groupBy("sub_id").agg(F.sum("volume").alias("v")).agg(F.sum("v")).first()[0] == pytest.approx(25 * domain_frame(spark, D, TWO, "K").count())
+
+
+def test_large_cell_tables_stay_frames(spark, two, monkeypatch):
+    monkeypatch.setattr(release, "TASK_BYTES", 100)
+    frame = release.release_two_table(two, Q2, D, 20.0, 1e-6, SEEDED, rounds=3)
+    monkeypatch.setattr(release, "TASK_BYTES", 10**9)
+    task = release.release_two_table(two, Q2, D, 20.0, 1e-6, SEEDED, rounds=3)
+    assert frame.plan is None
+    masses = [{(r.P, r.E): r.mass for r in x.cells.collect()} for x in (frame, task)]
+    assert masses[0] == pytest.approx(masses[1])
+    assert {tuple(r)[:2]: r.released for r in frame.answer().collect()} == pytest.approx({tuple(r)[:2]: r.released for r in task.answer().collect()})
+
+
+def test_rounds_follow_the_formula_uncapped(spark, two):
+    out = release.release_two_table(two, Q2, D, 1200.0, 1e-6, SEEDED)
+    row, plan = out.cells.first(), out.plan
+    want = row.n_hat * 600.0 * math.sqrt(plan.log_domain) / (row.dtilde * math.log(36) * math.sqrt(math.log(2e6)))
+    assert row.rounds == int(want) > 500

@@ -6,7 +6,7 @@ import pytest
 
 from joinsynth.llm import quality_classifier as qc
 
-from .test_dedup import brute_lines, brute_near
+from .test_dedup import brute_near, brute_passages
 from .test_first_five import brute_hits
 
 SF = "/root/testdata/sf0.01"
@@ -32,19 +32,62 @@ def test_odd_tables(spark, odd_docs, no_docs):
     assert qc.accepted_only(docs, labels).count() == out.filter("accepted").count()
 
 
+def made_features(bags, places, labels):
+    edges = np.concatenate([[0], np.cumsum([len(b) for b in bags])])
+    return qc.Features(np.concatenate(bags), edges, np.zeros((len(bags), qc.LAYOUT)), np.array(places), np.stack([labels, np.full(len(bags), -1)], 1))
+
+
 def test_exchange_helps_the_weaker_view():
+    """Metadata tells the class, few labels hold the words: the page view's pseudo-labels teach the text view words that no label has."""
     rng = np.random.default_rng(0)
-    n = 3000
+    n = 4000
     y = rng.integers(0, 2, n)
-    pages = np.stack([y + rng.normal(size=n) * 0.25, rng.normal(size=n)], 1)
-    bags = [np.unique(np.where(rng.random(6) < 0.75, rng.integers(0, 200, 6) + 200 * c, rng.integers(0, 400, 6))).astype(np.int32) for c in y]
-    labels = y.copy()
-    labels[150:2000] = -1
-    labels[2000:] = -2
-    few = np.flatnonzero(labels != -2)
-    model = qc.co_train([bags[i] for i in few], pages[few], np.maximum(labels[few], -1))
-    p = np.array([model.probabilities(bags[i], pages[i])[2] for i in range(2000, n)])
-    assert ((p >= 0.5) == y[2000:]).mean() > 0.95
+    places = [(int(c) if rng.random() < 0.99 else int(1 - c), 64 + int(rng.integers(0, 8)), 128 + int(rng.integers(0, 8))) for c in y]
+    bags = [np.unique(rng.integers(0, 200, 4) + 200 * c).astype(np.int32) for c in y]
+    labels = np.where(np.arange(n) < 150, y, -1)
+    known = made_features(bags[:150], places[:150], labels[:150])
+    free, rest = (made_features(bags[a:b], places[a:b], labels[a:b]) for a, b in ((150, 2500), (2500, n)))
+    rounds = []
+
+    def taught_by(models):
+        rounds.append(models[0].text.logit(rest))
+        return [qc.pseudo_counts(free, 0, models[0]), [(np.zeros((2, s)), np.zeros(2)) for s in (1 << qc.BITS, qc.PLACES)]]
+
+    model = qc.co_train(known, taught_by)[0]
+    right = lambda z: ((z >= 0) == y[2500:]).mean()
+    assert right(model.text.logit(rest)) > max(0.97, right(rounds[0]) + 0.02)
+    assert ((model.probabilities(rest)[2] >= 0.5) == y[2500:]).mean() > 0.97
+
+
+def test_query_matches_one_process(spark):
+    """The rounds over the whole corpus as a plain loop over documents."""
+    docs, labels = (spark.read.parquet(f"{SF}/{t}.parquet") for t in ("documents", "labels"))
+    given = {r.doc_id: (r.quality, r.toxic) for r in labels.collect()}
+    rows = docs.select("doc_id", "text", "lang", "source", "n_chars").collect()
+    bags, layout, places = [qc.text_features(r.text) for r in rows], [qc.layout_features(r.text) for r in rows], [qc.page_places(r.lang, r.source, r.n_chars) for r in rows]
+    x = qc.Features(np.concatenate(bags), np.concatenate([[0], np.cumsum([len(b) for b in bags])]), np.array(layout, float), np.array(places), np.array([given.get(r.doc_id, (-1, -1)) for r in rows]))
+    _, known = qc.featurise(docs, labels)
+
+    def taught_by(models):
+        out = []
+        for t, m in enumerate(models):
+            words, values = [np.zeros((2, s)) for s in (1 << qc.BITS, qc.PLACES)]
+            n = np.zeros((2, 2))
+            for i in np.flatnonzero(x.labels[:, t] < 0).tolist():
+                one = x.take(np.array([i]))
+                for k, (view, table, own) in enumerate(((m.page, words, bags[i]), (m.text, values, places[i]))):
+                    p = 1 / (1 + np.exp(-view.logit(one)[0]))
+                    if p >= qc.SURE or p <= 1 - qc.SURE:
+                        table[int(p >= qc.SURE), own] += 1
+                        n[k, int(p >= qc.SURE)] += 1
+            out.append([(words, n[0]), (values, n[1])])
+        return out
+
+    want = qc.probabilities(x, qc.co_train(known, taught_by))
+    got = {r.doc_id: r for r in qc.classify(docs, labels).collect()}
+    for i, r in enumerate(rows):
+        assert np.allclose([got[r.doc_id][c] for c in qc._SCORE_NAMES[1:]], [p[i] for p in want], atol=1e-9)
+        assert got[r.doc_id].accepted == (want[2][i] >= 0.5 and want[5][i] < 0.4)
 
 
 def test_pipeline_matches_its_brute_force_version(spark, monkeypatch):
@@ -66,7 +109,7 @@ def test_pipeline_matches_its_brute_force_version(spark, monkeypatch):
     accepted = {r.doc_id for r in qc.classify(spark.read.parquet(f"{SF}/documents.parquet"), spark.read.parquet(f"{SF}/labels.parquet")).filter("accepted").collect()}
     docs = [(r.doc_id, r.text) for r in rows if r.doc_id in accepted]
     before = dict(docs)
-    docs = [(d, t) for d, t in brute_lines(docs).items() if t or t == before[d]]
+    docs = [(d, t) for d, t in brute_passages(docs).items() if t or t == before[d]]
     near = brute_near(docs)
     docs = [(d, t) for d, t in docs if near[d][2]]
     items = [tuple(r) for r in spark.read.parquet(f"{SF}/benchmark.parquet").select("item_id", "text").collect()]

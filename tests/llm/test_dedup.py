@@ -262,3 +262,26 @@ def test_lines_whose_digests_clash_stay(spark, monkeypatch):
     frame = spark.createDataFrame(rows, "doc_id bigint, text string")
     monkeypatch.setattr(line_dedup, "_clashes", lambda rows: spark.createDataFrame([(hashlib.md5(b"shared a").digest(),)], "digest binary"))
     assert {r.doc_id: r.text for r in line_dedup.dedup_lines(frame).collect()} == dict(rows)
+
+
+def test_embedding_groups_prune_and_large_dimensions(spark, monkeypatch):
+    """Many groups: clustered vectors are sent to few of them, and in 512 dimensions nothing is lost either."""
+    monkeypatch.setattr(ed, "GROUP_BYTES", 1 << 15)
+    rng = np.random.default_rng(3)
+    for dims, n_clusters, each in ((32, 30, 40), (512, 8, 30)):
+        centres = rng.normal(size=(n_clusters, dims))
+        x = (centres[:, None, :] + 0.25 * rng.normal(size=(n_clusters, each, dims))).reshape(-1, dims)
+        frame = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "vec_id bigint, embedding array<double>").repartition(4)
+        sent = []
+        real = ed._sending
+        monkeypatch.setattr(ed, "_sending", lambda dealt, cosine: sent.append(dealt) or real(dealt, cosine))  # noqa: B023
+        got = {r.vec_id: (r.n_links, r.component_id) for r in ed.embedding_near_duplicates(frame).collect()}
+        monkeypatch.setattr(ed, "_sending", real)
+        unit = x / np.linalg.norm(x, axis=1)[:, None]
+        near = unit @ unit.T >= 0.9
+        np.fill_diagonal(near, False)
+        reach = least_reachable(range(len(x)), [(int(a), int(b)) for a, b in zip(*np.nonzero(near), strict=True)])
+        assert got == {i: (int(near[i].sum()), reach[i]) for i in range(len(x))} and near.sum() > len(x)
+        dealing = sent[0][dims]
+        _, visits = dealing.visits(unit, 0.9)
+        assert dealing.n_groups >= 4 and visits.sum() < 0.5 * len(x) * dealing.n_groups

@@ -30,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import cut, small_batches
+from .common import cut, look_up, small_batches
 from .shingles import POWERS, mix
 
 _U = np.uint64
@@ -373,10 +373,11 @@ def cut_repeats(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text")
     found = cut(bodies.repartition(width, "fp", "part").sortWithinPartitions("fp", "part").mapInArrow(_sort_groups, _FOUND))
     found = found.select("fp", "span", "gone").unionByName(_across_parts(found))
 
-    once = spans.filter("n = 1").select("fp", "span").join(found, ["fp", "span"])
-    partly = mixed.join(once, ["fp", "span"]).select("key", "first", "last", "gone")
-    many = spans.filter("n > 1").select("fp", "span")
+    # runs that occur once lose what was found, runs that occur often (one may hold most rows) are gone as a whole
+    once = spans.filter("n = 1").select("fp", "span", "n").join(found, ["fp", "span"])
     nothing = F.lit(None).cast("array<int>").alias("gone")
-    wholly = shared.filter("even").select("key", "first", "last", nothing).unionByName(mixed.join(many, ["fp", "span"], "left_semi").select("key", "first", "last", nothing))
+    told = cut(once.unionByName(spans.filter("n > 1").select("fp", "span", "n", nothing)))
+    partly = look_up(mixed, told, ["fp", "span"], "n").select("key", "first", "last", "gone")
+    wholly = shared.filter("even").select("key", "first", "last", nothing)
     by_doc = wholly.unionByName(partly).groupBy("key").agg(F.collect_list(F.struct("first", "last", "gone")).alias("runs"))
     return keyed.join(by_doc, "key", "left").select("doc_id", "text", "runs").mapInArrow(_digest, "doc_id bigint, n_bytes bigint, n_removed bigint, n_spans bigint, kept_sha256 string, kept binary")

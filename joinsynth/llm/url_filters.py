@@ -22,7 +22,7 @@ from typing import NamedTuple
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import ascii_lower
+from .common import ascii_lower, cut
 from .components import components
 
 
@@ -34,6 +34,8 @@ class Rule(NamedTuple):
 
 #: Rules up to this number are one expression; longer lists are joined by host suffix.
 INLINE_RULES = 64
+#: Most bytes of aliases that are broadcast to the pages; more are joined by a shuffle.
+BROADCAST_BYTES = 16 << 20
 
 # Fixed patterns of the two kinds of link in a page's head.
 _CANONICAL = (r"""(?is)<link\b[^>]*\brel\s*=\s*["']?canonical\b[^>]*>""", r"""(?is)\bhref\s*=\s*["']?([^"'\s>]+)""")
@@ -124,12 +126,10 @@ def resolved(base: Column, target: Column) -> Column:
 
 
 def page_links(pages: DataFrame, url_col: str = "url", html_col: str = "html") -> DataFrame:
-    """(a, b) url pairs from canonical links and meta refreshes, as :func:`alias_url` writes them."""
-    found = []
-    for tag, target in (_CANONICAL, _REFRESH):
-        whole = F.regexp_extract(html_col, tag, 0)
-        found.append(pages.select(F.col(url_col).alias("a"), F.regexp_extract(whole, target, 1).alias("b")))
-    links = found[0].unionByName(found[1]).filter("a is not null and b != ''")
+    """(a, b) url pairs from all canonical links and meta refreshes, as :func:`alias_url` writes them."""
+    targets = lambda tag, target: F.transform(F.regexp_extract_all(html_col, F.lit(tag), F.lit(0)), lambda t: F.regexp_extract(t, target, 1))
+    every = [targets(*kind) for kind in (_CANONICAL, _REFRESH)]
+    links = pages.filter(F.col(url_col).isNotNull() & F.col(html_col).isNotNull()).select(F.col(url_col).alias("a"), F.explode(F.concat(*every)).alias("b")).filter("b != ''")
     return _as_aliases(links.withColumn("b", unescaped(F.col("b"))))
 
 
@@ -160,7 +160,10 @@ def judge_urls(pages: DataFrame, rules: Sequence[Rule], redirects: DataFrame | N
     )
     spared = F.coalesce(F.col("allowed"), F.lit(False)) if allow_wins == "group" else F.lit(False)
     passed = F.when(F.coalesce(F.col("blocked"), F.lit(False)) & ~spared, "block").otherwise(default)
-    return (
-        judged.join(group, "alias", "left").join(votes, "component", "left")
-        .select("page_id", "host", "path", "rule", F.coalesce("rule_verdict", passed).alias("verdict"), "component")
-    )
+    # one row an alias; pages without an alias meet no key at all
+    known = cut(group.join(votes, "component"))
+    size = known.agg(F.coalesce(F.sum(F.octet_length("alias") + F.octet_length("component") + 32), F.lit(0))).first()[0]
+    known = F.broadcast(known) if size <= BROADCAST_BYTES else known
+    found = judged.filter("alias is not null").join(known, "alias", "left")
+    none = judged.filter("alias is null").withColumns({"component": F.lit(None).cast("string"), "blocked": F.lit(None).cast("boolean"), "allowed": F.lit(None).cast("boolean")})
+    return found.unionByName(none).select("page_id", "host", "path", "rule", F.coalesce("rule_verdict", passed).alias("verdict"), "component")

@@ -7,12 +7,14 @@ suffixes are then binary-searched at once: for each word of depth the interval o
 prefixes is narrowed, which yields the longest verbatim match of every benchmark suffix, its
 locations, and the occurrences of every window of ``window`` words.  No document is shuffled.
 
-The benchmark is sent to the workers in blocks of bounded bytes (``BLOCK_BYTES``); a larger
-benchmark becomes a chain of map steps over the same rows, each of which adds its hits.
+The benchmark is sent to the workers in blocks of bounded bytes (``BLOCK_BYTES``), one at a time:
+the driver holds one block, and a larger benchmark becomes a chain of map steps, each of which adds
+its hits to the rows that the step before has written.
 
 Defined results: null or word-less text has no words and no hits; a benchmark item without
-words is ignored, one of fewer words than the window is a window of its own; repeated items and
-repeated documents count each; with an empty benchmark no document is hit; extra columns ignored.
+words is ignored, one of fewer words than the window is a window of its own; rows of one item id are
+one item (all without an id, too, which counts but has no name in a digest); repeated documents
+count each; with an empty benchmark no document is hit; extra columns ignored.
 """
 
 from __future__ import annotations
@@ -20,14 +22,16 @@ from __future__ import annotations
 import hashlib
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import small_batches
+from .common import cut, small_batches
 
 #: Bytes of benchmark text sent to the workers at once.
 BLOCK_BYTES = 16 << 20
@@ -97,7 +101,7 @@ class Block:
     item_of: np.ndarray  # item number at each position of the sequence
     left: np.ndarray  # words from a position to its item's end
     length: np.ndarray  # words of each item
-    names: list[str]
+    names: list[str | None]
 
 
 def make_block(rows: list[tuple[object, str | None]]) -> Block:
@@ -112,7 +116,7 @@ def make_block(rows: list[tuple[object, str | None]]) -> Block:
         owner += [len(names)] * (n + 1)
         left += [*range(n, 0, -1), 0]
         length.append(n)
-        names.append("" if name is None else str(name))
+        names.append(None if name is None else str(name))
     as_int = lambda x: np.array(x, np.int64)
     return Block(vocabulary, as_int(parts), as_int(owner), as_int(left), as_int(length), names)
 
@@ -219,7 +223,7 @@ def _scan(block_of: Callable[[], Block], window: int, id_type: pa.DataType) -> C
                 texts = part.column(1).to_pylist()
                 counts, hits, items, _, _ = scan_shard(texts, block, window)
                 hits = [sorted({*(old or ()), *new.tolist()}) if old else new.tolist() for old, new in zip(part.column(3).to_pylist(), hits, strict=True)]
-                items = [[*(old or ()), *(block.names[i] for i in new)] for old, new in zip(part.column(4).to_pylist(), items, strict=True)]
+                items = [list({*(old or ()), *(block.names[i] for i in new)}) for old, new in zip(part.column(4).to_pylist(), items, strict=True)]
                 yield pa.RecordBatch.from_arrays([part.column(0).cast(id_type), part.column(1), pa.array(counts, pa.int64()), pa.array(hits, pa.list_(pa.int32())), pa.array(items, pa.list_(pa.string()))], ["doc_id", "text", "n_words", "hits", "items"])
 
     return run
@@ -243,13 +247,24 @@ def find_hits(docs: DataFrame, benchmark: DataFrame, window: int = 10, id_col: s
     from pyspark.sql.pandas.types import to_arrow_type
 
     id_type = to_arrow_type(id_field.dataType)
-    blocks = list(benchmark_blocks(benchmark, item_col, item_text_col)) or [[]]
-    for rows in blocks:
-        sent = spark.sparkContext.broadcast(make_block(rows))
+    sent = None
+    for rows in chain(benchmark_blocks(benchmark, item_col, item_text_col), [None]):
+        if rows is None and sent is not None:
+            break
+        state = _written(state, sent)
+        sent = spark.sparkContext.broadcast(make_block(rows or []))
         state = state.mapInArrow(_scan(lambda sent=sent: sent.value, window, id_type), _STEP.format(id=id_field.dataType.simpleString()))
     return state
 
 
+def _written(state: DataFrame, sent: Broadcast | None) -> DataFrame:
+    """The rows of a step, written, so that its block may go."""
+    if sent is not None:
+        state = cut(state)
+        sent.destroy()
+    return state
+
+
 def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = 10, max_share: float = 0.0, **names: str) -> DataFrame:
     """The documents (``doc_id, text``) whose hit words are at most ``max_share`` of their words."""
     found = find_hits(docs, benchmark, window, **names)
@@ -272,8 +287,9 @@ def _clean(block_of: Callable[[], Block], window: int, at: int) -> Callable[[Ite
 def clean_only(docs: DataFrame, benchmark: DataFrame, window: int = 10, text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
     """The documents, with all their columns, that hold no window of the benchmark."""
     small_batches(docs.sparkSession)
-    out = docs
+    out, sent = docs, None
     for rows in benchmark_blocks(benchmark, item_col, item_text_col):
+        out = _written(out, sent)
         sent = docs.sparkSession.sparkContext.broadcast(make_block(rows))
         out = out.mapInArrow(_clean(lambda sent=sent: sent.value, window, docs.columns.index(text_col)), docs.schema)
     return out
@@ -309,9 +325,10 @@ def _longest(block_of: Callable[[], Block], window: int) -> Callable[[Iterator[p
 
 def longest_matches(docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
     """``item_id, word, longest, doc_id``: for every benchmark suffix its longest verbatim match and one document (integer id) holding it."""
-    spark, out = docs.sparkSession, None
+    spark, out, sent = docs.sparkSession, None, None
     rows = docs.select(F.col(id_col).cast("bigint").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     for part in benchmark_blocks(benchmark, item_col, item_text_col):
+        out = _written(out, sent)
         sent = spark.sparkContext.broadcast(make_block(part))
         found = rows.mapInArrow(_longest(lambda sent=sent: sent.value, 10), "item_id string, word bigint, longest bigint, doc_id bigint")
         out = found if out is None else out.unionByName(found)

@@ -5,7 +5,8 @@ round one aggregate job counts the exact bytes (and rows) in every cell between
 probes, and the cells that still hold a wanted boundary are probed more finely, until every
 splitter is within tolerance or its cell is one hash value.  A hash value heavier than the
 tolerance (many copies of one text) is divided further by id, otherwise equal texts stay in one
-shard.  Then rows are exchanged once.  Each round returns at most a few thousand counts.
+shard.  Rows find their cell and their range by binary search in a sorted array of boundaries, and
+are then exchanged once.  A round returns at most ``PROBES`` counts a splitter.
 
 Defined results: a null text has no bytes (size 8) and the checksum of the empty string; a null
 id sorts first; repeated rows are placed each; an empty table gives an empty result; extra
@@ -14,9 +15,12 @@ columns are ignored.  A single text larger than a shard cannot be divided and is
 
 from __future__ import annotations
 
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
@@ -54,20 +58,47 @@ def _cells(low: int, high: int) -> int:
     return width
 
 
+def _located(keys: np.ndarray, ties: np.ndarray | None, of_key: np.ndarray, start: np.ndarray) -> np.ndarray:
+    """For each row the number of starts (sorted by key, then tie) that are not above it; without ties by key alone."""
+    if ties is None:
+        return np.searchsorted(start, keys, "right")
+    low, high = np.searchsorted(of_key, keys, "left"), np.searchsorted(of_key, keys, "right")
+    out = low.copy()
+    for first in np.unique(low[low < high]).tolist():  # rows of a key that is divided
+        mine = np.flatnonzero((low == first) & (high > low))
+        out[mine] += np.searchsorted(start[first : high[mine[0]]], ties[mine], "right")
+    return out
+
+
+def _counting(column: str, intervals: list[tuple[int | None, int, int]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """Sums of sizes by interval and cell, one row each a batch."""
+    of_key = np.array([k or 0 for k, _, _ in intervals], np.int64)
+    low, last = (np.array(x, np.int64) for x in ([lo for _, lo, _ in intervals], [hi - 1 for _, _, hi in intervals]))
+    shift = np.array([_cells(lo, hi).bit_length() - 1 for _, lo, hi in intervals], np.int64)
+    keyed = intervals[0][0] is not None
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keys, ties, size = (batch.column(c).to_numpy() for c in ("key", "tie", "size"))
+            value = ties if keyed else keys
+            i = _located(keys, ties if keyed else None, of_key, low) - 1
+            ok = i >= 0
+            ok &= (value <= last[i]) & ((of_key[i] == keys) if keyed else True)
+            i, value, size = i[ok], value[ok], size[ok]
+            # shifts first: the difference of two longs could overflow, that of shifted ones cannot
+            cell = (value >> shift[i]) - (low[i] >> shift[i])
+            both, at = np.unique(i * (2 * PROBES + 2) + cell, return_inverse=True)
+            total = np.zeros(len(both), np.int64)
+            np.add.at(total, at, size)
+            yield pa.RecordBatch.from_arrays([pa.array(both // (2 * PROBES + 2)), pa.array(both % (2 * PROBES + 2)), pa.array(total)], ["i", "c", "bytes"])
+
+    return run
+
+
 def _count(digest: DataFrame, column: str, intervals: list[tuple[int | None, int, int]]) -> dict[tuple[int, int], int]:
-    """Exact bytes in each cell of each interval (key or None, low, high): {(interval, cell): bytes}."""
-    number = cell = None
-    for i, (key, low, high) in reversed(list(enumerate(intervals))):
-        width = _cells(low, high)
-        inside = F.lit(True) if key is None else F.col("key") == F.lit(key)
-        inside = inside & (F.col(column) >= F.lit(low)) & (F.col(column) <= F.lit(high - 1))
-        # shifts first: the difference of two longs could overflow, that of shifted ones cannot
-        shift = width.bit_length() - 1
-        own = F.shiftright(F.col(column), shift) - F.lit(low >> shift)
-        number = F.when(inside, i) if number is None else F.when(inside, i).otherwise(number)
-        cell = F.when(inside, own) if cell is None else F.when(inside, own).otherwise(cell)
-    rows = digest.select(number.alias("i"), cell.alias("c"), "size").filter("i is not null").groupBy("i", "c").agg(F.sum("size").alias("bytes")).collect()
-    return {(r.i, r.c): r.bytes for r in rows}
+    """Exact bytes in each cell of each interval (key or None, low, high; disjoint and sorted): {(interval, cell): bytes}."""
+    sums = digest.select("key", "tie", "size").mapInArrow(_counting(column, intervals), "i bigint, c bigint, bytes bigint")
+    return {(r.i, r.c): r.bytes for r in sums.groupBy("i", "c").agg(F.sum("bytes").alias("bytes")).collect()}
 
 
 def _refine(hunts: list[_Hunt], counts: dict[tuple[int, int], int], order: dict[tuple, int], slack: float) -> None:
@@ -120,17 +151,17 @@ def splitters(digest: DataFrame, parts: int, total: int) -> list[tuple[int, int]
     return [h.found for h in hunts]
 
 
-def _position(bounds: list[tuple[int, int]], first: int, last: int) -> Column:
-    """Number of boundaries not above (key, tie): a balanced tree of comparisons."""
-    if first == last:
-        return F.lit(first)
-    mid = (first + last) // 2
-    key, tie = bounds[mid]
-    if key >= _HIGH:
-        left = F.lit(True)
-    else:
-        left = (F.col("key") < F.lit(key)) | ((F.col("key") == F.lit(key)) & (F.col("tie") < F.lit(min(tie, _HIGH - 1))) if tie > _LOW else F.lit(False))
-    return F.when(left, _position(bounds, first, mid)).otherwise(_position(bounds, mid + 1, last))
+def _placing(bounds: list[tuple[int, int]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """Adds ``part``: the number of boundaries not above the row, by binary search."""
+    real = [(k, min(t, _HIGH - 1)) for k, t in bounds if k < _HIGH]
+    of_key, start = (np.array(x, np.int64) for x in ([k for k, _ in real], [t for _, t in real]))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            keys, ties = (batch.column(c).to_numpy() for c in ("key", "tie"))
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(_located(keys, ties, of_key, start).astype(np.int32))], [*batch.schema.names, "part"])
+
+    return run
 
 
 def shard_by_bytes(docs: DataFrame, shards: int = 24, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -143,16 +174,17 @@ def shard_by_bytes(docs: DataFrame, shards: int = 24, id_col: str = "doc_id", te
     total, rows = digest.agg(F.coalesce(F.sum("size"), F.lit(0)), F.count("*")).first()
     finer = max(1, -(-rows // (shards * RANGE_ROWS)))
     bounds = sorted(splitters(digest, shards * finer, total)) if rows else []
-    ranged = digest.withColumn("part", _position(bounds, 0, len(bounds)).cast("int"))
+    ranged = digest.mapInArrow(_placing(bounds), "doc_id bigint, size bigint, text_crc32 bigint, key bigint, tie bigint, part int")
     held = {r.part: r["count"] for r in ranged.groupBy("part").count().collect()}
     starts, at = [], 0
     for part in range(shards * finer):
         at = 0 if part % finer == 0 else at
         starts.append(at)
         at += held.get(part, 0)
-    start = F.element_at(F.array(*map(F.lit, starts)), F.col("part") + 1) if finer > 1 else F.lit(0)
+    # one row a range: as many as the plan has partitions
+    first = F.broadcast(docs.sparkSession.createDataFrame(list(enumerate(starts)), "part int, start bigint"))
     local = F.row_number().over(W.partitionBy("part").orderBy("key", "tie"))
-    return ranged.withColumn("local", local).select(
+    return ranged.withColumn("local", local).join(first, "part").select(
         "doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), F.floor(F.col("part") / finer).cast("int").alias("shard"),
-        (start + F.col("local") - 1).cast("bigint").alias("slot"), F.lit(None).cast("int").alias("grown_shard"),
+        (F.col("start") + F.col("local") - 1).cast("bigint").alias("slot"), F.lit(None).cast("int").alias("grown_shard"),
     )

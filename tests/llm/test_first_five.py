@@ -28,8 +28,9 @@ def brute_hits(docs, items, window=10):
             for j in range(len(w) - k + 1 if own else 0):
                 if tuple(w[j : j + k]) in windows:
                     hit.update(range(j, j + k))
-                    found.add(str(name))
-        yield doc, len(w), len(hit), len(found), hashlib.sha256(",".join(sorted(found)).encode()).hexdigest(), bool(hit)
+                    found.add(name)
+        names = sorted(str(x) for x in found if x is not None)
+        yield doc, len(w), len(hit), len(found), hashlib.sha256(",".join(names).encode()).hexdigest(), bool(hit)
 
 
 @pytest.mark.parametrize("block", [1 << 24, 700])
@@ -37,6 +38,7 @@ def test_decontamination(spark, odd_docs, no_docs, monkeypatch, block):
     monkeypatch.setattr(dc, "BLOCK_BYTES", block)
     docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text").unionByName(odd_docs.select("doc_id", "text"))
     items = [(r.item_id, r.text) for r in spark.read.parquet(f"{SF}/benchmark.parquet").limit(12).collect()] + [(900, "lazy dog"), (901, "one"), (902, None), (903, "..."), (904, "lorem ipsum dolor lorem ipsum dolor lorem ipsum dolor lorem ipsum dolor")]
+    items += [(900, "quick brown fox"), (900, "lazy dog"), (None, "lazy dog"), (None, "brown fox jumps")]
     got = dc.contamination_report(docs, spark.createDataFrame(items, "item_id bigint, text string"))
     want = list(brute_hits([tuple(r) for r in docs.collect()], items))
     assert Counter(map(tuple, got.collect())) == Counter(want)
@@ -153,6 +155,33 @@ def test_links_meet_their_pages_in_every_form(spark):
     table = spark.createDataFrame([("HTTP://Gone.net/o", bad[0])], "a string, b string")
     gone = spark.createDataFrame([(1, "http://gone.NET/o#f", "")], "page_id bigint, url string, html string")
     assert url_filters.judge_urls(gone, rules, redirects=table).first().verdict == "block"
+    several = spark.createDataFrame([(1, "http://s.net/", canonical.format("/own") + "<p>" + canonical.format(bad[0])), (2, "http://t.net/", refresh.format("/u") + refresh.format(bad[1]))], "page_id bigint, url string, html string")
+    assert [r.verdict for r in url_filters.judge_urls(several, rules).collect()] == ["block", "block"]
+
+
+def test_aliases_by_a_shuffle(spark, monkeypatch):
+    monkeypatch.setattr(url_filters, "BROADCAST_BYTES", 0)
+    test_url_rules_and_aliases(spark)
+
+
+EXTREME = {"blanks": " " * 2_000_000, "line ends": "\n" * 2_000_000, "letter": "a" * 2_000_000, "symbol": "-" * 2_000_000, "mixed": "word " * 5_000 + "\t" * 1_000_000 + "é" * 600_000 + "\r\n" * 300_000}
+
+
+def test_extreme_runs_give_the_library_s_ids(spark):
+    from tokenizers import Tokenizer
+
+    path, words = tokenizer_path("byte_bpe_50k.json"), tokenizer_path("word_bpe_49k.json")
+    encoder, library = packing.ByteLevelEncoder(path), Tokenizer.from_file(path)
+    for text in EXTREME.values():
+        assert encoder.encode(text).tolist() == library.encode(text, add_special_tokens=False).ids
+    docs = spark.createDataFrame(list(enumerate(EXTREME.values())), "doc_id bigint, text string")
+    size = {r.doc_id: r.doc_tokens for r in packing.pack(docs, path).collect()}
+    assert size == {i: len(library.encode(t, add_special_tokens=False).ids) + 1 for i, t in enumerate(EXTREME.values())}
+    other = Tokenizer.from_file(words)
+    counts = {r.doc_id: r.n_tokens for r in token_counts.count_tokens(docs, words).collect()}
+    assert counts == {i: len(other.encode(t, add_special_tokens=False).ids) for i, t in enumerate(EXTREME.values())}
+    items = spark.createDataFrame([(1, "word word word")], "item_id bigint, text string")
+    assert dc.contamination_report(docs, items).filter("contaminated").count() == 1
 
 
 def test_sharding(spark, odd_docs, no_docs):

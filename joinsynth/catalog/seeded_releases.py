@@ -242,14 +242,14 @@ def r10(s: SparkSession, d: str) -> DataFrame:
 _DEGREES = f"(select n_nationkey as N, coalesce(d1, 0) as d1, coalesce(d2, 0) as d2, coalesce(d3, 0) as d3 from nation left join (select N, sum(f1) as d1 from {rel_sql(STAR3, 0)} group by N) a on a.N = n_nationkey left join (select N, sum(f2) as d2 from {rel_sql(STAR3, 1)} group by N) b on b.N = n_nationkey left join (select N, sum(f3) as d3 from {rel_sql(STAR3, 2)} group by N) c on c.N = n_nationkey)"
 
 
-def _star_labels(eps: float, delta: float, lam: float, zero: bool = False) -> list[str]:
+def _star_labels(eps: float, delta: float, lam: float, zero: bool = False, last: int = 64) -> list[str]:
     noise = lambda u: "0.0" if zero else tlap_sql(repr(1 / eps), radius_sql(repr(eps), repr(delta)), u)
-    leaves = ", ".join(f"{ladder_sql(f'x{i}', lam)} as l{i}" for i in (1, 2, 3))
+    leaves = ", ".join(f"{ladder_sql(f'x{i}', lam, last)} as l{i}" for i in (1, 2, 3))
     draws = ", ".join(f"d{i} + {noise(uniform_sql(text(f'c_{a}'), 'N'))} as x{i}" for i, a in ((1, "S"), (2, "V"), (3, "H")))
     return [
         f"leaf as materialized (select N, d1, d2, d3, {leaves} from (select *, {draws} from {_DEGREES}))",
         "grid as (select l1, l2, l3, coalesce(n, 0) as n from (select distinct l1 from leaf) cross join (select distinct l2 from leaf) cross join (select distinct l3 from leaf) left join (select l1 as a, l2 as b, l3 as c, count(*) as n from leaf where d1 > 0 and d2 > 0 and d3 > 0 group by all) on a = l1 and b = l2 and c = l3)",
-        f"conf as materialized (select l1, l2, l3, concat_ws(',', l1, l2, l3, {ladder_sql('x', lam)}) as sub_id from (select *, n + {noise(uniform_sql(text('c_N'), 'concat_ws(' + text(',') + ', l1, l2, l3)'))} as x from grid))",
+        f"conf as materialized (select l1, l2, l3, concat_ws(',', l1, l2, l3, {ladder_sql('x', lam, last)}) as sub_id from (select *, n + {noise(uniform_sql(text('c_N'), 'concat_ws(' + text(',') + ', l1, l2, l3)'))} as x from grid))",
     ]
 
 
@@ -295,7 +295,7 @@ def _star_stats() -> list[str]:
     tables = _star_tables()
     weights = ["[" + ", ".join(f"({w})::double" for w in f.weights) + "]" for f in _STAR_Q.families]
     return [
-        *_star_labels(_BIG / 2 / 2, DELTA / 2 / 2, LAM),
+        *_star_labels(_BIG / 2 / 2, DELTA / 2 / 2, LAM, last=partition.bucket_count(_N_MAX, LAM)),
         f"bounds as materialized (select sub_id, {tables} from conf c)",
         f"rs as materialized ({_residual_sql(3, beta, 'bounds', 'sub_id')})",
         f"stat as materialized (select sub_id, coalesce(total, 0)::double as total, {raised_sql('rs', beta, *_SHARE, text('smooth'), 'sub_id')} as dtilde from rs left join (select sub_id, sum(d1 * d2 * d3) as total from conf join leaf using (l1, l2, l3) group by sub_id) using (sub_id))",

@@ -6,6 +6,7 @@ hierarchical joins, repeats a row once per configuration that it belongs to).
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 from dataclasses import dataclass
 
@@ -116,7 +117,7 @@ def _configurations(tree: AttrTree, node: Node, splits: dict[str, DataFrame]) ->
     return grid
 
 
-def split_on_attribute(inst: Instance, tree: AttrTree, node: Node, labels: dict[int, tuple[str, ...]], splits: dict[str, DataFrame], domain: Domain, eps: float, delta: float, lam: float, noise: NoiseSource) -> tuple[Instance, dict[int, tuple[str, ...]], DataFrame]:
+def split_on_attribute(inst: Instance, tree: AttrTree, node: Node, labels: dict[int, tuple[str, ...]], splits: dict[str, DataFrame], domain: Domain, eps: float, delta: float, lam: float, noise: NoiseSource, last: int = LAST_BUCKET) -> tuple[Instance, dict[int, tuple[str, ...]], DataFrame]:
     """One node's split of every live configuration.
 
     Degrees are taken per configuration of the nodes below and for every value of the public domain above the node, with
@@ -134,7 +135,7 @@ def split_on_attribute(inst: Instance, tree: AttrTree, node: Node, labels: dict[
     known = grid.join(degree, on, "left") if on else grid.crossJoin(degree)
     key = F.concat_ws(",", *(F.col(c).cast("string") for c in on)) if on else F.lit("")
     known = known.withColumn("x", noisy(F.coalesce("deg", F.lit(0)), eps, delta, noise, label_col(node), key))
-    known = cut(known.select(*on, bucket_of(F.col("x"), lam).alias(label_col(node))))
+    known = cut(known.select(*on, bucket_of(F.col("x"), lam, last).alias(label_col(node))))
     frames, out = [], dict(labels)
     for i, f in enumerate(inst.frames):
         if i in node.atom:
@@ -145,10 +146,11 @@ def split_on_attribute(inst: Instance, tree: AttrTree, node: Node, labels: dict[
     return Instance(inst.spec, tuple(frames)), out, known
 
 
-def partition_hierarchical(inst: Instance, eps: float, delta: float, lam: float, noise: NoiseSource, domain: Domain, skip_root: bool = False) -> Partition:
+def partition_hierarchical(inst: Instance, eps: float, delta: float, lam: float, noise: NoiseSource, domain: Domain, skip_root: bool = False, last: int = LAST_BUCKET) -> Partition:
     """Bottom-up over the attribute tree; afterwards rows bear one label per node and configurations are disjoint in the join.
 
     The configurations are all that the noisy degrees of the public ``domain`` give, whether rows have them or not.
+    ``last``: larger degrees share this bucket, so that the number of buckets is a public figure.
     ``skip_root``: the root's split has one group and separates nothing but configurations; leaving it out saves its noise.
     """
     tree = AttrTree(inst.spec)
@@ -159,7 +161,7 @@ def partition_hierarchical(inst: Instance, eps: float, delta: float, lam: float,
         if skip_root and node.name in roots and tree.children(node):
             inst, labels, splits[node.name] = _merge_root(inst, tree, node, labels, splits)
         else:
-            inst, labels, splits[node.name] = split_on_attribute(inst, tree, node, labels, splits, domain, eps, delta, lam, noise)
+            inst, labels, splits[node.name] = split_on_attribute(inst, tree, node, labels, splits, domain, eps, delta, lam, noise, last)
     every = tuple(label_col(n) for n in tree.post_order() if not (skip_root and n.name in roots and tree.children(n)))
     live = None
     for root in tree.roots():
@@ -183,15 +185,29 @@ def _merge_root(inst: Instance, tree: AttrTree, node: Node, labels: dict[int, tu
     return Instance(inst.spec, tuple(frames)), out, grid
 
 
+def bucket_count(n_max: float, lam: float) -> int:
+    """Buckets that degrees up to a public ``n_max`` need."""
+    return max(1, math.ceil(math.log2(n_max / lam + 1)))
+
+
 def replication_bound(inst: Instance, n_max: float, lam: float) -> int:
     """Public bound on the parts that one tuple may be in: buckets to the number of nodes its relation has no part in."""
-    import math
-
-    buckets = max(1, math.ceil(math.log2(n_max / lam + 1)))
+    buckets = bucket_count(n_max, lam)
     tree = AttrTree(inst.spec)
     return max(math.prod(buckets for n in tree.nodes if i not in n.atom) for i in range(inst.spec.m))
 
 
+def degree_bound(inst: Instance, n_max: float, lam: float) -> int:
+    """Public bound on the noisy degrees that one tuple changes, over all nodes of its relation.
+
+    At a node a tuple changes one degree for each configuration of the labels below that its values leave open: those of
+    nodes without its relation whose own key has more attributes than the tuples that the degree counts.
+    """
+    buckets, tree = bucket_count(n_max, lam), AttrTree(inst.spec)
+    open_ = lambda x, i: [n for n in tree.below(x) if i not in n.atom and set(tree.ancestors(n)) > set(meet(inst.spec, x.atom))]
+    return max(sum(buckets ** len(open_(x, i)) for x in tree.nodes if i in x.atom) for i in range(inst.spec.m))
+
+
 def partition_stats(part: Partition) -> DataFrame:
     """(relation, parts, tuples, copies, most): sub-instances that its rows lie in, and repetition of its tuples."""
     out = None

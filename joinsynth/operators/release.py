@@ -22,7 +22,7 @@ from ..queries import QuerySet, answers, cells, dense_answers, joint_domain, key
 from ..relation import Instance, materialise
 from ..sources.formats import cut
 from .kernel import STATS, TASK_BYTES, KernelPlan, KernelSettings, noisy_total, plan_weights, release_groups, run_frame
-from .partition import Partition, label_bounds, partition_hierarchical, partition_open_domain, partition_two_table, replication_bound
+from .partition import Partition, bucket_count, degree_bound, label_bounds, partition_hierarchical, partition_open_domain, partition_two_table, replication_bound
 from .sensitivity import ResidualBound, SmoothBound, join_attrs, max_degree, out_size, residual_sensitivity, subsets
 
 
@@ -307,10 +307,10 @@ def release_uniformized(inst: Instance, queries: QuerySet, sf_dir: str, eps: flo
         copies = replication_bound(inst, n_max, lam)
         if copies > max_configs:
             raise ValueError(f"{copies} parts may hold one tuple, above the public cap {max_configs}")
-        depth = max(len(r.attrs) for r in inst.spec.relations)
-        e, d = eps / 2 / depth, delta / 2 / depth
-        part = partition_hierarchical(inst, e, d, lam, noise, lambda attrs: joint_domain(inst.spark, sf_dir, inst.spec, attrs))
-        ledger.spend("degrees", e, d, "one degree per attribute of a relation", depth * g)
+        touched = degree_bound(inst, n_max, lam)
+        e, d = eps / 2 / touched, delta / 2 / touched
+        part = partition_hierarchical(inst, e, d, lam, noise, lambda attrs: joint_domain(inst.spark, sf_dir, inst.spec, attrs), last=bucket_count(n_max, lam))
+        ledger.spend("degrees", e, d, "group privacy over the degrees that a tuple changes", touched * g)
         share = eps / 2 / copies, delta / 2 / copies
         ledger.spend("parts", *share, "group privacy over the parts of a tuple", copies * g)
     stats = group_stats(part, queries, plan, volume, *share, noise, inner, key_share)

@@ -374,3 +374,32 @@ def test_rounds_follow_the_formula_uncapped(spark, two):
     row, plan = out.cells.first(), out.plan
     want = row.n_hat * 600.0 * math.sqrt(plan.log_domain) / (row.dtilde * math.log(36) * math.sqrt(math.log(2e6)))
     assert row.rounds == int(want) > 500
+
+
+def test_degrees_that_one_tuple_changes(spark):
+    """Counted on neighbours of an instance with several labels below a node, against the public bound."""
+    assert partition.degree_bound(load(spark, D, STAR3), 1000.0, LAM) == 2
+    buckets = partition.bucket_count(1000.0, LAM)
+    assert partition.degree_bound(load(spark, D, HIER5), 1000.0, LAM) >= 2 + buckets**2
+    inst = load(spark, D, HIER5)
+    inst = Instance(inst.spec, tuple(f.filter("A = 0") for f in inst.frames))
+    tree, row = AttrTree(HIER5), inst.frames[0].filter("freq = 1").first()
+    assert row is not None
+    other = neighbor(inst, 0, tuple(row)[:-1], -1)
+    domain = lambda attrs: joint_domain(spark, D, HIER5, attrs)
+    changed, lam = 0, 0.5
+    states = [[x, {}, {}] for x in (inst, other)]
+    for node in tree.post_order():
+        tables = []
+        for state in states:
+            given, below = tree.ancestors(node), [partition.label_col(n) for n in tree.below(node)]
+            degree = sensitivity.hier_degree(state[0], tuple(sorted(node.atom)), given, state[1])
+            tables.append({tuple(r[c] for c in (*given, *below)): r.deg for r in degree.collect()})
+        changed += sum(tables[0].get(k, 0) != tables[1].get(k, 0) for k in {*tables[0], *tables[1]})
+        # both follow the labels of the first: given equal noisy degrees, only exact degrees differ
+        first = partition.split_on_attribute(*states[0][:1], tree, node, *states[0][1:], domain, 1.0, 1e-6, lam, ZERO)
+        known = first[2]
+        frames = [f.join(known, [c for c in f.columns if c in known.columns]) if i in node.atom else f for i, f in enumerate(states[1][0].frames)]
+        states[1] = [Instance(inst.spec, tuple(frames)), first[1], {**states[1][2], node.name: known}]
+        states[0] = [first[0], first[1], {**states[0][2], node.name: known}]
+    assert 1 <= changed <= partition.degree_bound(inst, 10.0**6, lam)

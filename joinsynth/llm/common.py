@@ -7,6 +7,7 @@ cluster names in ``spark.checkpoint.dir`` (shared by the driver and all executor
 from __future__ import annotations
 
 import tempfile
+import time
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -40,7 +41,24 @@ def ensure_checkpoint_dir(spark: SparkSession) -> None:
 def cut(frame: DataFrame) -> DataFrame:
     """Materialise ``frame`` in the shared checkpoint folder and cut its lineage."""
     ensure_checkpoint_dir(frame.sparkSession)
-    return frame.checkpoint(eager=True)
+    done = frame.checkpoint(eager=True)
+    _forget(frame.sparkSession)
+    return done
+
+
+#: Least seconds between two collections of the driver's garbage.
+FORGET_SECONDS = 10.0
+_forgot = [0.0]
+
+
+def _forget(spark: SparkSession) -> None:
+    """Spark removes shuffle files once the driver has collected the plans that made them, by itself every half hour.
+
+    An operator of many short steps would leave hundreds of small files a step on every executor's disk until then.
+    """
+    if time.monotonic() - _forgot[0] >= FORGET_SECONDS:
+        spark.sparkContext._jvm.System.gc()
+        _forgot[0] = time.monotonic()
 
 
 def deal(frame: DataFrame, rows_per_task: int, *cols: str) -> DataFrame:

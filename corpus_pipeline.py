@@ -11,7 +11,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from joinsynth.llm.common import ensure_checkpoint_dir, table
+from joinsynth.llm.common import cut, ensure_checkpoint_dir, table
 from joinsynth.llm.decontamination import clean_only
 from joinsynth.llm.line_dedup import dedup_lines
 from joinsynth.llm.minhash_dedup import near_duplicates
@@ -36,9 +36,16 @@ def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group of near-duplicates."""
-    gone = near_duplicates(docs).groupBy("doc_id").agg(F.max("kept").alias("kept")).filter("not kept").select("doc_id")
-    return docs.join(gone, "doc_id", "left_anti").select(docs.columns)
+    """One document of each group of near-duplicates: the least id, once; one without an id only if no other holds its text."""
+    after_all = F.lit(1 << 62).cast("bigint") + F.shiftrightunsigned(F.xxhash64("text"), 2)
+    rows = docs.withColumn("near_id", F.coalesce(F.col("doc_id").cast("bigint"), after_all)).withColumn("near_text", F.xxhash64("text"))
+    gone = near_duplicates(rows.select("near_id", "text"), "near_id").groupBy("doc_id").agg(F.max("kept").alias("kept")).filter("not kept").select(F.col("doc_id").alias("near_id"))
+    left = rows.join(gone, "near_id", "left_anti")
+    key = ["near_id", "near_text"]
+    repeated = cut(rows.select(*key).groupBy(*key).count().filter("count > 1").select(*key))
+    if repeated.limit(1).count():
+        left = left.join(repeated, key, "left_anti").unionByName(left.join(repeated, key, "left_semi").dropDuplicates(key))
+    return left.select(docs.columns)
 
 
 def benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -64,4 +71,11 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     for k, (_, stage) in enumerate(STAGES):
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{k}")
         docs = spark.read.parquet(f"{folder}/{k}")
+        if k:  # what this stage has read is not needed again
+            _remove(spark, f"{folder}/{k - 1}")
     return docs
+
+
+def _remove(spark: SparkSession, path: str) -> None:
+    place = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    place.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(place, True)

@@ -141,3 +141,13 @@ def test_stages_keep_columns_and_survive_odd_rows(spark, odd_docs, k):
     if k:
         assert {3, 4, 5, 10, None} <= ids and (2 in ids) == (k != 2)
     assert stage(spark, docs.limit(0), SF).count() == 0
+
+
+def test_near_stage_keeps_one_row_of_repeated_ones(spark):
+    import corpus_pipeline
+
+    text, other = " ".join(f"word{i}" for i in range(60)), " ".join(f"other{i}" for i in range(60))
+    rows = [(5, text), (5, text), (7, text), (None, text), (None, other), (None, other), (9, None), (9, None), (11, "short")]
+    docs = spark.createDataFrame([(i, t, "en", "s", 1) for i, t in rows], "doc_id bigint, text string, lang string, source string, n_chars bigint")
+    out = sorted(((r.doc_id or -1), r.text or "") for r in corpus_pipeline.near(spark, docs, SF).collect())
+    assert out == [(-1, other), (5, text), (9, ""), (11, "short")]

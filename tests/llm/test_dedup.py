@@ -37,6 +37,30 @@ def test_components(spark):
     assert components(spark.createDataFrame([], "a bigint, b bigint")).count() == 0
 
 
+@pytest.mark.parametrize("one_task", [0, 40, 500_000])
+def test_components_by_rounds_and_in_one_task_agree(spark, monkeypatch, one_task):
+    """Paths, stars, rings and negative ids; by rounds only, by rounds and then one task, and in one task."""
+    from joinsynth.llm import components as c
+
+    monkeypatch.setattr(c, "ONE_TASK", one_task)
+    edges = [(i, i + 1) for i in range(-40, 20)] + [(100, 100 + i * 7) for i in range(1, 30)] + [(1000 + i, 1000 + (i + 5) % 16) for i in range(16)] + [(None, 5), (6, None), (3000, 3000)]
+    got = {r.v: r.component for r in components(spark.createDataFrame(edges, "a bigint, b bigint")).collect()}
+    assert got == {**{i: -40 for i in range(-39, 21)}, **{100 + i * 7: 100 for i in range(1, 30)}, **{1000 + i: 1000 for i in range(1, 16)}}
+
+
+def test_components_of_few_edges_take_few_jobs(spark):
+    """A long path took a dozen jobs a round, each with plans and exchange threads on the driver."""
+    context = spark.sparkContext
+    edges = spark.createDataFrame([((i * 37) % 301, ((i + 1) * 37) % 301) for i in range(300)], "a bigint, b bigint")
+    context.setJobGroup("few-edges", "components")
+    try:
+        assert components(edges).filter("component = 0").count() == 300
+        jobs = len(context.statusTracker().getJobIdsForGroup("few-edges"))
+    finally:
+        context.setLocalProperty("spark.jobGroup.id", None)
+    assert jobs <= 10
+
+
 def shingles(text):
     w = [x for x in re.split(r"[\x20\x09-\x0D]+", (text or "").translate(str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"))) if x]
     return {tuple(w[i : i + 5]) for i in range(len(w) - 4)} if len(w) >= 5 else {tuple(w)} if w else set()

@@ -13,6 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..ledger import Ledger
+from ..sources.formats import shared_folder
 
 EVENTS = "event_id bigint, ts timestamp, user_id bigint, event_type string, value double, props string"
 
@@ -66,12 +67,25 @@ def capped_degrees(events: DataFrame, cap: int) -> DataFrame:
 
 
 def run_available(stream: DataFrame, name: str, mode: str = "append", checkpoint: str | None = None) -> DataFrame:
-    """Runs a stream over all available files into an in-memory table (tests and small results)."""
-    writer = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True)
+    """Runs a stream over all available files and returns its result, written as Parquet to the shared folder: no row of it passes the driver.
+
+    Each micro-batch has a folder of its own, so one that is repeated replaces what it wrote; in complete mode only the last counts, and two are kept.
+    """
+    folder, numbers = shared_folder(stream.sparkSession), []
+
+    def write(batch: DataFrame, number: int) -> None:
+        place = number % 2 if mode == "complete" else number
+        batch.write.mode("overwrite").parquet(f"{folder}/{place}")
+        numbers.append(place)
+
+    writer = stream.writeStream.foreachBatch(write).queryName(name).outputMode(mode).trigger(availableNow=True)
     if checkpoint:
         writer = writer.option("checkpointLocation", checkpoint)
     writer.start().awaitTermination()
-    return stream.sparkSession.table(name)
+    places = numbers[-1:] if mode == "complete" else sorted(set(numbers))
+    if not places:
+        return stream.sparkSession.createDataFrame([], stream.schema)
+    return stream.sparkSession.read.schema(stream.schema).parquet(*(f"{folder}/{p}" for p in places))
 
 
 def release_on_schedule(stream: DataFrame, firings: int, eps: float, delta: float, release: Callable[[DataFrame, float, float, int], None], checkpoint: str) -> Ledger:

@@ -60,3 +60,22 @@ def test_stream_static_join_and_dedup(spark, split_events, tmp_path):
     joined = stream.run_available(stream.with_segment(stream.read_events(spark, split_events), customers), "t_static", "append", str(tmp_path / "a"))
     assert joined.count() == spark.read.parquet(f"{D}/events.parquet").join(customers, F.col("user_id") == F.col("c_custkey")).count()
     assert stream.run_available(stream.dedup(stream.read_events(spark, split_events)), "t_dedup", "append", str(tmp_path / "b")).count() == 1000
+
+
+@pytest.mark.parametrize("mode", ["complete", "append"])
+def test_results_of_streams_stay_off_the_driver(spark, split_events, tmp_path, mode):
+    """A result in an in-memory table is held by the driver row by row; it is to lie in files."""
+    build = stream.sessions if mode == "complete" else stream.dedup
+    got = stream.run_available(build(stream.read_events(spark, split_events)), f"t_files_{mode}", mode, str(tmp_path / mode))
+    assert got.inputFiles()
+    if mode == "complete":
+        ts = spark.read.parquet(f"{D}/events.parquet")
+        want = ts.groupBy("user_id", F.session_window("ts", "30 minutes").alias("w")).agg(F.count("*").alias("freq")).select("user_id", F.col("w.start").alias("start"), "freq")
+        assert got.exceptAll(want).count() == want.exceptAll(got).count() == 0
+    else:
+        assert got.select("event_id").distinct().count() == got.count() == 1000
+
+
+def test_stream_without_files_is_empty(spark, tmp_path):
+    (tmp_path / "in").mkdir()
+    assert stream.run_available(stream.sessions(stream.read_events(spark, str(tmp_path / "in"))), "t_nothing", "complete", str(tmp_path / "c")).count() == 0

@@ -403,7 +403,7 @@ def stream_session(s, d):
 
 @entry("op_stream_dedup", "select count(distinct event_id)::bigint as n from events")
 def stream_dedup(s, d):
-    return _run(s, d, "dedup", stream.dedup).agg(F.count("*").alias("n"))
+    return _run(s, d, "dedup", lambda e: stream.dedup(e).select("event_id")).agg(F.count("*").alias("n"))
 
 
 @entry("op_stream_join", "select b.user_id, a.event_id as click_id, b.event_id as buy_id from events a join events b on a.user_id = b.user_id and b.ts >= a.ts and b.ts <= a.ts + interval 1 hour where a.event_type = 'click' and b.event_type = 'purchase'")

@@ -30,3 +30,14 @@ def test_join_sizes_beyond_64_bits_are_exact(spark, tmp_path, query):
     one.crossJoin(spark.range(n)).drop("id").write.parquet(str(tmp_path / "lineitem.parquet"))
     got = QUERIES[query](spark, str(tmp_path))
     assert int(got.filter("spec = 'TRIANGLE'" if "spec" in got.columns else "true").first()["val"]) == n**3
+
+
+@pytest.mark.parametrize("query", ["a03_error_factors", "b10_whole_join_vs_uniformized_staircase", "d09_domain_cells", "n03_tau", "n05_sample_domain_seeded", "n07_ledger", "n08_round_budget", "n09_round_budget_concentrated"])
+def test_query_needs_its_table(spark, tmp_path, query):
+    """A query that made up its rows would give them for a folder without tables too."""
+    from pyspark.errors import AnalysisException
+
+    from joinsynth.catalog import QUERIES
+
+    with pytest.raises(AnalysisException, match="PATH_NOT_FOUND"):
+        QUERIES[query](spark, str(tmp_path))

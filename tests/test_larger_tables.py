@@ -46,6 +46,7 @@ def test_query_needs_its_table(spark, tmp_path, query):
 #: Queries whose data were made up or constant, with the tables that they read now.
 MOVED = {
     "b08_smooth_sensitivity_tiny": ("orders", "events"),
+    "b09_two_table_rule_on_three": ("customer", "orders", "lineitem"),
 }
 
 
@@ -118,3 +119,16 @@ def test_smooth_bounds_of_every_customer(spark, tiny_tables):
 
 def test_smooth_bounds_at_the_smallest_tables(spark):
     assert same_as_sql(spark, "b08_smooth_sensitivity_tiny", "/root/testdata/sf0.001")["customers"].sum() == 150
+
+
+def test_two_table_rule_on_three_moves_by_the_largest_order(spark, tiny_tables):
+    """Customer 1 has five line items and gets a second unit of the order with the most, three; an order without customer and a customer without orders count for nothing."""
+    orders = ([(10, 1), (11, 1), (12, 2), (13, None)], "o_orderkey bigint, o_custkey bigint")
+    lines = ([(10,), (10,), (11,), (11,), (11,), (12,), (12,), (12,), (13,)], "l_orderkey bigint")
+    got = same_as_sql(spark, "b09_two_table_rule_on_three", tiny_tables(customer=([(1,), (2,), (3,)], "c_custkey bigint"), orders=orders, lineitem=lines)).set_index("side")
+    assert got.loc["before"].to_dict() == {"local_sensitivity": 5, "t23": 5} and got.loc["after"].to_dict() == {"local_sensitivity": 8, "t23": 8}
+
+
+def test_two_table_rule_on_three_without_rows(spark, tiny_tables):
+    empty = dict(customer=([], "c_custkey bigint"), orders=([], "o_orderkey bigint, o_custkey bigint"), lineitem=([], "l_orderkey bigint"))
+    assert set(same_as_sql(spark, "b09_two_table_rule_on_three", tiny_tables(**empty))["t23"]) == {0}

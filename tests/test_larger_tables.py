@@ -47,6 +47,7 @@ def test_query_needs_its_table(spark, tmp_path, query):
 MOVED = {
     "b08_smooth_sensitivity_tiny": ("orders", "events"),
     "b09_two_table_rule_on_three": ("customer", "orders", "lineitem"),
+    "d11_hypergraph_properties": ("lineitem",),
 }
 
 
@@ -132,3 +133,18 @@ def test_two_table_rule_on_three_moves_by_the_largest_order(spark, tiny_tables):
 def test_two_table_rule_on_three_without_rows(spark, tiny_tables):
     empty = dict(customer=([], "c_custkey bigint"), orders=([], "o_orderkey bigint, o_custkey bigint"), lineitem=([], "l_orderkey bigint"))
     assert set(same_as_sql(spark, "b09_two_table_rule_on_three", tiny_tables(**empty))["t23"]) == {0}
+
+
+LINES = "l_orderkey bigint, l_linenumber int, l_returnflag string, l_linestatus string"
+CYCLE = [(1, 1, "A", "F"), (1, 2, "A", "O"), (1, 3, "N", "O"), (1, 4, "N", "F")]
+TREE = [(2, 1, "A", "F"), (2, 2, "A", "O"), (2, 2, "R", "O"), (3, 2, "R", "O"), (3, 2, "A", "O"), (3, 1, "A", "F"), (3, 1, "A", "F")]
+ODD = [(4, 1, None, None), (4, 2, "A", None), (5, None, "A", "F"), (None, 1, "A", "F")]
+
+
+def test_hypergraphs_of_orders(spark, tiny_tables):
+    """A cycle, two orders that are the same hierarchical join, lines without attributes, rows without order or line."""
+    got = same_as_sql(spark, "d11_hypergraph_properties", tiny_tables(lineitem=(CYCLE + TREE + ODD, LINES)))
+    rows = {r.spec: (r.orders, r.m, r.acyclic, r.hierarchical, r.boundary_of_first, r.parts) for r in got.itertuples()}
+    assert rows == {
+        "1:GA,ZF;2:GA,ZO;3:ZO,GN;4:ZF,GN": (1, 4, False, False, "GA,ZF", 2), "1:GA,ZF;2:GA,GR,ZO": (2, 2, True, True, "GA", 2), "1:;2:GA": (1, 2, True, True, "", 2),
+    }

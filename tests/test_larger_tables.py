@@ -48,6 +48,7 @@ MOVED = {
     "b08_smooth_sensitivity_tiny": ("orders", "events"),
     "b09_two_table_rule_on_three": ("customer", "orders", "lineitem"),
     "d11_hypergraph_properties": ("lineitem",),
+    "d12_attribute_tree": ("lineitem",),
 }
 
 
@@ -148,3 +149,15 @@ def test_hypergraphs_of_orders(spark, tiny_tables):
     assert rows == {
         "1:GA,ZF;2:GA,ZO;3:ZO,GN;4:ZF,GN": (1, 4, False, False, "GA,ZF", 2), "1:GA,ZF;2:GA,GR,ZO": (2, 2, True, True, "GA", 2), "1:;2:GA": (1, 2, True, True, "", 2),
     }
+
+
+def test_attribute_trees_of_orders(spark, tiny_tables):
+    """Of the same orders those that are hierarchical have trees; the cycle has none."""
+    got = same_as_sql(spark, "d12_attribute_tree", tiny_tables(lineitem=(CYCLE + TREE + ODD, LINES)))
+    assert sorted(got.itertuples(index=False, name=None)) == [
+        ("1:;2:GA", 1, "GA", "", "2"), ("1:GA,ZF;2:GA,GR,ZO", 2, "GA", "", "1,2"), ("1:GA,ZF;2:GA,GR,ZO", 2, "GRZO", "GA", "2"), ("1:GA,ZF;2:GA,GR,ZO", 2, "ZF", "GA", "1"),
+    ]
+
+
+def test_attribute_trees_where_no_order_has_one(spark, tiny_tables):
+    assert same_as_sql(spark, "d12_attribute_tree", tiny_tables(lineitem=(CYCLE, LINES))).empty

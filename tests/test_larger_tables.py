@@ -13,6 +13,24 @@ def test_hard_vector_joins_nothing(spark):
     assert sorted(tuple(r) for r in inst.frames[1].groupBy("B").count().groupBy("count").count().collect()) == [(6, 17), (12, 83)]
 
 
+def test_hard_vector_has_every_tuple_once(spark):
+    """Each unit bears every tuple of its bucket; a bucket of less than half a unit has none."""
+    inst = instances.gen_hard_vector(spark, {1: 13, 2: 30, 3: 5}, 3.0)
+    units = [(0 * 64 + 1, 6), (1 * 64 + 1, 6), (0 * 64 + 2, 12), (1 * 64 + 2, 12)]
+    assert sorted(tuple(r) for r in inst.frames[0].collect()) == sorted((b, b, 1) for b, _ in units)
+    assert sorted(tuple(r) for r in inst.frames[1].collect()) == sorted((b, c, 1) for b, n in units for c in range(1, n + 1))
+
+
+def test_hard_vector_is_sized_by_its_rows(spark):
+    """Twenty million rows that the planner takes for their 181,818 units are broadcast through the driver to be labelled."""
+    from joinsynth.operators import partition
+
+    inst = instances.gen_hard_vector(spark, {3: 20_000_000}, 13.8)
+    assert inst.frames[1]._jdf.queryExecution().optimizedPlan().stats().sizeInBytes() >= 8 * 20_000_000 * 0.99
+    part = partition.partition_true_degrees(inst, inst.frames[0].select("B"), 13.8)
+    assert "Broadcast" not in part.instance.frames[1]._jdf.queryExecution().executedPlan().toString()
+
+
 @pytest.mark.parametrize("query", ["d05_join_size_factorised", "w_join_size_triangle"])
 def test_join_sizes_beyond_64_bits_are_exact(spark, tmp_path, query):
     """Two million rows on one triangle: its join size is their cube; smaller sizes stay bigint, as in the SQL."""
